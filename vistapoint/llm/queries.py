@@ -7,7 +7,7 @@ from collections.abc import Callable
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from . import packing, tokens
+from . import minhash, packing, tokens, toxicity
 
 
 def _table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
@@ -20,13 +20,26 @@ def op1_packing(spark: SparkSession, sf_dir: str) -> DataFrame:
     return pieces.select("doc_id", "start", "length", F.crc32("ids").alias("ids_crc32"), "doc_tokens", "sequence_id", "offset", "tier", "step_group")
 
 
+def op5_minhash(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Near-duplicates among all documents on two-word shingles at 0.8."""
+    return minhash.near_duplicates(_table(spark, sf_dir, "documents"), minhash.Settings(shingle=2))
+
+
+def op7_toxicity(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Scores of all documents by a model that has seen no row whose crc32 of the id leaves 1."""
+    docs, labels = _table(spark, sf_dir, "documents").select("doc_id", "text"), _table(spark, sf_dir, "labels").select("doc_id", "toxic")
+    held = toxicity.remainder() == 1
+    model = toxicity.fit(docs, labels.where(~held))
+    return toxicity.score(docs, model).select("doc_id", F.coalesce(held, F.lit(False)).alias("held_out"), "score", (F.col("score") >= 0.7).cast("int").alias("predicted"))
+
+
 def op9_token_counts(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Suffix sums of the exact histogram of encoded lengths: totals, quantiles and truncated totals for every limit."""
     return tokens.context_totals(tokens.length_histogram(_table(spark, sf_dir, "documents"), end_ids=1))
 
 
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
-    return {f.__name__: f for f in (op1_packing, op9_token_counts)}
+    return {f.__name__: f for f in (op1_packing, op5_minhash, op7_toxicity, op9_token_counts)}
 
 
 def oracle_sql() -> dict[str, str]:

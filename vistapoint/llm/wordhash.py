@@ -62,11 +62,14 @@ def byte_rows(column: pa.Array, chunk_bytes: int = CHUNK_BYTES) -> Iterator[tupl
         first = last
 
 
-def word_hashes(data: np.ndarray, offsets: np.ndarray, lower: bool = True) -> tuple[np.ndarray, np.ndarray]:
-    """Hashes of all words in order, and for each row where its words begin (length rows + 1)."""
+def word_hashes(data: np.ndarray, offsets: np.ndarray, lower: bool = True, separators: np.ndarray = SPACE) -> tuple[np.ndarray, np.ndarray]:
+    """Hashes of all words in order, and for each row where its words begin (length rows + 1).
+
+    separators: which bytes stand between words; white space by default.
+    """
     if not len(data):
         return np.zeros(0, U64), np.zeros(len(offsets), np.int64)
-    space = SPACE[data]
+    space = separators[data]
     begins = ~space
     inner = offsets[(offsets > 0) & (offsets < len(data))]
     after_word = np.empty(len(data), bool)
@@ -85,6 +88,27 @@ def word_hashes(data: np.ndarray, offsets: np.ndarray, lower: bool = True) -> tu
     return mix(h), np.searchsorted(starts, offsets)
 
 
+def stem_hashes(data: np.ndarray, offsets: np.ndarray, size: int, separators: np.ndarray = SPACE) -> tuple[np.ndarray, np.ndarray]:
+    """Hashes of the first ``size`` bytes, lower-cased, of the words longer than that, and where each row's begin."""
+    if len(data) <= size:
+        return np.zeros(0, U64), np.zeros(len(offsets), np.int64)
+    inside = ~separators[data]
+    full = inside[: len(data) - size].copy()
+    full[1:] &= ~inside[: len(data) - size - 1]
+    for j in range(1, size + 1):
+        full &= inside[j : len(data) - size + j]
+    inner = offsets[(offsets > 0) & (offsets < len(data))]
+    for cut in inner:  # a word may begin at a row's first byte, and none goes on past its last
+        full[max(cut - size, 0) : cut] = False
+        if cut < len(full) and inside[cut : cut + size + 1].all():
+            full[cut] = True
+    starts = np.flatnonzero(full)
+    h = np.zeros(len(starts), U64)
+    for j in range(size):
+        h += BYTE_CODES[LOWER[data[starts + j]]] * U64(pow(_BASE, j + 7, 2**64))
+    return mix(h), np.searchsorted(starts, offsets)
+
+
 def shingle_hashes(words: np.ndarray, bounds: np.ndarray, size: int) -> tuple[np.ndarray, np.ndarray]:
     """Hashes of every run of ``size`` words in each row, rows in order, and where each row's begin.
 
