@@ -73,8 +73,22 @@ def _sets(column: pa.Array, shingle: int) -> Iterator[tuple[int, np.ndarray, np.
         yield first, *wh.distinct_in_rows(*wh.shingle_hashes(words, bounds, shingle))
 
 
+def _signed(h: np.ndarray, bounds: np.ndarray, size: int) -> tuple[np.ndarray, np.ndarray]:
+    """The rows with shingles, and their signatures; taken in slices that fit the processor's cache."""
+    full = np.flatnonzero(np.diff(bounds))
+    sig = np.empty((len(full), size), np.uint32)
+    ends = bounds[full + 1]
+    i = 0
+    while i < len(full):
+        j = max(int(np.searchsorted(ends, bounds[full[i]] + SLICE, side="right")), i + 1)
+        a, b = bounds[full[i]], ends[j - 1]
+        sig[i:j] = signatures(h[a:b], np.append(bounds[full[i:j]], b) - a, size)
+        i = j
+    return full, sig
+
+
 def features(docs: DataFrame, s: Settings) -> DataFrame:
-    """doc_id, n_shingles, two hashes of the set, its signature (binary) and its band keys; texts without words have null keys."""
+    """doc_id, n_shingles, two hashes of the set, and its band keys, which are null for texts without words."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
@@ -82,25 +96,26 @@ def features(docs: DataFrame, s: Settings) -> DataFrame:
                 n = np.diff(bounds)
                 one = wh.row_reduce(np.add, wh.mix(h ^ _ODD[1000]), bounds, 0).view(np.int64)
                 two = wh.row_reduce(np.add, wh.mix(h + _ODD[1001]), bounds, 0).view(np.int64)
-                full = np.flatnonzero(n)
-                sig = np.empty((len(full), s.size), np.uint32)
-                ends = bounds[full + 1]
-                i = 0
-                while i < len(full):
-                    j = max(int(np.searchsorted(ends, bounds[full[i]] + SLICE, side="right")), i + 1)
-                    a, b = bounds[full[i]], ends[j - 1]
-                    sig[i:j] = signatures(h[a:b], np.append(bounds[full[i:j]], b) - a, s.size)
-                    i = j
-                keys = band_keys(sig, s).view(np.int64)
-                sigs: list = [None] * len(n)
+                full, sig = _signed(h, bounds, s.size)
                 bands: list = [None] * len(n)
-                for row, x, k in zip(full.tolist(), sig, keys, strict=True):
-                    sigs[row], bands[row] = x.tobytes(), k
-                yield pa.RecordBatch.from_arrays(
-                    [batch.column(0).slice(first, len(n)), pa.array(n.astype(np.int64)), pa.array(one), pa.array(two), pa.array(sigs, pa.binary()), pa.array(bands, pa.list_(pa.int64()))], ["doc_id", "n_shingles", "set1", "set2", "signature", "bands"]
-                )
+                for row, keys in zip(full.tolist(), band_keys(sig, s).view(np.int64), strict=True):
+                    bands[row] = keys
+                yield pa.RecordBatch.from_arrays([batch.column(0).slice(first, len(n)), pa.array(n.astype(np.int64)), pa.array(one), pa.array(two), pa.array(bands, pa.list_(pa.int64()))], ["doc_id", "n_shingles", "set1", "set2", "bands"])
+
+    return docs.select(F.col("doc_id").cast("long"), F.col("text").cast("string")).mapInArrow(run, "doc_id long, n_shingles long, set1 long, set2 long, bands array<long>")
+
 
-    return docs.select(F.col("doc_id").cast("long"), F.col("text").cast("string")).mapInArrow(run, "doc_id long, n_shingles long, set1 long, set2 long, signature binary, bands array<long>")
+def profiles(docs: DataFrame, s: Settings) -> DataFrame:
+    """doc_id, signature and hashes (the full set, sorted), both binary, of texts with words."""
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            for first, h, bounds in _sets(batch.column(1), s.shingle):
+                full, sig = _signed(h, bounds, s.size)
+                sets = [h[bounds[i] : bounds[i + 1]].tobytes() for i in full]
+                yield pa.RecordBatch.from_arrays([batch.column(0).take(pa.array(full + first)), pa.array([x.tobytes() for x in sig], pa.binary()), pa.array(sets, pa.binary())], ["doc_id", "signature", "hashes"])
+
+    return docs.select(F.col("doc_id").cast("long"), F.col("text").cast("string")).mapInArrow(run, "doc_id long, signature binary, hashes binary")
 
 
 def least_matches(s: Settings) -> list[tuple[int, int]]:
@@ -122,7 +137,7 @@ def least_matches(s: Settings) -> list[tuple[int, int]]:
 
 
 def _bayes(pairs: DataFrame, s: Settings) -> DataFrame:
-    """(a, b) of those pairs (a, b, sig_a, sig_b) that the sequential test does not prune."""
+    """(a, b) of those pairs (a, b, of_a, of_b: signatures) that the sequential test does not prune."""
     steps = least_matches(s)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -140,7 +155,7 @@ def _bayes(pairs: DataFrame, s: Settings) -> DataFrame:
 
 
 def _exact(pairs: DataFrame, percent: int) -> DataFrame:
-    """(u, v) of those pairs (a, b, set_a, set_b: sorted 64-bit hashes) whose full sets are similar enough."""
+    """(u, v) of those pairs (a, b, of_a, of_b: sorted 64-bit hashes) whose full sets are similar enough."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
@@ -158,26 +173,22 @@ def _exact(pairs: DataFrame, percent: int) -> DataFrame:
     return pairs.mapInArrow(run, "u long, v long")
 
 
-def verified(pairs: DataFrame, docs: DataFrame, known: DataFrame, s: Settings) -> DataFrame:
-    """Those of the candidate pairs (a, b) that are links, as (u, v). known: doc_id and signature of all documents."""
-    left = known.select(F.col("doc_id").alias("a"), F.col("signature").alias("sig_a"))
-    right = known.select(F.col("doc_id").alias("b"), F.col("signature").alias("sig_b"))
-    alive = checkpointed(_bayes(pairs.join(right, "b").join(left, "a").select("a", "b", "sig_a", "sig_b"), s))
-    wanted = alive.select(F.col("a").alias("doc_id")).union(alive.select("b")).distinct()
+def verified(pairs: DataFrame, known: DataFrame, s: Settings) -> DataFrame:
+    """Those of the candidate pairs (a, b) that are links, as (u, v).
 
-    def sets(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for batch in batches:
-            for first, h, bounds in _sets(batch.column(1), s.shingle):
-                rows = [h[a:b].tobytes() for a, b in zip(bounds[:-1], bounds[1:], strict=True)]
-                yield pa.RecordBatch.from_arrays([batch.column(0).slice(first, len(rows)), pa.array(rows, pa.binary())], ["doc_id", "hashes"])
+    known: the candidates' profiles, laid out by doc_id, so that no join moves them all: pairs travel to b's profile, and of
+    a's only those asked for are dealt anew, in a join that AQE may split where one document leads very many pairs.
+    """
+
+    def both(pairs: DataFrame, column: str) -> DataFrame:
+        leaders = known.join(pairs.select(F.col("a").alias("doc_id")).distinct(), "doc_id", "left_semi").select((F.col("doc_id") - F.lit(0)).alias("a"), F.col(column).alias("of_a"))
+        return known.select(F.col("doc_id").alias("b"), F.col(column).alias("of_b")).join(pairs, "b").join(leaders, "a").select("a", "b", "of_a", "of_b")
 
-    texts = docs.select(F.col("doc_id").cast("long"), F.col("text").cast("string")).join(wanted, "doc_id", "left_semi")
-    full = texts.mapInArrow(sets, "doc_id long, hashes binary")
-    both = alive.join(full.select(F.col("doc_id").alias("b"), F.col("hashes").alias("set_b")), "b").join(full.select(F.col("doc_id").alias("a"), F.col("hashes").alias("set_a")), "a")
-    return _exact(both.select("a", "b", "set_a", "set_b"), s.percent)
+    alive = checkpointed(_bayes(both(pairs, "signature"), s))
+    return _exact(both(alive, "hashes"), s.percent)
 
 
-def near_duplicates(docs: DataFrame, settings: Settings = Settings(), cross_pairs_per_row: int = 4, leader_rounds: int = 6) -> DataFrame:  # noqa: B008
+def near_duplicates(docs: DataFrame, settings: Settings = Settings(), cross_pairs_per_row: int = 4, leader_rounds: int = 6, star: int = 2_000) -> DataFrame:  # noqa: B008
     """doc_id, n_shingles, component_id, kept, one row for each row of ``docs`` (doc_id, text).
 
     component_id is the least doc_id that links of similarity >= percent / 100 lead to; kept says that it is the row's own.
@@ -186,25 +197,33 @@ def near_duplicates(docs: DataFrame, settings: Settings = Settings(), cross_pair
     Further columns are ignored; an empty table gives no rows.
     """
     s = settings
-    known = checkpointed(features(docs, s))
-    whole = known.where(F.col("doc_id").isNotNull() & (F.col("n_shingles") > 0))
+    seen = checkpointed(features(docs, s))
+    whole = seen.where(F.col("doc_id").isNotNull() & (F.col("n_shingles") > 0))
     classes = whole.groupBy("set1", "set2").agg(F.min("doc_id").alias("rep"))
     member = whole.select("doc_id", "n_shingles", "set1", "set2", "bands").join(classes, ["set1", "set2"]).where("doc_id = rep")
     slots = member.select("doc_id", F.col("n_shingles").alias("n"), F.explode("bands").alias("key"))
-    buckets = slots.groupBy("key").agg(F.min("doc_id").alias("leader"), F.max("doc_id").alias("last")).where("leader < last").select("key", "leader")
+    buckets = slots.groupBy("key").agg(F.min("doc_id").alias("leader"), F.max("doc_id").alias("last"), F.count("*").alias("m")).where("leader < last").drop("last")
     shared = checkpointed(slots.join(buckets, "key"))
-    links = checkpointed(verified(shared.where("doc_id > leader").select(F.col("leader").alias("a"), F.col("doc_id").alias("b")).distinct(), docs, known, s))
+    # Large buckets get a leader for every ``star`` members or so, and these leaders are compared with the bucket's own.
+    large = shared.where(F.col("m") > star).withColumn("part", F.pmod(F.xxhash64("doc_id"), F.ceil(F.col("m") / star)))
+    parts = large.groupBy("key", "part").agg(F.min("doc_id").alias("first"), F.min("leader").alias("leader"))
+    pairs = shared.where(F.col("m") <= star).select(F.col("leader").alias("a"), F.col("doc_id").alias("b"))
+    pairs = pairs.union(large.join(parts.select("key", "part", "first"), ["key", "part"]).select("first", "doc_id")).union(parts.select("leader", "first"))
+    pairs = checkpointed(pairs.where("a <> b").distinct())
+    texts = docs.select(F.col("doc_id").cast("long"), F.col("text").cast("string")).join(shared.select("doc_id").distinct(), "doc_id", "left_semi")
+    known = checkpointed(profiles(texts, s).repartition(max(int(docs.sparkSession.conf.get("spark.sql.shuffle.partitions")), 1), "doc_id"))
+    links = checkpointed(verified(pairs, known, s))
     components = checkpointed(connected_components(links))
 
     for turn in range(leader_rounds + 1):
-        placed = shared.join(components, shared["doc_id"] == components["node"], "left").select("key", "doc_id", "n", "leader", F.coalesce("component", "doc_id").alias("c"))
+        placed = shared.join(components, shared["doc_id"] == components["node"], "left").where(f"doc_id <> leader or m > {star}").select("key", "doc_id", "n", F.coalesce("component", "doc_id").alias("c"))
         # What a bucket still asks for: pairs of members in different components, other than those with its first leader.
-        split = placed.where("doc_id <> leader").groupBy("key", "c").agg(F.count("*").alias("m")).groupBy("key").agg(((F.sum("m") * F.sum("m") - F.sum(F.col("m") * F.col("m"))) / 2).alias("cross"), F.sum("m").alias("all")).where("cross > 0")
+        split = placed.groupBy("key", "c").agg(F.count("*").alias("m")).groupBy("key").agg(((F.sum("m") * F.sum("m") - F.sum(F.col("m") * F.col("m"))) / 2).alias("cross"), F.sum("m").alias("all")).where("cross > 0")
         split = checkpointed(split)
         cross, rows = split.agg(F.coalesce(F.sum("cross"), F.lit(0.0)), F.coalesce(F.sum("all"), F.lit(0))).first()
         if not cross:
             break
-        open_rows = checkpointed(placed.join(split.select("key"), "key", "left_semi").where("doc_id <> leader"))
+        open_rows = checkpointed(placed.join(split.select("key"), "key", "left_semi"))
         last = turn == leader_rounds or cross <= cross_pairs_per_row * rows
         if last:
             x, y = open_rows.alias("x"), open_rows.alias("y")
@@ -216,14 +235,13 @@ def near_duplicates(docs: DataFrame, settings: Settings = Settings(), cross_pair
             pairs = x.join(y, (F.col("x.key") == F.col("y.key")) & (F.col("x.c") != F.col("y.c")))
         near = F.least("x.n", "y.n") * 100 >= F.greatest("x.n", "y.n") * s.percent
         pairs = pairs.where(near).select(F.least("x.doc_id", "y.doc_id").alias("a"), F.greatest("x.doc_id", "y.doc_id").alias("b")).distinct()
-        more = checkpointed(verified(pairs, docs, known, s))
-        before = links
-        links = before.union(more)
+        more = checkpointed(verified(pairs, known, s))
+        links = links.union(more)
         components = checkpointed(connected_components(links))
         if last:
             break
 
-    own = known.select("doc_id", "n_shingles", "set1", "set2")
+    own = seen.select("doc_id", "n_shingles", "set1", "set2")
     placed = own.join(classes, (own["set1"] == classes["set1"]) & (own["set2"] == classes["set2"]) & (own["n_shingles"] > 0), "left").select("doc_id", "n_shingles", "rep")
     placed = placed.join(components, placed["rep"] == components["node"], "left").select("doc_id", "n_shingles", F.when(F.col("doc_id").isNotNull(), F.coalesce("component", "rep", "doc_id")).alias("component_id"))
     return placed.withColumn("kept", F.coalesce(F.col("doc_id") == F.col("component_id"), F.lit(True)))
