@@ -7,7 +7,7 @@ from collections.abc import Callable
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from . import chat, minhash, packing, quality, suffix, tokens, toxicity, urls
+from . import chat, decontam, minhash, packing, quality, suffix, tokens, toxicity, urls
 
 
 def _table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
@@ -32,6 +32,11 @@ def op3_suffix_array(spark: SparkSession, sf_dir: str) -> DataFrame:
     return cut.select("doc_id", "n_bytes", "n_removed", "n_spans", F.sha2("kept", 256).alias("kept_sha256"))
 
 
+def op4_decontamination(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Documents that leak benchmark items, with each item's best window."""
+    return decontam.leaks(_table(spark, sf_dir, "documents"), _table(spark, sf_dir, "benchmark"))
+
+
 def op5_minhash(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Near-duplicates among all documents on two-word shingles at 0.8."""
     return minhash.near_duplicates(_table(spark, sf_dir, "documents"), minhash.Settings(shingle=2))
@@ -80,7 +85,7 @@ def op9_token_counts(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
-    return {f.__name__: f for f in (op1_packing, op2_quality_rules, op3_suffix_array, op5_minhash, op6_chat_formatting, op7_toxicity, op8_url_filters, op9_token_counts)}
+    return {f.__name__: f for f in (op1_packing, op2_quality_rules, op3_suffix_array, op4_decontamination, op5_minhash, op6_chat_formatting, op7_toxicity, op8_url_filters, op9_token_counts)}
 
 
 OP6_SQL = """

@@ -11,8 +11,8 @@ In a block, two-stage sorting orders the suffixes: a suffix that is smaller than
 common prefixes of at least ``length`` bytes then mark the repeated windows.
 
 Equal texts are handled once, with their number. An anchor with more than ``hot`` occurrences (a passage in very many texts)
-would make an unbounded block: its equal contexts are merged first, and the windows of the others are matched by
-distributed counts of window fingerprints instead of in one task.
+would make an unbounded block: its equal contexts are merged first, the others are dealt into parts that are sorted each
+for itself, and the windows that a part leaves open are matched between parts by their fingerprints.
 """
 
 from __future__ import annotations
@@ -32,7 +32,9 @@ LENGTH = 200
 GRAM = 32
 HOT = 4_000
 #: Bytes of contexts that are sorted together; one anchor's contexts stay together beyond it.
-BLOCK_BYTES = 1_500_000
+BLOCK_BYTES = 1_000_000
+#: Distinct contexts of a hot anchor that are sorted together, about.
+PART_ROWS = 2_000
 #: A run of equal bytes longer than this counts as smaller than its successor, so that contexts stay short.
 RUN = 64
 
@@ -253,40 +255,78 @@ def _sort_blocks(length: int, block_bytes: int):
     return run
 
 
-def _hot_spans(contexts: DataFrame, length: int) -> DataFrame:
-    """Spans for contexts of anchors that occur very often: equal contexts merged, windows counted by fingerprint."""
-    own = contexts.withColumns({"c1": F.xxhash64("context"), "c2": F.xxhash64(F.lit(1), "context"), "weight": F.col("m") * F.size("places")})
-    distinct = own.groupBy("h", "c1", "c2").agg(F.sum("weight").alias("weight"))
+def _hot_blocks(length: int, block_bytes: int):
+    """For distinct contexts that come ordered by anchor and part: which windows are known to repeat, and the fingerprints
+    of those that other parts must be asked about: all not yet known, and one of each of the known ones."""
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        block: list[tuple] = []
+        held = 0
+
+        def solved() -> pa.RecordBatch:
+            masks = repeated_windows([x[6] for x in block], [x[4] for x in block], length)
+            shown: set[tuple] = set()
+            out: list[list] = [[], [], [], [], [], []]
+            for (h, part, c1, c2, n, weight, context), mask in zip(block, masks, strict=True):
+                known = np.ones(n, bool) if weight > 1 else mask
+                prints = rolling(np.frombuffer(context, np.uint8)[: n + length - 1], length).view(np.int64)
+                ask = ~known
+                for i in np.flatnonzero(known).tolist():
+                    one = (h, part, int(prints[i]))
+                    if one not in shown:
+                        shown.add(one)
+                        ask[i] = True
+                at = np.flatnonzero(ask).astype(np.int32)
+                for column, value in zip(out, (h, c1, c2, known.tobytes(), at, prints[at]), strict=True):
+                    column.append(value)
+            kinds = (pa.int64(), pa.int64(), pa.int64(), pa.binary(), pa.list_(pa.int32()), pa.list_(pa.int64()))
+            return pa.RecordBatch.from_arrays([pa.array(c, k) for c, k in zip(out, kinds, strict=True)], ["h", "c1", "c2", "known", "at", "print"])
 
-    def fingerprints(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
-            h, c1, c2, n = (np.asarray(batch.column(i)) for i in range(4))
-            for first, data, offsets in wh.byte_rows(batch.column(4)):
-                k = n[first : first + len(offsets) - 1].astype(np.int64)
-                within = np.arange(k.sum()) - np.repeat(np.cumsum(k) - k, k)
-                prints = rolling(data, length)[within + np.repeat(offsets[:-1], k)].view(np.int64)
-                rows = np.repeat(np.arange(first, first + len(k)), k)
-                yield pa.RecordBatch.from_arrays([pa.array(x) for x in (h[rows], c1[rows], c2[rows], within.astype(np.int32), prints)], ["h", "c1", "c2", "at", "print"])
+            for row in zip(*(batch.column(i).to_pylist() for i in range(7)), strict=True):
+                if held >= block_bytes and block[-1][:2] != row[:2]:
+                    yield solved()
+                    block, held = [], 0
+                block.append(row)
+                held += len(row[6])
+        if block:
+            yield solved()
+
+    return run
+
+
+def _hot_spans(contexts: DataFrame, length: int, block_bytes: int, part_rows: int) -> DataFrame:
+    """Spans for contexts of anchors that occur very often.
 
+    Equal contexts are merged; the others of an anchor are dealt into parts of about ``part_rows``, each sorted by itself;
+    what a part leaves open is matched between parts by fingerprints.
+    """
+    own = contexts.withColumns({"c1": F.xxhash64("context"), "c2": F.xxhash64(F.lit(1), "context"), "weight": F.col("m") * F.size("places")})
+    distinct = checkpointed(own.groupBy("h", "c1", "c2").agg(F.sum("weight").alias("weight")))
+    parts = distinct.groupBy("h").agg(F.ceil(F.count("*") / part_rows).alias("parts"))
     texts = own.select("h", "c1", "c2", "windows", "context").dropDuplicates(["h", "c1", "c2"])
-    prints = checkpointed(texts.mapInArrow(fingerprints, "h long, c1 long, c2 long, at int, print long"))
-    twice = prints.groupBy("h", "print").agg(F.count("*").alias("n")).where("n > 1").drop("n")
-    marks = prints.join(twice, ["h", "print"], "left_semi").groupBy("h", "c1", "c2").agg(F.collect_list("at").alias("at"))
-    verdict = distinct.join(marks, ["h", "c1", "c2"], "left").where("weight > 1 or at is not null")
+    dealt = texts.join(distinct, ["h", "c1", "c2"]).join(parts, "h").select("h", F.pmod("c1", "parts").alias("part"), "c1", "c2", "windows", "weight", "context")
+    dealt = dealt.repartition("h", "part").sortWithinPartitions("h", "part")
+    solved = checkpointed(dealt.mapInArrow(_hot_blocks(length, block_bytes), "h long, c1 long, c2 long, known binary, at array<int>, print array<long>"))
+    asked = solved.select("h", "c1", "c2", F.explode(F.arrays_zip("at", "print")).alias("x")).select("h", "c1", "c2", "x.at", "x.print")
+    twice = asked.groupBy("h", "print").agg(F.count("*").alias("n")).where("n > 1").drop("n")
+    more = asked.join(twice, ["h", "print"], "left_semi").groupBy("h", "c1", "c2").agg(F.collect_list("at").alias("more"))
+    verdict = solved.select("h", "c1", "c2", "known").join(more, ["h", "c1", "c2"], "left")
 
     def spans(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
             found = []
-            for t1, t2, n, places, weight, at in zip(*(batch.column(i).to_pylist() for i in range(6)), strict=True):
-                mask = np.full(n, weight > 1)
-                mask[at or []] = True
-                found.append((t1, t2, spans_of(mask, places, length).tobytes()))
+            for t1, t2, places, known, more in zip(*(batch.column(i).to_pylist() for i in range(5)), strict=True):
+                mask = np.frombuffer(known, bool).copy()
+                mask[more or []] = True
+                if mask.any():
+                    found.append((t1, t2, spans_of(mask, places, length).tobytes()))
             yield _span_rows(found)
 
-    return own.select("t1", "t2", "windows", "places", "h", "c1", "c2").join(verdict, ["h", "c1", "c2"]).select("t1", "t2", "windows", "places", "weight", "at").mapInArrow(spans, _SPANS)
+    return own.select("t1", "t2", "places", "h", "c1", "c2").join(verdict, ["h", "c1", "c2"]).select("t1", "t2", "places", "known", "more").mapInArrow(spans, _SPANS)
 
 
-def remove_repeats(docs: DataFrame, length: int = LENGTH, gram: int = GRAM, hot: int = HOT, block_bytes: int = BLOCK_BYTES) -> DataFrame:
+def remove_repeats(docs: DataFrame, length: int = LENGTH, gram: int = GRAM, hot: int = HOT, block_bytes: int = BLOCK_BYTES, part_rows: int = PART_ROWS) -> DataFrame:
     """``docs`` (doc_id, text, ...) with n_bytes, n_removed, n_spans, removed (flat [begin, end) pairs in bytes) and kept (binary).
 
     A byte goes if a string of ``length`` bytes that covers it also begins anywhere else, in this text or another; strings
@@ -327,7 +367,7 @@ def remove_repeats(docs: DataFrame, length: int = LENGTH, gram: int = GRAM, hot:
     sorted_blocks = contexts.where("not is_hot").select("t1", "t2", "m", "h", "context", "windows", "places").repartition("h").sortWithinPartitions("h")
     spans = sorted_blocks.mapInArrow(_sort_blocks(length, block_bytes), _SPANS)
     if contexts.where("is_hot").limit(1).count():
-        spans = spans.union(_hot_spans(contexts.where("is_hot"), length))
+        spans = spans.union(_hot_spans(contexts.where("is_hot"), length, block_bytes, part_rows))
     spans = spans.groupBy("t1", "t2").agg(F.collect_list("spans").alias("spans"))
     copies = texts.where("m > 1").select("t1", "t2", F.lit(True).alias("copied"))
     verdicts = spans.join(copies, ["t1", "t2"], "full_outer").select(F.col("t1").alias("__t1"), F.col("t2").alias("__t2"), F.col("spans").alias("__spans"), F.coalesce("copied", F.lit(False)).alias("__copied"))
