@@ -245,3 +245,14 @@ def near_duplicates(docs: DataFrame, settings: Settings = Settings(), cross_pair
     placed = own.join(classes, (own["set1"] == classes["set1"]) & (own["set2"] == classes["set2"]) & (own["n_shingles"] > 0), "left").select("doc_id", "n_shingles", "rep")
     placed = placed.join(components, placed["rep"] == components["node"], "left").select("doc_id", "n_shingles", F.when(F.col("doc_id").isNotNull(), F.coalesce("component", "rep", "doc_id")).alias("component_id"))
     return placed.withColumn("kept", F.coalesce(F.col("doc_id") == F.col("component_id"), F.lit(True)))
+
+
+def keep_one(docs: DataFrame, settings: Settings = Settings()) -> DataFrame:  # noqa: B008
+    """``docs`` with one row of each group of near-duplicates, that of its least doc_id; columns as they were.
+
+    Of several rows with that doc_id the one that sorts first by text stays. Rows without a doc_id stay.
+    """
+    kept = near_duplicates(docs, settings).where("kept and doc_id is not null").select("doc_id").distinct()
+    order = ["text", *[c for c in docs.columns if c not in ("text", "doc_id")]]
+    ours = docs.where("doc_id is not null").join(kept, "doc_id", "left_semi").groupBy("doc_id").agg(F.min(F.struct(*order)).alias("row"))
+    return ours.select("doc_id", "row.*").select(docs.columns).union(docs.where("doc_id is null"))

@@ -7,7 +7,7 @@ from collections.abc import Callable
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from . import chat, decontam, minhash, packing, quality, suffix, tokens, toxicity, urls
+from . import chat, decontam, html_blocks, minhash, packing, quality, suffix, tokens, toxicity, urls
 
 
 def _table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
@@ -84,8 +84,13 @@ def op9_token_counts(spark: SparkSession, sf_dir: str) -> DataFrame:
     return tokens.context_totals(tokens.length_histogram(_table(spark, sf_dir, "documents"), end_ids=1))
 
 
+def op10_html_extraction(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """The main text of all pages."""
+    return html_blocks.extract(_table(spark, sf_dir, "pages")).withColumn("n_chars", F.length("text").cast("long"))
+
+
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
-    return {f.__name__: f for f in (op1_packing, op2_quality_rules, op3_suffix_array, op4_decontamination, op5_minhash, op6_chat_formatting, op7_toxicity, op8_url_filters, op9_token_counts)}
+    return {f.__name__: f for f in (op1_packing, op2_quality_rules, op3_suffix_array, op4_decontamination, op5_minhash, op6_chat_formatting, op7_toxicity, op8_url_filters, op9_token_counts, op10_html_extraction)}
 
 
 OP6_SQL = """

@@ -327,7 +327,8 @@ def _hot_spans(contexts: DataFrame, length: int, block_bytes: int, part_rows: in
 
 
 def remove_repeats(docs: DataFrame, length: int = LENGTH, gram: int = GRAM, hot: int = HOT, block_bytes: int = BLOCK_BYTES, part_rows: int = PART_ROWS) -> DataFrame:
-    """``docs`` (doc_id, text, ...) with n_bytes, n_removed, n_spans, removed (flat [begin, end) pairs in bytes) and kept (binary).
+    """``docs`` (doc_id, text, ...) with n_bytes, n_removed, n_spans, removed (flat [begin, end) pairs in bytes), kept (binary)
+    and kept_text (the same as text, without the parts of characters that a cut went through).
 
     A byte goes if a string of ``length`` bytes that covers it also begins anywhere else, in this text or another; strings
     are judged on the input. Null texts count as empty. Repeated rows are copies of each other. Other columns pass through;
@@ -335,7 +336,7 @@ def remove_repeats(docs: DataFrame, length: int = LENGTH, gram: int = GRAM, hot:
     """
     if length % 8 or not RUN < length or not 0 < gram < length:
         raise ValueError("length must be a multiple of 8 above 64 and larger than gram")
-    added = ("n_bytes", "n_removed", "n_spans", "removed", "kept")
+    added = ("n_bytes", "n_removed", "n_spans", "removed", "kept", "kept_text")
     names = [c for c in docs.columns if c not in added]
     text = F.coalesce(docs["text"].cast("string"), F.lit(""))
     keyed = docs.select(F.xxhash64(text).alias("t1"), F.xxhash64(F.lit(1), text).alias("t2"), F.coalesce(docs["doc_id"].cast("long"), F.lit(-(2**63))).alias("own"), text.alias("text"))
@@ -374,12 +375,12 @@ def remove_repeats(docs: DataFrame, length: int = LENGTH, gram: int = GRAM, hot:
 
     whole = docs.select(*[docs[c] for c in names], F.xxhash64(text).alias("__k1"), F.xxhash64(F.lit(1), text).alias("__k2"), text.alias("__text"))
     joined = whole.join(verdicts, (F.col("__k1") == F.col("__t1")) & (F.col("__k2") == F.col("__t2")), "left").select(*[F.col(f"`{c}`") for c in names], "__text", "__spans", "__copied")
-    schema = docs.select([docs[c] for c in names]).schema.add("n_bytes", "long").add("n_removed", "long").add("n_spans", "long").add("removed", ArrayType(IntegerType())).add("kept", "binary")
+    schema = docs.select([docs[c] for c in names]).schema.add("n_bytes", "long").add("n_removed", "long").add("n_spans", "long").add("removed", ArrayType(IntegerType())).add("kept", "binary").add("kept_text", "string")
     place = len(names)
 
     def cut(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
-            columns: list[list] = [[], [], [], [], []]
+            columns: list[list] = [[] for _ in added]
             for text, spans, copied in zip(batch.column(place).to_pylist(), batch.column(place + 1).to_pylist(), batch.column(place + 2).to_pylist(), strict=True):
                 raw = text.encode()
                 if copied and len(raw) >= length:
@@ -387,10 +388,12 @@ def remove_repeats(docs: DataFrame, length: int = LENGTH, gram: int = GRAM, hot:
                 else:
                     gone = union(np.concatenate([np.frombuffer(x, np.int64) for x in spans])) if spans else np.zeros(0, np.int64)
                 edges = [0, *gone.tolist(), len(raw)]
-                left = b"".join(raw[a:b] for a, b in zip(edges[::2], edges[1::2], strict=True))
-                for column, value in zip(columns, (len(raw), len(raw) - len(left), len(gone) // 2, gone.astype(np.int32), left), strict=True):
+                pieces = [raw[a:b] for a, b in zip(edges[::2], edges[1::2], strict=True)]
+                left = b"".join(pieces)
+                shown = "".join(x.decode(errors="ignore") for x in pieces)
+                for column, value in zip(columns, (len(raw), len(raw) - len(left), len(gone) // 2, gone.astype(np.int32), left, shown), strict=True):
                     column.append(value)
-            kinds = (pa.int64(), pa.int64(), pa.int64(), pa.list_(pa.int32()), pa.binary())
+            kinds = (pa.int64(), pa.int64(), pa.int64(), pa.list_(pa.int32()), pa.binary(), pa.string())
             yield pa.RecordBatch.from_arrays([*batch.columns[:place], *(pa.array(c, k) for c, k in zip(columns, kinds, strict=True))], [*batch.schema.names[:place], *added])
 
     return joined.mapInArrow(cut, schema)
