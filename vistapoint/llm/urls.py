@@ -83,10 +83,12 @@ def judge(pages: DataFrame, rules: DataFrame, links: DataFrame | None = None, as
         edges = links.select(alias_key(F.col("src"), assume_redirects).alias("u"), alias_key(F.col("dst"), assume_redirects).alias("v"))
         aliases = checkpointed(connected_components(edges))
         decided = decided.join(aliases, decided["key"] == aliases["node"], "left").select(F.coalesce("component", "key").alias("key"), "own")
-    spread = decided.groupBy("key").agg(F.when(F.max(F.col("own") == "allow"), "allow").otherwise("block").alias("shared")).withColumnRenamed("key", "__group")
-    out = pages.select(*[pages[c] for c in names], host(F.col("url")).alias("host"), path(F.col("url")).alias("path"), group.alias("__key"))
-    out = out.join(ruled, ["host", "path"], "left")
+    spread = decided.groupBy("key").agg(F.when(F.max(F.col("own") == "allow"), "allow").otherwise("block").alias("__shared")).withColumnRenamed("key", "__group")
+    # Names of the caller's columns may be any but those that begin with two underscores.
+    ruled = ruled.toDF("__rule_host", "__rule_path", "__rule", "__own")
+    out = pages.select(*[pages[c] for c in names], host(F.col("url")).alias("__host"), path(F.col("url")).alias("__path"), group.alias("__key"))
+    out = out.join(ruled, (F.col("__host") == F.col("__rule_host")) & (F.col("__path") == F.col("__rule_path")), "left")
     if aliases is not None:
-        out = out.join(aliases, out["__key"] == aliases["node"], "left").withColumn("__key", F.coalesce("component", "__key"))
-    out = out.join(spread, out["__key"] == spread["__group"], "left")
-    return out.select(*[F.col(f"`{c}`") for c in names], "host", "path", "rule", F.coalesce("own", "shared", F.lit("allow")).alias("verdict"))
+        out = out.join(aliases.toDF("__node", "__component"), F.col("__key") == F.col("__node"), "left").withColumn("__key", F.coalesce("__component", "__key"))
+    out = out.join(spread, F.col("__key") == F.col("__group"), "left")
+    return out.select(*[F.col(f"`{c}`") for c in names], F.col("__host").alias("host"), F.col("__path").alias("path"), F.col("__rule").alias("rule"), F.coalesce("__own", "__shared", F.lit("allow")).alias("verdict"))
