@@ -1 +1,198 @@
-"""Queries around the methods."""
+"""Queries around the methods: scans, formats, joins, aggregates, windows, functions, and SQL surfaces on fields of view."""
+
+from __future__ import annotations
+
+import tempfile
+import uuid
+
+import pandas as pd
+from pyspark.sql import Window
+from pyspark.sql import functions as F
+
+from . import oracles as O
+from .functions import geo
+
+from .operators import matrix, retrieval
+from .sources import carriers, formats, store, synthetic
+from .streaming import ingest
+from .workloads import FOV_E, FOV_O, M1, T0, T1, T2, events, register, rounded_sql, rounded, table
+
+E_SQL = O.fov_with_mbr("pie60")
+
+
+def _scratch(spark) -> str:
+    """A new folder in the session's checkpoint folder, which executors share; a temporary one in local sessions without."""
+    root = spark.sparkContext.getCheckpointDir() or spark.conf.get("spark.checkpoint.dir", None)
+    if not root:
+        if not spark.sparkContext.master.startswith("local"):
+            raise ValueError("set spark.checkpoint.dir to a shared folder")
+        root = tempfile.mkdtemp(prefix="scratch-")
+    return f"{root}/{uuid.uuid4().hex}"
+
+
+register("q_scan_events", lambda s, d: table(s, d, "events").where("event_type = 'view' and value > 100").select("event_id", "value"), "SELECT event_id, value FROM events WHERE event_type = 'view' AND value > 100")
+
+
+def _round_trip(kind):
+    def run(s, d):
+        path = _scratch(s)
+        formats.write(carriers.from_events(s, d), path, kind)
+        return rounded(formats.read(s, path, kind))
+
+    return run
+
+
+for _k in ("csv", "json", "orc"):
+    register(f"q_roundtrip_{_k}", _round_trip(_k), rounded_sql(FOV_E, "fov_id video_id t", "lat lon theta r_m alpha"))
+
+
+def _store(s, d):
+    path = _scratch(s)
+    store.write(carriers.from_events(s, d), path, 4)
+    found = retrieval.fovs_in_range(store.read(s, path), T2.area)
+    return found.groupBy("day").agg(F.count("*").alias("n"), F.sum("fov_id").alias("ids"))
+
+
+register("q_store_readback", _store, f"SELECT t::DATE AS day, count(*) AS n, sum(fov_id)::BIGINT AS ids FROM ({O.in_range(E_SQL, T2.area)}) GROUP BY 1")
+
+
+def _synthetic(s, d):
+    s.dataSource.register(synthetic.SyntheticFovs)
+    return s.read.format("synthetic_fov").option("rows", 1000).load()
+
+
+register("q_source_synthetic", _synthetic)
+
+
+def _view(s, d):
+    events(s, d).createOrReplaceTempView("fov")
+    return s.sql("select video_id, count(*) as n, round(avg(r_m), 6) as r_m from fov group by video_id")
+
+
+register("q_sql_view", _view, f"SELECT video_id, count(*) AS n, round(avg(r_m), 6) AS r_m FROM ({FOV_E}) GROUP BY video_id")
+register("q_project_struct", lambda s, d: carriers.from_events(s, d).select("fov_id", F.struct("theta", "alpha").alias("s")).select("fov_id", F.round("s.theta", 6).alias("theta"), "s.alpha"), rounded_sql(FOV_E, "fov_id alpha", "theta"))
+register("q_join_hints", lambda s, d: table(s, d, "lineitem").hint("merge").join(table(s, d, "orders").hint("shuffle_hash"), F.col("l_orderkey") == F.col("o_orderkey")).groupBy("o_orderpriority").agg(F.count("*").alias("n")), "SELECT o_orderpriority, count(*) AS n FROM lineitem JOIN orders ON l_orderkey = o_orderkey GROUP BY 1")
+
+RECTS = carriers.SPOTS[:6]
+RECT_SQL = "(VALUES " + ", ".join(f"({i}::BIGINT, {10.0 + a - 0.001!r}::DOUBLE, {10.0 + a + 0.001!r}::DOUBLE, {20.0 + b - 0.001!r}::DOUBLE, {20.0 + b + 0.001!r}::DOUBLE)" for i, (a, b) in enumerate(RECTS)) + ") AS rects(rect_id, a0, a1, b0, b1)"
+HIT = "max_lat >= a0 AND min_lat <= a1 AND max_lon >= b0 AND min_lon <= b1"
+
+
+def _rects(s):
+    return s.createDataFrame([(i, 10.0 + a - 0.001, 10.0 + a + 0.001, 20.0 + b - 0.001, 20.0 + b + 0.001) for i, (a, b) in enumerate(RECTS)], "rect_id long, a0 double, a1 double, b0 double, b1 double")
+
+
+def _tiled_join(s, d, degrees=0.01):
+    """A range join as an equi-join on tiles with the exact test behind it: the form for many rectangles; both sides are exploded to the tiles they touch."""
+    cut = lambda df, lo, hi, name: df.withColumn(name, F.explode(F.sequence(F.floor(F.col(lo) / degrees), F.floor(F.col(hi) / degrees))))
+    left = cut(cut(events(s, d), "min_lat", "max_lat", "ty"), "min_lon", "max_lon", "tx")
+    right = cut(cut(_rects(s), "a0", "a1", "ty"), "b0", "b1", "tx")
+    return left.join(right, ["tx", "ty"]).where(HIT).select("rect_id", "fov_id").distinct()
+
+
+register("q_range_join_tiled", _tiled_join, f"SELECT rect_id, fov_id FROM ({E_SQL}), {RECT_SQL} WHERE {HIT}")
+register("q_dense_fovs", lambda s, d: events(s, d).join(F.broadcast(_rects(s)), F.expr(HIT), "left_semi").select("fov_id"), f"SELECT fov_id FROM ({E_SQL}) WHERE EXISTS (SELECT 1 FROM {RECT_SQL} WHERE {HIT})")
+register("q_sparse_fovs", lambda s, d: events(s, d).join(F.broadcast(_rects(s)), F.expr(HIT), "left_anti").select("fov_id"), f"SELECT fov_id FROM ({E_SQL}) WHERE NOT EXISTS (SELECT 1 FROM {RECT_SQL} WHERE {HIT})")
+register("q_interval_join", lambda s, d: carriers.from_events(s, d).join(F.broadcast(s.sql("select cast(i as bigint) as week_no, timestamp_ntz'2024-01-01' + make_interval(0, 0, i) as lo from range(5) as t(i)").withColumn("hi", F.expr("lo + interval 7 days"))), F.expr("t >= lo and t < hi")).groupBy("week_no").agg(F.count("*").alias("n")), "SELECT i AS week_no, count(*) AS n FROM events, range(5) r(i) WHERE ts >= TIMESTAMP '2024-01-01' + to_days((7 * i)::INT) AND ts < TIMESTAMP '2024-01-08' + to_days((7 * i)::INT) GROUP BY i")
+
+
+def _as_of(s, d):
+    """The latest field of view of each video at or before noon of each day, by an equi-join and max_by."""
+    noons = s.sql("select timestamp_ntz'2024-01-01 12:00:00' + make_dt_interval(i) as noon from (select explode(sequence(0, 29)) as i)")
+    rows = carriers.from_events(s, d).join(F.broadcast(noons), F.expr("t <= noon and t > noon - interval 2 days"))
+    return rows.groupBy("video_id", "noon").agg(F.max(F.struct("t", "fov_id")).alias("m")).select("video_id", "noon", "m.fov_id")
+
+
+register("q_asof_video", _as_of, "SELECT user_id AS video_id, noon, arg_max(event_id, (ts, event_id)) AS fov_id FROM events, (SELECT TIMESTAMP '2024-01-01 12:00:00' + to_days(i::INT) AS noon FROM range(30) r(i)) WHERE ts <= noon AND ts > noon - INTERVAL 2 DAY GROUP BY 1, 2")
+register("q_users_per_cell", lambda s, d: _cells(s, d).groupBy("cell_x", "cell_y").agg(F.countDistinct("video_id").alias("videos")), f"SELECT floor((lon - {T2.area.min_lon!r}::DOUBLE) / 0.001::DOUBLE)::BIGINT AS cell_x, floor((lat - {T2.area.min_lat!r}::DOUBLE) / 0.001::DOUBLE)::BIGINT AS cell_y, count(DISTINCT video_id) AS videos FROM ({O.in_range(E_SQL, T2.area)}) GROUP BY 1, 2")
+register("q_users_approx", lambda s, d: _cells(s, d).groupBy("cell_y").agg(F.approx_count_distinct("video_id").alias("videos")))
+
+
+def _cells(s, d):
+    x, y = F.floor((F.col("lon") - T2.area.min_lon) / 0.001), F.floor((F.col("lat") - T2.area.min_lat) / 0.001)
+    return retrieval.fovs_in_range(events(s, d), T2.area).select(x.alias("cell_x"), y.alias("cell_y"), "video_id")
+
+
+register("q_best_cell", lambda s, d: matrix.optimized(events(s, d), T1).groupBy(F.floor(F.col("cell_y") / 10).alias("band")).agg(F.max(F.struct("ci_fixed", -F.col("cell_x"), -F.col("cell_y"))).alias("m")).select("band", F.round(F.col("m.ci_fixed") / 1e12, 6).alias("ci")), f"SELECT floor(cell_y / 10)::BIGINT AS band, round(max(ci_fixed) / 1e12::DOUBLE, 6) AS ci FROM ({M1}) GROUP BY 1")
+register("q_range_percentiles", lambda s, d: carriers.from_events(s, d).agg(*[F.round(F.percentile("r_m", p), 6).alias(f"p{int(100 * p)}") for p in (0.1, 0.5, 0.9)]), f"SELECT {', '.join(f'round(quantile_cont(r_m, {p}), 6) AS p{int(100 * p)}' for p in (0.1, 0.5, 0.9))} FROM ({FOV_E})")
+
+for _n, _f in (("rollup_place", "rollup"), ("cube_place_month", "cube")):
+    _cols = ["region_name", "nation_name"] if _f == "rollup" else ["region_name", "month"]
+    _sel = "region_name, nation_name" if _f == "rollup" else "region_name, month"
+    register(f"q_{_n}", lambda s, d, f=_f, c=_cols: getattr(carriers.from_orders(s, d).withColumn("month", F.month("t")), f)(*c).agg(F.count("*").alias("n"), F.sum(F.floor("r_m")).alias("r_sum")), f"SELECT {_sel}, count(*) AS n, sum(floor(r_m))::BIGINT AS r_sum FROM (SELECT *, month(t)::INT AS month FROM ({FOV_O})) GROUP BY {_f.upper()} ({_sel})")
+
+
+def _sets(s, d):
+    carriers.from_orders(s, d).createOrReplaceTempView("fov_o")
+    return s.sql("select region_name, nation_name, count(*) as n from fov_o group by grouping sets ((region_name), (nation_name), ())")
+
+
+register("q_grouping_sets", _sets, f"SELECT region_name, nation_name, count(*) AS n FROM ({FOV_O}) GROUP BY GROUPING SETS ((region_name), (nation_name), ())")
+register("q_pivot_variant", lambda s, d: carriers.from_events(s, d, "mix30").groupBy("video_id").pivot("alpha", [160.0, 360.0]).agg(F.count(F.lit(1))).select("video_id", F.coalesce("`160.0`", F.lit(0)).alias("pies"), F.coalesce("`360.0`", F.lit(0)).alias("discs")), f"SELECT video_id, count(*) FILTER (alpha = 160) AS pies, count(*) FILTER (alpha = 360) AS discs FROM ({O.fov_events('mix30')}) GROUP BY 1")
+_W = "OVER (PARTITION BY video_id ORDER BY floor(r_m), fov_id % 10)"
+register("q_window_ranks", lambda s, d: _ranks(s, d), f"SELECT fov_id, rank() {_W} AS rank, dense_rank() {_W} AS dense FROM ({FOV_E})")
+
+
+def _ranks(s, d):
+    w = Window.partitionBy("video_id").orderBy(F.floor("r_m"), F.col("fov_id") % 10)
+    return carriers.from_events(s, d).select("fov_id", F.rank().over(w).alias("rank"), F.dense_rank().over(w).alias("dense"))
+
+
+def _range_frame(s, d):
+    w = Window.partitionBy("video_id").orderBy("sec").rangeBetween(-3600 * 24, 0)
+    return carriers.from_events(s, d).withColumn("sec", F.unix_seconds(F.col("t").cast("timestamp"))).select("fov_id", F.count("*").over(w).alias("last_day"))
+
+
+register("q_range_frame", _range_frame, "SELECT event_id AS fov_id, count(*) OVER (PARTITION BY user_id ORDER BY floor(epoch(ts))::BIGINT RANGE BETWEEN 86400 PRECEDING AND CURRENT ROW) AS last_day FROM events")
+register("q_dedup", lambda s, d: carriers.from_events(s, d).union(carriers.from_events(s, d)).dropDuplicates(["fov_id"]).agg(F.count("*").alias("n"), F.sum("fov_id").alias("ids")), "SELECT count(*) AS n, sum(event_id)::BIGINT AS ids FROM events")
+register("q_native_sample", lambda s, d: carriers.from_events(s, d).sample(0.1, 7).select("fov_id"))
+register("q_union_carriers", lambda s, d: carriers.from_events(s, d).select("video_id").unionByName(carriers.from_orders(s, d).select("video_id")).unionByName(carriers.from_lineitem(s, d).select("video_id")).agg(F.count("*").alias("n"), F.countDistinct("video_id").alias("videos")), "SELECT count(*) AS n, count(DISTINCT v) AS videos FROM (SELECT user_id AS v FROM events UNION ALL SELECT o_custkey FROM orders JOIN customer ON o_custkey = c_custkey UNION ALL SELECT o_custkey FROM lineitem JOIN orders ON l_orderkey = o_orderkey JOIN customer ON o_custkey = c_custkey)")
+register("q_cell_label", lambda s, d: matrix.top_cells(matrix.optimized(events(s, d), T1), 5).select("rank", F.format_string("cell-%05d-%05d", "cell_x", "cell_y").alias("label")), f"SELECT rank, printf('cell-%05d-%05d', cell_x, cell_y) AS label FROM ({O.top_of(T1, 'pie60')})")
+register("q_json_props", lambda s, d: table(s, d, "events").select("event_id", F.from_json("props", "k int")["k"].alias("k")), "SELECT event_id, (props::JSON->>'$.k')::INT AS k FROM events")
+register("q_zorder", lambda s, d: table(s, d, "events").select("event_id", geo.z_order(F.col("user_id"), F.col("event_id"), 16).alias("z")), "SELECT event_id, list_sum(list_transform(range(16), lambda b: (((user_id >> b) & 1) << (2 * b)) + (((event_id >> b) & 1) << (2 * b + 1))))::BIGINT AS z FROM events")
+register("q_cells_map", lambda s, d: matrix.top_cells(matrix.optimized(events(s, d), T1), 5).groupBy(F.lit(1).alias("g")).agg(F.map_from_entries(F.collect_list(F.struct("rank", "cell_x"))).alias("m")).select(F.map_filter("m", lambda k, v: k <= 3).alias("m")).select(F.explode("m").alias("rank", "cell_x")), f"SELECT rank, cell_x FROM ({O.top_of(T1, 'pie60')}) WHERE rank <= 3")
+DAY = "date_trunc('day', ts)"
+register("q_window_tumbling", lambda s, d: ingest.window_counts(carriers.from_events(s, d)), f"SELECT {DAY} AS win_start, {DAY} + INTERVAL 1 DAY AS win_end, count(*) AS n FROM events GROUP BY 1, 2")
+register("q_window_sliding", lambda s, d: ingest.window_counts(carriers.from_events(s, d), "sliding"), "SELECT w AS win_start, w + INTERVAL 1 DAY AS win_end, count(*) AS n FROM (SELECT time_bucket(INTERVAL 6 HOUR, ts, TIMESTAMP '1970-01-01') - INTERVAL 6 HOUR * i AS w FROM events, range(4) r(i)) GROUP BY 1, 2")
+register("q_window_session", lambda s, d: ingest.window_counts(carriers.from_events(s, d), "session"), "SELECT user_id AS video_id, min(ts) AS win_start, max(ts) + INTERVAL 6 HOUR AS win_end, count(*) AS n FROM (SELECT *, sum(fresh) OVER (PARTITION BY user_id ORDER BY ts, event_id) AS g FROM (SELECT *, CASE WHEN ts - lag(ts) OVER (PARTITION BY user_id ORDER BY ts, event_id) < INTERVAL 6 HOUR THEN 0 ELSE 1 END AS fresh FROM events)) GROUP BY user_id, g")
+
+
+def _sql_ci(s, d):
+    s.sql("create or replace temporary function ci_of(off double, alpha double, d double, r double) returns double return (case when alpha >= 360 then 1 when off <= alpha / 2 then exp(-off * off / 450) / (15 * sqrt(2 * pi())) else 0 end) * (case when d <= r then exp(-d * d / 1250) / (25 * sqrt(2 * pi())) else 0 end)")
+    table(s, d, "events").createOrReplaceTempView("ev")
+    return s.sql("select event_id, round(ci_of(event_id % 40, if(event_id % 3 = 0, 360, 60), value, 100), 9) as ci from ev")
+
+
+register("q_sql_ci", _sql_ci, "SELECT event_id, round((CASE WHEN event_id % 3 = 0 THEN 1.0 WHEN o <= 30 THEN exp(-o * o / 450.0::DOUBLE) / (15 * sqrt(2 * pi())) ELSE 0 END) * (CASE WHEN value <= 100 THEN exp(-value * value / 1250.0::DOUBLE) / (25 * sqrt(2 * pi())) ELSE 0 END), 9) AS ci FROM (SELECT *, (event_id % 40)::DOUBLE AS o FROM events)")
+
+
+def _udaf(s, d):
+    @F.pandas_udf("long")
+    def second_largest(v: pd.Series) -> int:
+        return int(v.nlargest(2).iloc[-1])
+
+    return matrix.optimized(events(s, d), T0).groupBy("cell_y").agg(second_largest("ci_fixed").alias("second")).select("cell_y", F.round(F.col("second") / 1e12, 6).alias("ci"))
+
+
+register("q_udaf_topk", _udaf, f"SELECT cell_y, round((CASE WHEN count(*) > 1 THEN list_sort(list(ci_fixed), 'DESC')[2] ELSE max(ci_fixed) END) / 1e12::DOUBLE, 6) AS ci FROM ({O.matrix(O.in_range(E_SQL, T0.area), T0)}) GROUP BY cell_y")
+
+
+def _udtf(s, d):
+    from pyspark.sql.functions import udtf
+
+    @udtf(returnType="cell_x bigint, cell_y bigint")
+    class FovCells:
+        """The cells of a span."""
+
+        def eval(self, x0: int, x1: int, y0: int, y1: int):
+            for y in range(y0, y1 + 1):
+                for x in range(x0, x1 + 1):
+                    yield x, y
+
+    s.udtf.register("fov_cells", FovCells)
+    matrix.with_span(matrix.candidates(events(s, d).where("fov_id % 50 = 0"), T0), T0.grid).createOrReplaceTempView("spans")
+    return s.sql("select fov_id, count(*) as cells from spans, lateral fov_cells(x0, x1, y0, y1) group by fov_id")
+
+
+register("q_udtf_cells", _udtf, f"SELECT fov_id, (x1 - x0 + 1) * (y1 - y0 + 1) AS cells FROM ({O.span(O.in_range(E_SQL, T0.area, 'fov_id % 50 = 0'), T0)})")
+
