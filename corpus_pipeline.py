@@ -12,12 +12,14 @@ from pyspark.sql import functions as F
 
 from vistapoint.llm import decontam, minhash, packing, suffix, toxicity
 from vistapoint.llm.storage import checkpointed
+from vistapoint.session import ship
 
 TOXIC = 0.7
 
 
 def drop_toxic(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Documents that a model of the labelled ones scores below TOXIC."""
+    ship(spark)
     labels = spark.read.parquet(f"{sf_dir}/labels.parquet").select("doc_id", "toxic")
     model = toxicity.fit(docs, labels)
     return toxicity.score(docs, model).where(F.col("score") < TOXIC).select(docs.columns)
@@ -25,22 +27,26 @@ def drop_toxic(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
 
 def drop_near_duplicates(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """One document of each group linked by five-word shingles at 0.8."""
+    ship(spark)
     return minhash.keep_one(docs, minhash.Settings())
 
 
 def cut_repeats(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """All documents without the strings of 200 bytes that begin twice or more; n_chars follows the text."""
+    ship(spark)
     left = suffix.remove_repeats(docs).withColumns({"text": F.col("kept_text"), "n_chars": F.length("kept_text").cast("long")})
     return left.select(docs.columns)
 
 
 def drop_leaks(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Documents that hold no benchmark item."""
+    ship(spark)
     return decontam.decontaminate(docs, spark.read.parquet(f"{sf_dir}/benchmark.parquet"))
 
 
 def pack_windows(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """The pieces of all documents in windows of up to 2048 tokens."""
+    ship(spark)
     return packing.pack(docs)
 
 
@@ -58,6 +64,7 @@ ORACLE_SQL = None
 
 def run(spark: SparkSession, sf_dir: str) -> DataFrame:
     """All stages on documents; what a stage keeps is stored in the shared checkpoint folder and read by the next."""
+    ship(spark)
     docs = spark.read.parquet(f"{sf_dir}/documents.parquet")
     for name, stage in STAGES:
         docs = stage(spark, docs, sf_dir)

@@ -17,6 +17,7 @@ import pyarrow as pa
 from pyspark import TaskContext
 from pyspark.sql import DataFrame
 
+from .storage import frugal
 from .tokens import default_tokenizer, encoder
 
 TIERS = (256, 512, 1024, 2048)
@@ -188,6 +189,6 @@ def pack(
         rest = [p for _, pieces in sorted(pool.by_length.items(), reverse=True) for p in pieces]
         yield from emitted(list(closing_windows(rest)))
 
-    return docs.select("doc_id", docs["text"].cast("string")).mapInArrow(run, SCHEMA)
+    return docs.select("doc_id", docs["text"].cast("string")).mapInArrow(frugal(run, keep_words=True), SCHEMA)
 
 

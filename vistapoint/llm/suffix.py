@@ -26,7 +26,7 @@ from pyspark.sql import functions as F
 from pyspark.sql.types import ArrayType, IntegerType
 
 from . import wordhash as wh
-from .storage import checkpointed
+from .storage import checkpointed, frugal
 
 LENGTH = 200
 GRAM = 32
@@ -307,7 +307,7 @@ def _hot_spans(contexts: DataFrame, length: int, block_bytes: int, part_rows: in
     texts = own.select("h", "c1", "c2", "windows", "context").dropDuplicates(["h", "c1", "c2"])
     dealt = texts.join(distinct, ["h", "c1", "c2"]).join(parts, "h").select("h", F.pmod("c1", "parts").alias("part"), "c1", "c2", "windows", "weight", "context")
     dealt = dealt.repartition("h", "part").sortWithinPartitions("h", "part")
-    solved = checkpointed(dealt.mapInArrow(_hot_blocks(length, block_bytes), "h long, c1 long, c2 long, known binary, at array<int>, print array<long>"))
+    solved = checkpointed(dealt.mapInArrow(frugal(_hot_blocks(length, block_bytes)), "h long, c1 long, c2 long, known binary, at array<int>, print array<long>"))
     asked = solved.select("h", "c1", "c2", F.explode(F.arrays_zip("at", "print")).alias("x")).select("h", "c1", "c2", "x.at", "x.print")
     twice = asked.groupBy("h", "print").agg(F.count("*").alias("n")).where("n > 1").drop("n")
     more = asked.join(twice, ["h", "print"], "left_semi").groupBy("h", "c1", "c2").agg(F.collect_list("at").alias("more"))
@@ -323,7 +323,7 @@ def _hot_spans(contexts: DataFrame, length: int, block_bytes: int, part_rows: in
                     found.append((t1, t2, spans_of(mask, places, length).tobytes()))
             yield _span_rows(found)
 
-    return own.select("t1", "t2", "places", "h", "c1", "c2").join(verdict, ["h", "c1", "c2"]).select("t1", "t2", "places", "known", "more").mapInArrow(spans, _SPANS)
+    return own.select("t1", "t2", "places", "h", "c1", "c2").join(verdict, ["h", "c1", "c2"]).select("t1", "t2", "places", "known", "more").mapInArrow(frugal(spans), _SPANS)
 
 
 def remove_repeats(docs: DataFrame, length: int = LENGTH, gram: int = GRAM, hot: int = HOT, block_bytes: int = BLOCK_BYTES, part_rows: int = PART_ROWS) -> DataFrame:
@@ -355,7 +355,7 @@ def remove_repeats(docs: DataFrame, length: int = LENGTH, gram: int = GRAM, hot:
                     often.append(values[counts > 1].view(np.int64))
                 yield pa.RecordBatch.from_arrays([*(batch.column(i).slice(first, n) for i in range(3)), pa.array(np.diff(offsets)), pa.array(once, pa.list_(pa.int64())), pa.array(often, pa.list_(pa.int64()))], ["t1", "t2", "own", "n_bytes", "once", "often"])
 
-    known = checkpointed(keyed.mapInArrow(scan, "t1 long, t2 long, own long, n_bytes long, once array<long>, often array<long>"))
+    known = checkpointed(keyed.mapInArrow(frugal(scan), "t1 long, t2 long, own long, n_bytes long, once array<long>, often array<long>"))
     texts = known.where(F.col("n_bytes") >= length).groupBy("t1", "t2").agg(F.min("own").alias("rep"), F.count("*").alias("m"), F.max("n_bytes").alias("size"))
     texts = checkpointed(texts)
     firsts = known.join(texts, ["t1", "t2"]).where("own = rep").select("t1", "t2", "m", "once", "often")
@@ -364,9 +364,9 @@ def remove_repeats(docs: DataFrame, length: int = LENGTH, gram: int = GRAM, hot:
     wanted = seen.select("t1", "t2", "h").join(counts, "h").groupBy("t1", "t2").agg(F.collect_list(F.when(F.col("total") <= hot, F.col("h"))).alias("cold"), F.collect_list(F.when(F.col("total") > hot, F.col("h"))).alias("hot"))
     wanted = wanted.join(texts, ["t1", "t2"])
     sources = keyed.join(wanted, ["t1", "t2"]).where("own = rep").select("t1", "t2", "m", "text", "cold", "hot")
-    contexts = checkpointed(sources.mapInArrow(_cut_contexts(length, gram), "t1 long, t2 long, m long, h long, context binary, windows int, is_hot boolean, places array<int>"))
+    contexts = checkpointed(sources.mapInArrow(frugal(_cut_contexts(length, gram)), "t1 long, t2 long, m long, h long, context binary, windows int, is_hot boolean, places array<int>"))
     sorted_blocks = contexts.where("not is_hot").select("t1", "t2", "m", "h", "context", "windows", "places").repartition("h").sortWithinPartitions("h")
-    spans = sorted_blocks.mapInArrow(_sort_blocks(length, block_bytes), _SPANS)
+    spans = sorted_blocks.mapInArrow(frugal(_sort_blocks(length, block_bytes)), _SPANS)
     if contexts.where("is_hot").limit(1).count():
         spans = spans.union(_hot_spans(contexts.where("is_hot"), length, block_bytes, part_rows))
     spans = spans.groupBy("t1", "t2").agg(F.collect_list("spans").alias("spans"))
@@ -396,4 +396,4 @@ def remove_repeats(docs: DataFrame, length: int = LENGTH, gram: int = GRAM, hot:
             kinds = (pa.int64(), pa.int64(), pa.int64(), pa.list_(pa.int32()), pa.binary(), pa.string())
             yield pa.RecordBatch.from_arrays([*batch.columns[:place], *(pa.array(c, k) for c, k in zip(columns, kinds, strict=True))], [*batch.schema.names[:place], *added])
 
-    return joined.mapInArrow(cut, schema)
+    return joined.mapInArrow(frugal(cut), schema)

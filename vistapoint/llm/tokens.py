@@ -11,6 +11,8 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
+from .storage import frugal
+
 #: Words that an encoder remembers; twice as many at most are held at once.
 REMEMBERED_WORDS = 400_000
 _ODD_SPACE = re.compile("[\x1c-\x1f\x85\xa0 ᠎ -​    　﻿]")
@@ -106,6 +108,11 @@ def encoder(path: str) -> WordEncoder:
     return _encoders[path]
 
 
+def forget() -> None:
+    """Drop this worker's encoders with all that they remember."""
+    _encoders.clear()
+
+
 def encoded_lengths(docs: DataFrame, text: str | Column = "text", tokenizer: str | None = None, end_ids: int = 0) -> DataFrame:
     """One row per document: n_tokens long, the ids of its whole text plus ``end_ids``. Null counts as empty."""
     path = tokenizer or default_tokenizer()
@@ -117,7 +124,7 @@ def encoded_lengths(docs: DataFrame, text: str | Column = "text", tokenizer: str
             yield pa.RecordBatch.from_arrays([pa.array(lengths, pa.int64())], ["n_tokens"])
 
     column = F.col(text) if isinstance(text, str) else text
-    return docs.select(column.cast("string").alias("text")).mapInArrow(count, "n_tokens long")
+    return docs.select(column.cast("string").alias("text")).mapInArrow(frugal(count, keep_words=True), "n_tokens long")
 
 
 def length_histogram(docs: DataFrame, text: str | Column = "text", tokenizer: str | None = None, end_ids: int = 0) -> DataFrame:

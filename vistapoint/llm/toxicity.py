@@ -18,6 +18,7 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from . import wordhash as wh
+from .storage import frugal
 
 #: Labelled rows that a model is fitted on at most: those with the smallest hashes of their ids.
 MAX_TRAINING_ROWS = 12_000
@@ -123,8 +124,8 @@ def fit(docs: DataFrame, labels: DataFrame, settings: Settings = Settings(), max
         yield pa.RecordBatch.from_arrays([pa.array(at, pa.int64()), pa.array(w[at], pa.float64())], ["slot", "weight"])
 
     texts = docs.select("doc_id", docs["text"].cast("string").alias("text")).join(F.broadcast(chosen), "doc_id").select("turn", "toxic", "text")
-    seen = texts.mapInArrow(features, "turn long, toxic int, at binary").repartition(1).sortWithinPartitions("turn", "at")
-    rows = seen.mapInArrow(learn, "slot long, weight double").toPandas()
+    seen = texts.mapInArrow(frugal(features), "turn long, toxic int, at binary").repartition(1).sortWithinPartitions("turn", "at")
+    rows = seen.mapInArrow(frugal(learn), "slot long, weight double").toPandas()
     own = rows[rows["slot"] < settings.slots]
     return Model(settings.slots, float(rows.loc[rows["slot"] == settings.slots, "weight"].sum()), own["slot"].to_numpy(np.int32), own["weight"].to_numpy(np.float32))
 
@@ -150,7 +151,7 @@ def score(docs: DataFrame, model: Model) -> DataFrame:
                 out[first : first + len(logits)] = 1 / (1 + np.exp(-np.clip(logits + model.bias, -35, 35)))
             yield pa.RecordBatch.from_arrays([*batch.columns, pa.array(out, pa.float64())], [*batch.schema.names, "score"])
 
-    return docs.select([docs[c] for c in names]).mapInArrow(run, schema.add("score", "double"))
+    return docs.select([docs[c] for c in names]).mapInArrow(frugal(run), schema.add("score", "double"))
 
 
 def remainder(doc_id: str = "doc_id") -> Column:

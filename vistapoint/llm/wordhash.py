@@ -13,7 +13,7 @@ import pyarrow as pa
 import pyarrow.compute as pc
 
 U64 = np.uint64
-CHUNK_BYTES = 2_000_000
+CHUNK_BYTES = 1_000_000
 
 _rng = np.random.Generator(np.random.PCG64(20_240_117))
 BYTE_CODES = _rng.integers(1, 2**63, 256, dtype=U64) * U64(2) + U64(1)
