@@ -21,8 +21,8 @@ from .retrieval import candidates
 
 #: Fields of view that the naive method broadcasts at most.
 NAIVE_LIMIT = 200_000
-#: Pairs of field of view and cell from which the tiled form is used.
-TILED_FROM = 100_000_000
+#: Pairs of field of view and cell from which the tiled form is used; below, starting Python workers costs more than it saves.
+TILED_FROM = 5_000_000
 TILE = 256
 _SHAPE = ("lat", "lon", "theta", "r_m", "alpha")
 

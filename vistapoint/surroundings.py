@@ -4,6 +4,7 @@ from __future__ import annotations
 
 import tempfile
 import uuid
+from dataclasses import replace
 
 import pandas as pd
 from pyspark.sql import Window
@@ -11,11 +12,15 @@ from pyspark.sql import functions as F
 
 from . import oracles as O
 from .functions import geo
+from .functions.noise import u01_sql
 
-from .operators import matrix, retrieval
+from .operators import matrix, measures, retrieval, sampler
 from .sources import carriers, formats, store, synthetic
 from .streaming import ingest
-from .workloads import FOV_E, FOV_O, M1, T0, T1, T2, events, register, rounded_sql, rounded, table
+from .workloads import FOV_E, FOV_O, M1, OPT, QUERIES, SQL, T0, T1, T2, events, register, rounded, rounded_sql, table, top
+
+IN_MIX = O.in_range(O.fov_with_mbr("mix30"), T1.area)
+NOISE = u01_sql("s0", "fov_id")
 
 E_SQL = O.fov_with_mbr("pie60")
 
@@ -196,3 +201,38 @@ def _udtf(s, d):
 
 register("q_udtf_cells", _udtf, f"SELECT fov_id, (x1 - x0 + 1) * (y1 - y0 + 1) AS cells FROM ({O.span(O.in_range(E_SQL, T0.area, 'fov_id % 50 = 0'), T0)})")
 
+
+
+# --- further measures, and the names under which the blueprint lists some queries -----------------------------------------
+
+
+def _processed_cells(s, d):
+    """grid_cells of all cluster rectangles, and cell_visits: pairs evaluated for the fields of view seen when each cluster stopped."""
+    ready = sampler.prepare(events(s, d), T1, OPT)
+    stops = sampler.trace(ready, T1, OPT).where("iter = stop").select("cluster_id", "stop")
+    grid = ready.rects.agg(F.sum((F.col("cx1") - F.col("cx0") + 1) * (F.col("cy1") - F.col("cy0") + 1)).alias("grid_cells"))
+    spans = matrix.with_span(ready.members, T1.grid).join(F.broadcast(stops), "cluster_id").where("batch <= stop")
+    w = F.greatest(F.least("x1", "cx1") - F.greatest("x0", "cx0") + 1, F.lit(0)) * F.greatest(F.least("y1", "cy1") - F.greatest("y0", "cy0") + 1, F.lit(0))
+    return grid.crossJoin(spans.agg(F.sum(w).alias("cell_visits")))
+
+
+register(
+    "q_processed_cells",
+    _processed_cells,
+    O.clustered("pie60", T1, OPT, f"SELECT (SELECT sum((cx1 - cx0 + 1) * (cy1 - cy0 + 1))::BIGINT FROM ranges) AS grid_cells, sum(greatest(least(x1, cx1) - greatest(x0, cx0) + 1, 0) * greatest(least(y1, cy1) - greatest(y0, cy0) + 1, 0))::BIGINT AS cell_visits FROM ({O.span('SELECT * FROM mem', T1)}) JOIN stops USING (cluster_id) WHERE batch <= stop"),
+)
+COARSE = replace(T1, cell=0.0005)
+
+
+def _coarse(s, d):
+    """The summed distance between the fine list and the coarse one, whose cells count by their middle fine cell."""
+    fine, coarse = top(s, d, T1), top(s, d, COARSE)
+    return measures.diff(fine, coarse.withColumns({"cell_x": F.col("cell_x") * 5 + 2, "cell_y": F.col("cell_y") * 5 + 2}), T1)
+
+
+register("q_coarse_vs_fine", _coarse, O.greedy(O.top_of(T1, "pie60"), f"SELECT rank, cell_x * 5 + 2 AS cell_x, cell_y * 5 + 2 AS cell_y FROM ({O.top_of(COARSE, 'pie60')})", T1))
+register("q_diff_within_20m", lambda s, d: measures.diff(top(s, d, T1, "mix30"), top(s, d, T1, "mix30", "single_sample", fraction=0.5), T1).select("within"), f"SELECT within FROM ({O.greedy(O.top_of(T1, 'mix30'), O.top(O.matrix(f'SELECT * FROM ({IN_MIX}) ORDER BY {NOISE}, fov_id LIMIT (SELECT ceil(round(0.5 * count(*), 9))::BIGINT FROM ({IN_MIX}))', T1), 5), T1)})")
+for _alias, _name in {"q_fov_mbr": "q_fov_mbr_pie60", "q_region_stats": "q_region_stats_t1", "q_cells_per_mbr": "q_cells_per_mbr_t1_pie60", "q_clis_prefix": "q_clis_prefix_relative", "q_topk_tiled": "q_topk_tiled_pie60", "q_topk_per_week": "q_w17_weekly"}.items():
+    QUERIES[_alias] = QUERIES[_name]
+    SQL[_alias] = SQL[_name]
+QUERIES["q_w10_sweep"] = QUERIES["q_threshold_sweep"]
