@@ -2,11 +2,14 @@
 
 1. Every whole text becomes a set of word shingles, a MinHash signature and one key for each band of it.
 2. Texts with equal sets form classes; only each class's least document goes on.
-3. Documents that share a band key are candidates. A bucket is not expanded into pairs: each member is compared with
-   the bucket's least member, and after the links found so far have been joined into components, only pairs of one bucket
-   that lie in different components are compared further (by fresh leaders while those pairs are many, then all).
-4. A candidate's signatures are compared batch by batch; it is dropped once the posterior probability of the wanted
-   similarity falls below the chosen miss probability. Survivors are confirmed on their full sets.
+3. Documents that share a band key are candidates. A bucket is not expanded into pairs: its members are compared with a
+   leader by their signatures, and what is far from the leader gets another one, until none is left. Documents that are not
+   far apart so form families. Two documents above the threshold that share a bucket are in one family, by the triangle
+   inequality of the Jaccard distance.
+4. In a family, links join documents into components. Members outside the largest one are compared with all members of other
+   components, block against block: a few of each family first, since most then join the largest, and in the end all that are left.
+   Signatures are compared batch by batch; a pair is dropped once the posterior probability of the wanted similarity falls
+   below the chosen miss probability. Survivors are confirmed on their full sets, best first; pairs that links already join need none.
 """
 
 from __future__ import annotations
@@ -21,8 +24,8 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from . import wordhash as wh
-from .components import connected_components
-from .storage import checkpointed
+from .components import ONE_TASK_EDGES, connected_components
+from .storage import checkpointed, frugal
 
 
 @dataclass(frozen=True)
@@ -35,6 +38,9 @@ class Settings:
     rows: int = 5
     batch: int = 40
     miss: float = 1e-7
+    #: Shares of equal signature places: from ``near`` on two documents are one family; below ``far`` another leader is asked.
+    near: float = 0.15
+    far: float = 0.45
 
     @property
     def size(self) -> int:
@@ -102,20 +108,20 @@ def features(docs: DataFrame, s: Settings) -> DataFrame:
                     bands[row] = keys
                 yield pa.RecordBatch.from_arrays([batch.column(0).slice(first, len(n)), pa.array(n.astype(np.int64)), pa.array(one), pa.array(two), pa.array(bands, pa.list_(pa.int64()))], ["doc_id", "n_shingles", "set1", "set2", "bands"])
 
-    return docs.select(F.col("doc_id").cast("long"), F.col("text").cast("string")).mapInArrow(run, "doc_id long, n_shingles long, set1 long, set2 long, bands array<long>")
+    return docs.select(F.col("doc_id").cast("long"), F.col("text").cast("string")).mapInArrow(frugal(run), "doc_id long, n_shingles long, set1 long, set2 long, bands array<long>")
 
 
 def profiles(docs: DataFrame, s: Settings) -> DataFrame:
-    """doc_id, signature and hashes (the full set, sorted), both binary, of texts with words."""
+    """doc_id, signature, sketch (the low byte of each place of it) and hashes (the full set, sorted), all binary, of texts with words."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
             for first, h, bounds in _sets(batch.column(1), s.shingle):
                 full, sig = _signed(h, bounds, s.size)
                 sets = [h[bounds[i] : bounds[i + 1]].tobytes() for i in full]
-                yield pa.RecordBatch.from_arrays([batch.column(0).take(pa.array(full + first)), pa.array([x.tobytes() for x in sig], pa.binary()), pa.array(sets, pa.binary())], ["doc_id", "signature", "hashes"])
+                yield pa.RecordBatch.from_arrays([batch.column(0).take(pa.array(full + first)), pa.array([x.tobytes() for x in sig], pa.binary()), pa.array([x.tobytes() for x in sig.astype(np.uint8)], pa.binary()), pa.array(sets, pa.binary())], ["doc_id", "signature", "sketch", "hashes"])
 
-    return docs.select(F.col("doc_id").cast("long"), F.col("text").cast("string")).mapInArrow(run, "doc_id long, signature binary, hashes binary")
+    return docs.select(F.col("doc_id").cast("long"), F.col("text").cast("string")).mapInArrow(frugal(run), "doc_id long, signature binary, sketch binary, hashes binary")
 
 
 def least_matches(s: Settings) -> list[tuple[int, int]]:
@@ -136,59 +142,138 @@ def least_matches(s: Settings) -> list[tuple[int, int]]:
     return out
 
 
-def _bayes(pairs: DataFrame, s: Settings) -> DataFrame:
-    """(a, b) of those pairs (a, b, of_a, of_b: signatures) that the sequential test does not prune."""
-    steps = least_matches(s)
-
-    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for batch in batches:
-            left = np.frombuffer(b"".join(batch.column(2).to_pylist()), np.uint32).reshape(-1, s.size)
-            right = np.frombuffer(b"".join(batch.column(3).to_pylist()), np.uint32).reshape(-1, s.size)
-            alive, matches, done = np.arange(len(left)), np.zeros(len(left), np.int64), 0
-            for k, least in steps:
-                matches = matches + (left[alive, done:k] == right[alive, done:k]).sum(axis=1)
-                keep = matches >= least
-                alive, matches, done = alive[keep], matches[keep], k
-            yield batch.select([0, 1]).take(pa.array(alive))
+def _estimates(pairs: DataFrame, known: DataFrame, s: Settings) -> DataFrame:
+    """(a, b, near, far) of pairs (a, b): whether their sketches agree in enough places for one family, and in few enough to ask on.
 
-    return pairs.mapInArrow(run, "a long, b long")
-
-
-def _exact(pairs: DataFrame, percent: int) -> DataFrame:
-    """(u, v) of those pairs (a, b, of_a, of_b: sorted 64-bit hashes) whose full sets are similar enough."""
+    known: the candidates' profiles, laid out by doc_id, so that no join moves them all: pairs travel to b's profile, and of
+    a's only those asked for are dealt anew, in a join that AQE may split where one document leads very many pairs.
+    """
+    leaders = known.join(pairs.select(F.col("a").alias("doc_id")).distinct(), "doc_id", "left_semi").select((F.col("doc_id") - F.lit(0)).alias("a"), F.col("sketch").alias("of_a"))
+    both = known.select(F.col("doc_id").alias("b"), F.col("sketch").alias("of_b")).join(pairs, "b").join(leaders, "a").select("a", "b", "of_a", "of_b")
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
-            keep = []
-            for i in range(len(batch)):
-                x, y = (np.frombuffer(batch.column(j)[i].as_buffer(), np.uint64) for j in (2, 3))
-                if min(len(x), len(y)) * 100 < max(len(x), len(y)) * percent:
-                    continue
-                at = np.searchsorted(y, x)
-                both = int((y[np.minimum(at, len(y) - 1)] == x).sum())
-                if both * 100 >= percent * (len(x) + len(y) - both):
-                    keep.append(i)
-            yield pa.RecordBatch.from_arrays([batch.column(0).take(pa.array(keep, pa.int32())), batch.column(1).take(pa.array(keep, pa.int32()))], ["u", "v"])
+            left, right = (np.frombuffer(b"".join(batch.column(i).to_pylist()), np.uint8).reshape(-1, s.size) for i in (2, 3))
+            share = (left == right).mean(axis=1)
+            yield pa.RecordBatch.from_arrays([batch.column(0), batch.column(1), pa.array(share >= s.near), pa.array(share < s.far)], ["a", "b", "near", "far"])
 
-    return pairs.mapInArrow(run, "u long, v long")
+    return both.mapInArrow(frugal(run), "a long, b long, near boolean, far boolean")
 
 
-def verified(pairs: DataFrame, known: DataFrame, s: Settings) -> DataFrame:
-    """Those of the candidate pairs (a, b) that are links, as (u, v).
+def _families(shared: DataFrame, known: DataFrame, s: Settings) -> DataFrame:
+    """(node, component): the family of every document that is near another one. shared: key, doc_id of buckets with two or more.
 
-    known: the candidates' profiles, laid out by doc_id, so that no join moves them all: pairs travel to b's profile, and of
-    a's only those asked for are dealt anew, in a join that AQE may split where one document leads very many pairs.
+    Every member of a bucket is compared with the same leaders, in the first round one, later sixteen times as many each time;
+    those far from all of them go on. Two documents above the threshold can only part if one is not far from a leader, and
+    then the other is near it, so both are in its family.
     """
+    edges, rest, leaders = None, shared, 1
+    while True:
+        sizes = rest.groupBy("key").agg(F.min("doc_id").alias("first"), F.count("*").alias("m")).where("m > 1")
+        members = rest.join(sizes, "key")
+        leading = (F.col("doc_id") == F.col("first")) | (F.pmod(F.xxhash64("doc_id", F.lit(leaders)), F.ceil(F.col("m") / leaders)) == 0) if leaders > 1 else F.col("doc_id") == F.col("first")
+        members = checkpointed(members.select("key", "doc_id", leading.alias("leads")))
+        asked = members.where("leads").select("key", F.col("doc_id").alias("a")).join(members.select("key", F.col("doc_id").alias("b"), "leads"), "key").where("a <> b and (not leads or a < b)")
+        judged = checkpointed(_estimates(asked.select("a", "b").distinct(), known, s))
+        found = judged.where("near").select(F.col("a").alias("u"), F.col("b").alias("v"))
+        edges = found if edges is None else edges.union(found)
+        settled = asked.where("not leads").join(judged.where("not far").select("a", "b"), ["a", "b"]).select("key", F.col("b").alias("doc_id"))
+        rest = checkpointed(members.where("not leads").select("key", "doc_id").join(settled, ["key", "doc_id"], "left_anti"))
+        if not rest.groupBy("key").count().where("count > 1").limit(1).count():
+            return checkpointed(connected_components(edges, one_task_edges=ONE_TASK_EDGES))
+        leaders *= 16
+
+
+def _block_links(s: Settings):
+    """(u, v) links between the queries and the targets of blocks; rows come ordered by block."""
+    steps = least_matches(s)
 
-    def both(pairs: DataFrame, column: str) -> DataFrame:
-        leaders = known.join(pairs.select(F.col("a").alias("doc_id")).distinct(), "doc_id", "left_semi").select((F.col("doc_id") - F.lit(0)).alias("a"), F.col(column).alias("of_a"))
-        return known.select(F.col("doc_id").alias("b"), F.col(column).alias("of_b")).join(pairs, "b").join(leaders, "a").select("a", "b", "of_a", "of_b")
+    def solve(rows: list[tuple]) -> list[tuple[int, int]]:
+        asking, asked = [r for r in rows if r[3]], [r for r in rows if not r[3]]
+        if not asking or not asked:
+            return []
+        sets = [np.frombuffer(r[7], np.uint64) for r in asked]
+        sizes = np.array([len(x) for x in sets])
+        ids, roots = np.array([r[4] for r in asked]), np.array([r[5] for r in asked])
+        # Targets that also ask in some block meet each pair twice; the one with the smaller query counts.
+        strays = np.array([r[8] for r in asked])
+        signs = np.frombuffer(b"".join(r[6] for r in asked), np.uint32).reshape(-1, s.size)
+        parent: dict[int, int] = {}
+
+        def root(c: int) -> int:
+            while parent.get(c, c) != c:
+                c = parent[c]
+            return c
+
+        out = []
+        for _, _, _, _, doc, component, sign, hashes, _ in asking:
+            x, own = np.frombuffer(hashes, np.uint64), np.frombuffer(sign, np.uint32)
+            alive = np.flatnonzero((roots != component) & (np.minimum(sizes, len(x)) * 100 >= np.maximum(sizes, len(x)) * s.percent) & (~strays | (ids > doc)))
+            matches, done = np.zeros(len(alive), np.int64), 0
+            for k, least in steps:
+                matches = matches + (signs[alive, done:k] == own[done:k]).sum(axis=1)
+                keep = matches >= least
+                alive, matches, done = alive[keep], matches[keep], k
+            for i in alive[np.argsort(-matches, kind="stable")].tolist():
+                here, there = root(component), root(int(roots[i]))
+                if here == there:
+                    continue
+                y = sets[i]
+                both = int((y[np.minimum(np.searchsorted(y, x), len(y) - 1)] == x).sum())
+                if both * 100 >= s.percent * (len(x) + len(y) - both):
+                    out.append((doc, int(ids[i])))
+                    parent[here] = there
+        return out
 
-    alive = checkpointed(_bayes(both(pairs, "signature"), s))
-    return _exact(both(alive, "hashes"), s.percent)
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        block: list[tuple] = []
+        for batch in batches:
+            for row in zip(*(batch.column(i).to_pylist() for i in range(9)), strict=True):
+                if block and block[-1][:3] != row[:3]:
+                    found = solve(block)
+                    block = []
+                    if found:
+                        yield pa.RecordBatch.from_arrays([pa.array(x, pa.int64()) for x in zip(*found, strict=True)], ["u", "v"])
+                block.append(row)
+        found = solve(block)
+        if found:
+            yield pa.RecordBatch.from_arrays([pa.array(x, pa.int64()) for x in zip(*found, strict=True)], ["u", "v"])
+
+    return run
+
+
+def _links(families: DataFrame, known: DataFrame, s: Settings, asking: tuple[int, ...], chunk: int) -> DataFrame | None:
+    """(node, component) by links inside families: rounds ask about so many strays of each family, the last about all."""
+    links = components = None
+    for most in (*asking, None):
+        placed = families.select(F.col("node").alias("doc_id"), F.col("component").alias("family"))
+        if components is None:
+            placed = placed.withColumn("c", F.col("doc_id"))
+        else:
+            placed = placed.join(components, placed["doc_id"] == components["node"], "left").select("doc_id", "family", F.coalesce("component", "doc_id").alias("c"))
+        placed = checkpointed(placed)
+        sizes = placed.groupBy("family", "c").agg(F.count("*").alias("n"))
+        sizes = sizes.groupBy("family").agg(F.sum("n").alias("members"), F.max(F.struct("n", "c")).alias("top")).select("family", "members", F.col("top.c").alias("largest"), (F.col("members") - F.col("top.n")).alias("strays")).where("strays > 0")
+        sizes = checkpointed(sizes)
+        widest = sizes.agg(F.max("strays")).first()[0]
+        if widest is None:
+            break
+        each = F.lit(1) if most is None else F.ceil(F.col("strays") / most)
+        cut = lambda n: F.greatest(F.ceil(n / chunk), F.lit(1))
+        rows = placed.join(sizes, "family").withColumns({"stray": F.col("c") != F.col("largest"), "every": each, "down": cut(F.col("strays") / each), "across": cut(F.col("members"))})
+        rows = rows.withColumn("asks", F.col("stray") & (F.pmod(F.xxhash64("doc_id", F.lit(most or 0)), F.col("every")) == 0))
+        target = rows.select("family", F.explode(F.sequence(F.lit(0).cast("long"), F.col("down") - 1)).alias("i"), F.pmod(F.xxhash64("doc_id", F.lit("t")), "across").alias("j"), F.lit(False).alias("query"), "doc_id", "c", F.col("asks").alias("twice"))
+        query = rows.where("asks").select("family", F.pmod(F.xxhash64("doc_id", F.lit("q")), "down").alias("i"), F.explode(F.sequence(F.lit(0).cast("long"), F.col("across") - 1)).alias("j"), F.lit(True).alias("query"), "doc_id", "c", F.lit(False).alias("twice"))
+        full = known.join(target.union(query), "doc_id").select("family", "i", "j", "query", "doc_id", "c", "signature", "hashes", "twice")
+        more = checkpointed(full.repartition("family", "i", "j").sortWithinPartitions("family", "i", "j", "query", "doc_id").mapInArrow(frugal(_block_links(s)), "u long, v long"))
+        links = more if links is None else links.union(more)
+        components = checkpointed(connected_components(links, one_task_edges=ONE_TASK_EDGES))
+        if most is None or widest <= most:
+            break
+    return components
 
 
-def near_duplicates(docs: DataFrame, settings: Settings = Settings(), cross_pairs_per_row: int = 4, leader_rounds: int = 6, star: int = 2_000) -> DataFrame:  # noqa: B008
+def near_duplicates(docs: DataFrame, settings: Settings = Settings(), asking: tuple[int, ...] = (64,), chunk: int = 500) -> DataFrame:  # noqa: B008
     """doc_id, n_shingles, component_id, kept, one row for each row of ``docs`` (doc_id, text).
 
     component_id is the least doc_id that links of similarity >= percent / 100 lead to; kept says that it is the row's own.
@@ -200,50 +285,21 @@ def near_duplicates(docs: DataFrame, settings: Settings = Settings(), cross_pair
     seen = checkpointed(features(docs, s))
     whole = seen.where(F.col("doc_id").isNotNull() & (F.col("n_shingles") > 0))
     classes = whole.groupBy("set1", "set2").agg(F.min("doc_id").alias("rep"))
-    member = whole.select("doc_id", "n_shingles", "set1", "set2", "bands").join(classes, ["set1", "set2"]).where("doc_id = rep")
-    slots = member.select("doc_id", F.col("n_shingles").alias("n"), F.explode("bands").alias("key"))
-    buckets = slots.groupBy("key").agg(F.min("doc_id").alias("leader"), F.max("doc_id").alias("last"), F.count("*").alias("m")).where("leader < last").drop("last")
-    shared = checkpointed(slots.join(buckets, "key"))
-    # Large buckets get a leader for every ``star`` members or so, and these leaders are compared with the bucket's own.
-    large = shared.where(F.col("m") > star).withColumn("part", F.pmod(F.xxhash64("doc_id"), F.ceil(F.col("m") / star)))
-    parts = large.groupBy("key", "part").agg(F.min("doc_id").alias("first"), F.min("leader").alias("leader"))
-    pairs = shared.where(F.col("m") <= star).select(F.col("leader").alias("a"), F.col("doc_id").alias("b"))
-    pairs = pairs.union(large.join(parts.select("key", "part", "first"), ["key", "part"]).select("first", "doc_id")).union(parts.select("leader", "first"))
-    pairs = checkpointed(pairs.where("a <> b").distinct())
+    member = whole.select("doc_id", "set1", "set2", "bands").join(classes, ["set1", "set2"]).where("doc_id = rep")
+    slots = member.select("doc_id", F.explode("bands").alias("key"))
+    buckets = slots.groupBy("key").agg(F.min("doc_id").alias("first"), F.max("doc_id").alias("last")).where("first < last").select("key")
+    shared = checkpointed(slots.join(buckets, "key").distinct())
     texts = docs.select(F.col("doc_id").cast("long"), F.col("text").cast("string")).join(shared.select("doc_id").distinct(), "doc_id", "left_semi")
     known = checkpointed(profiles(texts, s).repartition(max(int(docs.sparkSession.conf.get("spark.sql.shuffle.partitions")), 1), "doc_id"))
-    links = checkpointed(verified(pairs, known, s))
-    components = checkpointed(connected_components(links))
-
-    for turn in range(leader_rounds + 1):
-        placed = shared.join(components, shared["doc_id"] == components["node"], "left").where(f"doc_id <> leader or m > {star}").select("key", "doc_id", "n", F.coalesce("component", "doc_id").alias("c"))
-        # What a bucket still asks for: pairs of members in different components, other than those with its first leader.
-        split = placed.groupBy("key", "c").agg(F.count("*").alias("m")).groupBy("key").agg(((F.sum("m") * F.sum("m") - F.sum(F.col("m") * F.col("m"))) / 2).alias("cross"), F.sum("m").alias("all")).where("cross > 0")
-        split = checkpointed(split)
-        cross, rows = split.agg(F.coalesce(F.sum("cross"), F.lit(0.0)), F.coalesce(F.sum("all"), F.lit(0))).first()
-        if not cross:
-            break
-        open_rows = checkpointed(placed.join(split.select("key"), "key", "left_semi"))
-        last = turn == leader_rounds or cross <= cross_pairs_per_row * rows
-        if last:
-            x, y = open_rows.alias("x"), open_rows.alias("y")
-            pairs = x.join(y, (F.col("x.key") == F.col("y.key")) & (F.col("x.doc_id") < F.col("y.doc_id")) & (F.col("x.c") != F.col("y.c")))
-        else:
-            fresh = open_rows.groupBy("key").agg(F.min(F.struct(F.xxhash64("doc_id", F.lit(turn)), "doc_id", "n", "c")).alias("first"))
-            x = fresh.select("key", "first.doc_id", "first.n", "first.c").alias("x")
-            y = open_rows.alias("y")
-            pairs = x.join(y, (F.col("x.key") == F.col("y.key")) & (F.col("x.c") != F.col("y.c")))
-        near = F.least("x.n", "y.n") * 100 >= F.greatest("x.n", "y.n") * s.percent
-        pairs = pairs.where(near).select(F.least("x.doc_id", "y.doc_id").alias("a"), F.greatest("x.doc_id", "y.doc_id").alias("b")).distinct()
-        more = checkpointed(verified(pairs, known, s))
-        links = links.union(more)
-        components = checkpointed(connected_components(links))
-        if last:
-            break
+    components = _links(_families(shared, known, s), known, s, asking, chunk)
 
     own = seen.select("doc_id", "n_shingles", "set1", "set2")
     placed = own.join(classes, (own["set1"] == classes["set1"]) & (own["set2"] == classes["set2"]) & (own["n_shingles"] > 0), "left").select("doc_id", "n_shingles", "rep")
-    placed = placed.join(components, placed["rep"] == components["node"], "left").select("doc_id", "n_shingles", F.when(F.col("doc_id").isNotNull(), F.coalesce("component", "rep", "doc_id")).alias("component_id"))
+    if components is None:
+        placed = placed.withColumn("component", F.col("rep"))
+    else:
+        placed = placed.join(components, placed["rep"] == components["node"], "left")
+    placed = placed.select("doc_id", "n_shingles", F.when(F.col("doc_id").isNotNull(), F.coalesce("component", "rep", "doc_id")).alias("component_id"))
     return placed.withColumn("kept", F.coalesce(F.col("doc_id") == F.col("component_id"), F.lit(True)))
 
 
