@@ -100,7 +100,7 @@ def trajectory(fovs: DataFrame, lat0: float = LAT0) -> DataFrame:
     w = Window.partitionBy("video_id").orderBy("t", "fov_id")
     dx = (F.col("lon") - F.lag("lon").over(w)) * F.lit(geo.east_scale(lat0))
     dy = (F.col("lat") - F.lag("lat").over(w)) * F.lit(geo.METRES_PER_DEGREE)
-    return fovs.select("fov_id", "video_id", F.row_number().over(w).alias("step"), geo.distance(dx, dy).alias("step_m"))
+    return fovs.select("fov_id", "video_id", F.row_number().over(w).cast("long").alias("step"), geo.distance(dx, dy).alias("step_m"))
 
 
 def range_histogram(fovs: DataFrame, landmarks: DataFrame, width_m: float = 50.0, far_m: float = 2000.0, lat0: float = LAT0) -> DataFrame:

@@ -144,11 +144,11 @@ def camera_cells(fovs: DataFrame, query: Query) -> DataFrame:
 def top_cells(matrix: DataFrame, k: int) -> DataFrame:
     """The k largest cells: rank, cell_x, cell_y, ci; ties by cell_y, then cell_x. Each partition keeps k rows only."""
     best = matrix.orderBy(F.col("ci_fixed").desc(), "cell_y", "cell_x").limit(k)
-    rank = F.row_number().over(Window.orderBy(F.col("ci_fixed").desc(), "cell_y", "cell_x"))
+    rank = F.row_number().over(Window.orderBy(F.col("ci_fixed").desc(), "cell_y", "cell_x")).cast("long")
     return best.select(rank.alias("rank"), "cell_x", "cell_y", F.round(F.col("ci_fixed") / FIXED, 6).alias("ci"))
 
 
 def top_per_group(matrix: DataFrame, group: str, k: int) -> DataFrame:
     """The k largest cells of each group."""
     w = Window.partitionBy(group).orderBy(F.col("ci_fixed").desc(), "cell_y", "cell_x")
-    return matrix.withColumn("rank", F.row_number().over(w)).where(F.col("rank") <= k).select(group, "rank", "cell_x", "cell_y", F.round(F.col("ci_fixed") / FIXED, 6).alias("ci"))
+    return matrix.withColumn("rank", F.row_number().over(w).cast("long")).where(F.col("rank") <= k).select(group, "rank", "cell_x", "cell_y", F.round(F.col("ci_fixed") / FIXED, 6).alias("ci"))

@@ -140,7 +140,7 @@ register("q_window_ranks", lambda s, d: _ranks(s, d), f"SELECT fov_id, rank() {_
 
 def _ranks(s, d):
     w = Window.partitionBy("video_id").orderBy(F.floor("r_m"), F.col("fov_id") % 10)
-    return carriers.from_events(s, d).select("fov_id", F.rank().over(w).alias("rank"), F.dense_rank().over(w).alias("dense"))
+    return carriers.from_events(s, d).select("fov_id", F.rank().over(w).cast("long").alias("rank"), F.dense_rank().over(w).cast("long").alias("dense"))
 
 
 def _range_frame(s, d):

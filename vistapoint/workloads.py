@@ -157,7 +157,7 @@ register("q_topk_naive_sample", lambda s, d: _sampled(s, d, T0, method="naive"),
 IN1 = O.in_range(O.fov_with_mbr("pie60"), T1.area)
 register("q_sample_exact", lambda s, d: sampling.exact_size(matrix.candidates(events(s, d), T1), 0.1).select("fov_id"), f"SELECT fov_id FROM ({IN1}) ORDER BY {u01_sql('s0', 'fov_id')}, fov_id LIMIT (SELECT ceil(round(0.1 * count(*), 9))::BIGINT FROM ({IN1}))")
 register("q_topk_exact_sample", lambda s, d: top(s, d, T1, method="single_sample", fraction=0.3), O.top(O.matrix(f"SELECT * FROM ({IN1}) ORDER BY {u01_sql('s0', 'fov_id')}, fov_id LIMIT (SELECT ceil(round(0.3 * count(*), 9))::BIGINT FROM ({IN1}))", T1), 5))
-register("q_sample_batches", lambda s, d: sampling.batches(events(s, d), 20, "video_id").select("fov_id", "video_id", "batch"), f"SELECT fov_id, video_id, ntile(20) OVER (PARTITION BY video_id ORDER BY {u01_sql('s0', 'fov_id')}, fov_id) AS batch FROM ({FOV_E})")
+register("q_sample_batches", lambda s, d: sampling.batches(events(s, d), 20, "video_id").select("fov_id", "video_id", F.col("batch").cast("long")), f"SELECT fov_id, video_id, ntile(20) OVER (PARTITION BY video_id ORDER BY {u01_sql('s0', 'fov_id')}, fov_id) AS batch FROM ({FOV_E})")
 register("q_sample_batches_hash", lambda s, d: sampling.batches(events(s, d), 20, mode="hash").groupBy("batch").agg(F.count("*").alias("n")), f"SELECT (floor({u01_sql('s0', 'event_id')} * 20) + 1)::INT AS batch, count(*) AS n FROM events GROUP BY 1")
 register("q_remaining_fovs", lambda s, d: sampling.remaining(sampling.batches(events(s, d), 20, mode="hash"), 15).select("fov_id"), f"SELECT event_id AS fov_id FROM events WHERE floor({u01_sql('s0', 'event_id')} * 20) + 1 > 15")
 register("q_topk_camera_cells", lambda s, d: matrix.top_cells(matrix.camera_cells(events(s, d), T1), 5), O.top(f"SELECT * FROM (SELECT floor((lon - {T1.area.min_lon!r}::DOUBLE) / 0.0001::DOUBLE)::BIGINT AS cell_x, floor((lat - {T1.area.min_lat!r}::DOUBLE) / 0.0001::DOUBLE)::BIGINT AS cell_y, count(*) * 1000000000000::BIGINT AS ci_fixed FROM ({IN1}) GROUP BY 1, 2) WHERE cell_x BETWEEN 0 AND 79 AND cell_y BETWEEN 0 AND 79", 5))
@@ -183,7 +183,7 @@ def _rects(s, d, query=T1):
 register("q_cluster_radius", lambda s, d: _rects(s, d).select(F.col("cluster_id").cast("long"), "n", F.round("rms_m", 4).alias("rms_m")), O.clustered("pie60", T1, OPT, "SELECT cluster_id, n, round(rms_m, 4) AS rms_m FROM ranges"))
 register("q_cluster_rect", lambda s, d: _rects(s, d).select(F.col("cluster_id").cast("long"), *[F.round(c, 8).alias(c) for c in ("r_min_lon", "r_max_lon", "r_min_lat", "r_max_lat")]), O.clustered("pie60", T1, OPT, "SELECT cluster_id, round(r_min_lon, 8) AS r_min_lon, round(r_max_lon, 8) AS r_max_lon, round(r_min_lat, 8) AS r_min_lat, round(r_max_lat, 8) AS r_max_lat FROM ranges"))
 register("q_cell_range", lambda s, d: _rects(s, d).select(F.col("cluster_id").cast("long"), "cx0", "cx1", "cy0", "cy1"), O.clustered("pie60", T1, OPT, "SELECT cluster_id, cx0, cx1, cy0, cy1 FROM ranges"))
-register("q_cluster_fovs", lambda s, d: sampler.prepare(events(s, d), T1, OPT).members.select("fov_id", F.col("cluster_id").cast("long"), "batch"), O.clustered("pie60", T1, OPT, "SELECT fov_id, cluster_id, batch FROM mem"))
+register("q_cluster_fovs", lambda s, d: sampler.prepare(events(s, d), T1, OPT).members.select("fov_id", F.col("cluster_id").cast("long"), F.col("batch").cast("long")), O.clustered("pie60", T1, OPT, "SELECT fov_id, cluster_id, batch FROM mem"))
 TOP = "SELECT row_number() OVER (ORDER BY ci_fixed DESC, cell_y, cell_x) AS rank, cell_x, cell_y, round(ci_fixed / 1e12::DOUBLE, 6) AS ci FROM merged ORDER BY ci_fixed DESC, cell_y, cell_x LIMIT 5"
 for _m in ("raw", "rescaled", "relative", "rescaled_relative"):
     register(f"q_clis_prefix_{_m}", lambda s, d, m=_m: sampler.prefix(events(s, d), T1, replace(OPT, measure=m))[0], O.clustered("pie60", T1, replace(OPT, measure=_m), TOP))
