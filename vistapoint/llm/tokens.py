@@ -70,6 +70,15 @@ class WordEncoder:
         return ids
 
     def _word(self, word: str) -> bytes:
+        if word.isascii():
+            # Most words are letters, or letters and one sign.
+            low = word.lower()
+            get, make = self.parts.get, self._part
+            if low.isalpha():
+                return get(low) or make(low)
+            core, sign = low[:-1], low[-1]
+            if core.isalpha() and "!" <= sign <= "~":
+                return (get(core) or make(core)) + (get(sign) or make(sign))
         if _NOT_PLAIN.search(word):
             return self._whole(word)
         low = word.lower()
