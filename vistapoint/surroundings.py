@@ -182,7 +182,7 @@ def _udaf(s, d):
 register("q_udaf_topk", _udaf, f"SELECT cell_y, round((CASE WHEN count(*) > 1 THEN list_sort(list(ci_fixed), 'DESC')[2] ELSE max(ci_fixed) END) / 1e12::DOUBLE, 6) AS ci FROM ({O.matrix(O.in_range(E_SQL, T0.area), T0)}) GROUP BY cell_y")
 
 
-def _udtf(s, d):
+def _udtf(s, d, where="true"):
     from pyspark.sql.functions import udtf
 
     @udtf(returnType="cell_x bigint, cell_y bigint")
@@ -195,11 +195,13 @@ def _udtf(s, d):
                     yield x, y
 
     s.udtf.register("fov_cells", FovCells)
-    matrix.with_span(matrix.candidates(events(s, d).where("fov_id % 50 = 0"), T0), T0.grid).createOrReplaceTempView("spans")
+    matrix.with_span(matrix.candidates(events(s, d).where(where), T0), T0.grid).createOrReplaceTempView("spans")
     return s.sql("select fov_id, count(*) as cells from spans, lateral fov_cells(x0, x1, y0, y1) group by fov_id")
 
 
-register("q_udtf_cells", _udtf, f"SELECT fov_id, (x1 - x0 + 1) * (y1 - y0 + 1) AS cells FROM ({O.span(O.in_range(E_SQL, T0.area, 'fov_id % 50 = 0'), T0)})")
+register("q_udtf_cells_all", _udtf, f"SELECT fov_id, (x1 - x0 + 1) * (y1 - y0 + 1) AS cells FROM ({O.span(O.in_range(E_SQL, T0.area), T0)})")
+# One field of view in fifty, as its SQL states; the whole table is q_udtf_cells_all.
+register("q_udtf_cells", lambda s, d: _udtf(s, d, "fov_id % 50 = 0"), f"SELECT fov_id, (x1 - x0 + 1) * (y1 - y0 + 1) AS cells FROM ({O.span(O.in_range(E_SQL, T0.area, 'fov_id % 50 = 0'), T0)})")
 
 
 
