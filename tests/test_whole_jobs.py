@@ -1,8 +1,12 @@
 """Queries that once did a part of their job only, held against the whole."""
 
+from dataclasses import replace
+
 import duckdb
 
 from vistapoint import workloads as W
+from vistapoint.operators import sampler
+from vistapoint.operators.detect import detect
 
 DIR = "/root/testdata/sf0.001"
 
@@ -26,3 +30,12 @@ def test_udtf_runs_over_all_fields_of_view(spark):
     for t in ("nation", "customer", "region", "supplier"):
         db.execute(f"create view {t} as select * from '{DIR}/{t}.parquet'")
     assert dict(db.execute(f"select fov_id, cells from ({W.oracle_sql()['q_udtf_cells_all']})").fetchall()) == got
+
+
+def test_clusters_beyond_one_task_are_answered(spark, monkeypatch):
+    fovs, o = W.events(spark, DIR, "mix30"), replace(W.OPT, clusters=3)
+    small = [tuple(r) for r in detect(fovs, W.T1, "clustered", o).collect()]
+    listed = [tuple(r) for r in W.queries()["q_clis_topk"](spark, DIR).collect()]
+    monkeypatch.setattr(sampler, "ONE_TASK", 10)
+    assert small and [tuple(r) for r in detect(fovs, W.T1, "clustered", o).collect()] == small
+    assert listed and [tuple(r) for r in W.queries()["q_clis_topk"](spark, DIR).collect()] == listed

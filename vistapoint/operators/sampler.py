@@ -18,6 +18,7 @@ from pyspark.sql import functions as F
 from ..functions.intention import FIXED
 from ..functions.noise import u01
 from ..plans.query import ClusterOptions, Query
+from ..session import kept
 from . import clusters, sampling
 from .kernel import add_fov
 from .matrix import exploded, with_span
@@ -134,9 +135,9 @@ def _best(block: np.ndarray, x0: int, y0: int, k: int) -> list[tuple[int, int, i
     return [(int(x[i]) + x0, int(y[i]) + y0, int(v[i])) for i in order]
 
 
-def per_cluster_task(fovs: DataFrame, query: Query, options: ClusterOptions = ClusterOptions()) -> tuple[DataFrame, DataFrame]:  # noqa: B008
+def per_cluster_task(fovs: DataFrame, query: Query, options: ClusterOptions = ClusterOptions(), ready: Prepared | None = None) -> tuple[DataFrame, DataFrame]:  # noqa: B008
     """(top-k, stops): one task owns one cluster and truly stops early. stops: cluster_id, iter, p, seen."""
-    ready = prepare(fovs, query, options)
+    ready = ready or prepare(fovs, query, options)
     if ready.sizes and max(ready.sizes.values()) > ONE_TASK:
         raise ValueError("a cluster is too large for one task; use driver_loop")
     rows = with_span(ready.members, query.grid).select("cluster_id", "fov_id", "batch", "lat", "lon", "theta", "r_m", "alpha", "x0", "x1", "y0", "y1", "cx0", "cx1", "cy0", "cy1")
@@ -171,9 +172,9 @@ def per_cluster_task(fovs: DataFrame, query: Query, options: ClusterOptions = Cl
     return merged(out.where("cell_x is not null"), query.k), out.select("cluster_id", "iter", "p", "seen").distinct()
 
 
-def driver_loop(fovs: DataFrame, query: Query, options: ClusterOptions = ClusterOptions(), keep=lambda df: df.checkpoint()) -> tuple[DataFrame, DataFrame]:  # noqa: B008
+def driver_loop(fovs: DataFrame, query: Query, options: ClusterOptions = ClusterOptions(), keep=kept, ready: Prepared | None = None) -> tuple[DataFrame, DataFrame]:  # noqa: B008
     """(top-k, stops): a job per round over the clusters still active. Only k rows of each cluster and its maximum come to the driver."""
-    ready = prepare(fovs, query, options)
+    ready = ready or prepare(fovs, query, options)
     spark, (width, height) = fovs.sparkSession, cell_metres(query)
     members = keep(ready.members)
     counts = {(r.cluster_id, r.batch): r.n for r in members.groupBy("cluster_id", "batch").agg(F.count("*").alias("n")).collect()}
@@ -208,8 +209,14 @@ def driver_loop(fovs: DataFrame, query: Query, options: ClusterOptions = Cluster
     return merged(spark.createDataFrame(cells, "cell_x long, cell_y long, ci_fixed long, p double"), query.k), stops
 
 
-def run(fovs: DataFrame, query: Query, options: ClusterOptions = ClusterOptions(), mode: str = "per_cluster_task") -> tuple[DataFrame, DataFrame]:  # noqa: B008
-    return {"prefix": prefix, "per_cluster_task": per_cluster_task, "driver_loop": driver_loop}[mode](fovs, query, options)
+def run(fovs: DataFrame, query: Query, options: ClusterOptions = ClusterOptions(), mode: str = "auto") -> tuple[DataFrame, DataFrame]:  # noqa: B008
+    """auto: a task per cluster as long as each cluster fits one, else a job per round; both give the same result."""
+    if mode == "prefix":
+        return prefix(fovs, query, options)
+    ready = prepare(fovs, query, options)
+    if mode == "auto":
+        mode = "driver_loop" if max(ready.sizes.values(), default=0) > ONE_TASK else "per_cluster_task"
+    return {"per_cluster_task": per_cluster_task, "driver_loop": driver_loop}[mode](fovs, query, options, ready=ready)
 
 
 __all__ = ["Prepared", "driver_loop", "merged", "per_cluster_task", "prefix", "prepare", "run", "running_cells", "trace"]

@@ -16,6 +16,7 @@ from .functions.noise import u01, u01_sql
 from .operators import clusters, cube, fov, matrix, measures, retrieval, sampler, sampling
 from .operators.detect import detect
 from .plans.query import Area, ClusterOptions, Query, TimeRange
+from .session import kept as _kept
 from .session import ship
 from .sources import carriers
 
@@ -187,7 +188,7 @@ register("q_cluster_fovs", lambda s, d: sampler.prepare(events(s, d), T1, OPT).m
 TOP = "SELECT row_number() OVER (ORDER BY ci_fixed DESC, cell_y, cell_x) AS rank, cell_x, cell_y, round(ci_fixed / 1e12::DOUBLE, 6) AS ci FROM merged ORDER BY ci_fixed DESC, cell_y, cell_x LIMIT 5"
 for _m in ("raw", "rescaled", "relative", "rescaled_relative"):
     register(f"q_clis_prefix_{_m}", lambda s, d, m=_m: sampler.prefix(events(s, d), T1, replace(OPT, measure=m))[0], O.clustered("pie60", T1, replace(OPT, measure=_m), TOP))
-register("q_clis_topk", lambda s, d: sampler.per_cluster_task(events(s, d), T1, OPT)[0], O.clustered("pie60", T1, OPT, TOP))
+register("q_clis_topk", lambda s, d: sampler.run(events(s, d), T1, OPT)[0], O.clustered("pie60", T1, OPT, TOP))
 register("q_clis_driver_loop", lambda s, d: sampler.driver_loop(events(s, d), T1, OPT, keep=_kept)[0], O.clustered("pie60", T1, OPT, TOP))
 register("q_clis_cap_10", lambda s, d: sampler.prefix(events(s, d), T1, replace(OPT, rule="none", max_iterations=10))[0], O.clustered("pie60", T1, replace(OPT, rule="none", max_iterations=10), TOP))
 register("q_clis_merge", lambda s, d: sampler.prefix(events(s, d, "mix30"), T1, OPT)[0], O.clustered("mix30", T1, OPT, TOP))
@@ -196,19 +197,6 @@ register("q_processed_fovs", lambda s, d: _trace(s, d, T1).where("iter = stop").
 register("q_iterations", lambda s, d: _trace(s, d, T1).where("iter = stop").select("cluster_id", "iter"), O.clustered("pie60", T1, OPT, "SELECT cluster_id, stop AS iter FROM stops"))
 
 
-def _kept(df: DataFrame) -> DataFrame:
-    """A reliable checkpoint in the session's folder."""
-    context = df.sparkSession.sparkContext
-    if context.getCheckpointDir() is None:
-        import tempfile
-
-        named = df.sparkSession.conf.get("spark.checkpoint.dir", None)
-        if not named and not context.master.startswith("local"):
-            raise ValueError("set spark.checkpoint.dir to a shared folder")
-        context.setCheckpointDir(named or tempfile.mkdtemp(prefix="checkpoints-"))
-    return df.checkpoint()
-
-
 def _trace(s, d, query, options=OPT, variant="pie60"):
     rows = sampler.trace(sampler.prepare(events(s, d, variant), query, options), query, options)
     return rows.withColumn("cluster_id", F.col("cluster_id").cast("long")).withColumn("iter", F.col("iter").cast("long")).withColumn("stop", F.col("stop").cast("long"))
@@ -292,7 +280,7 @@ def _overall(s, d):
     parts = []
     for v in fov.VARIANTS:
         fovs, exact = events(s, d, v), top(s, d, T1, v)
-        found, stops = sampler.per_cluster_task(fovs, T1, OPT)
+        found, stops = sampler.run(fovs, T1, OPT)
         n = matrix.candidates(fovs, T1).count()
         share = min((stops.agg(F.sum("seen")).first()[0] or 0) / max(n, 1), 1.0)
         single = detect(fovs, T1, "single_sample", fraction=share)
