@@ -41,16 +41,49 @@ def rule_table(spark: SparkSession, rules: list[tuple[str, str, str]]) -> DataFr
     return spark.createDataFrame([(h, p, a) for a, h, p in rules], "rule_host string, rule_path string, verdict string")
 
 
+def _attribute(tag: Column, name: str) -> Column:
+    """The value of an attribute, quoted or not; empty if the tag lacks it. Quoted values of other attributes are stepped over."""
+    found = F.regexp_extract(tag, rf"(?is)^<[a-z]+(?:[\s/]+(?!{name}[\s=])[^\s=>/]+(?:\s*=\s*(?:\"[^\"]*\"|'[^']*'|[^\s>\"']+))?)*[\s/]+{name}\s*=\s*(\"[^\"]*\"|'[^']*'|[^\s>\"']+)", 1)
+    return F.replace(F.trim(F.regexp_replace(found, r"^[\"']|[\"']$", "")), F.lit("&amp;"), F.lit("&"))
+
+
+def _resolved(url: Column, dst: Column) -> Column:
+    """A link's target as an absolute url: its own scheme, the page's scheme, host or directory before it, dot segments taken out."""
+    bare = F.regexp_replace(url, r"(?s)[?#].*$", "")
+    origin = F.regexp_extract(url, r"(?s)^.*?://[^/?#]*", 0)
+    folder = F.regexp_replace(F.substr(bare, F.length(origin) + 1), r"[^/]*$", "")
+    joined = (
+        F.when(F.length(dst) == 0, url)
+        .when(dst.rlike(r"^[A-Za-z][A-Za-z0-9+.\-]*:"), dst)
+        .when(dst.startswith("//"), F.concat(F.regexp_extract(url, r"(?s)^(.*?:)//", 1), dst))
+        .when(dst.startswith("/"), F.concat(origin, dst))
+        .when(dst.startswith("?"), F.concat(bare, dst))
+        .when(dst.startswith("#"), F.concat(F.regexp_replace(url, r"(?s)#.*$", ""), dst))
+        .otherwise(F.concat(origin, F.when(folder == "", F.lit("/")).otherwise(folder), dst))
+    )
+    head, rest = F.regexp_extract(joined, r"(?s)^.*?://[^/?#]*", 0), F.regexp_extract(joined, r"(?s)[?#].*$", 0)
+    parts = F.split(F.regexp_extract(joined, _PARTS, 2), "/", -1)
+    # The first part is what stands before the first slash; a dot segment at the end leaves a slash.
+    walked = F.aggregate(
+        F.slice(parts, 2, F.greatest(F.size(parts) - 1, F.lit(0))),
+        F.array().cast("array<string>"),
+        lambda done, x: F.when(x == "..", F.slice(done, 1, F.greatest(F.size(done) - 1, F.lit(0)))).when(x == ".", done).otherwise(F.concat(done, F.array(x))),
+    )
+    last = F.element_at(parts, -1)
+    plain = F.concat(head, F.lit("/"), F.array_join(walked, "/"), F.when(last.isin(".", "..") & (F.size(walked) > 0), "/").otherwise(""), rest)
+    return F.when(F.arrays_overlap(parts, F.array(F.lit("."), F.lit(".."))), plain).otherwise(joined)
+
+
 def page_links(pages: DataFrame) -> DataFrame:
-    """(src, dst): canonical links and refresh redirects that pages (url, html) declare, relative ones resolved against the host."""
-    whole = F.col("html")
-    tag = r"(?i)<link\s[^>]*\brel\s*=\s*[\"']?canonical\b[^>]*>"
-    canonical = F.regexp_extract(F.regexp_extract(whole, tag, 0), r"(?i)\bhref\s*=\s*[\"']?([^\"'\s>]+)", 1)
-    refresh = F.regexp_extract(whole, r"(?i)<meta\s[^>]*http-equiv\s*=\s*[\"']?refresh\b[^>]*?url\s*=\s*[\"']?([^\"'\s>]+)", 1)
-    found = pages.select("url", F.explode(F.array(canonical, refresh)).alias("dst")).where("url is not null and dst <> ''")
-    origin = F.regexp_extract("url", r"(?s)^.*?://[^/?#]*", 0)
-    dst = F.when(F.col("dst").startswith("//"), F.concat(F.regexp_extract("url", r"(?s)^(.*?:)//", 1), "dst")).when(F.col("dst").startswith("/"), F.concat(origin, "dst")).otherwise(F.col("dst"))
-    return found.select(F.col("url").alias("src"), dst.alias("dst"))
+    """(src, dst): all canonical links and refresh redirects that pages (url, html) declare, relative ones resolved against the page."""
+    tag = r"(?is)(<(?:link|meta)[\s/](?:[^>\"']|\"[^\"]*\"|'[^']*')*>)"
+    some = pages.where("url is not null").where(F.col("html").rlike(r"(?i)canonical|refresh"))
+    tags = some.select("url", F.explode(F.regexp_extract_all("html", F.lit(tag), 1)).alias("tag"))
+    canonical = F.when(F.col("tag").rlike("(?i)^<link") & _attribute(F.col("tag"), "rel").rlike(r"(?i)(?:^|\s)canonical(?:\s|$)"), _attribute(F.col("tag"), "href"))
+    target = F.regexp_extract(_attribute(F.col("tag"), "content"), r"(?is)^[\s\d.]*[;,\s]\s*url\s*=\s*[\"']?([^\"'\s]+)", 1)
+    refresh = F.when(F.col("tag").rlike("(?i)^<meta") & (F.lower(_attribute(F.col("tag"), "http-equiv")) == "refresh"), target)
+    found = tags.where(F.col("tag").rlike(r"(?i)canonical|refresh")).select("url", F.coalesce(canonical, refresh).alias("dst")).where("dst <> ''")
+    return found.select(F.col("url").alias("src"), _resolved(F.col("url"), F.col("dst")).alias("dst"))
 
 
 def _matches(places: DataFrame, rules: DataFrame) -> DataFrame:
