@@ -29,3 +29,22 @@ def test_a_redirect_by_any_form_takes_the_verdict(spark):
     pages = spark.createDataFrame([("https://a.org/d/p", '<meta content="0; url=../bad/x" http-equiv="refresh">'), ("https://a.org/bad/x", "")], "url string, html string")
     out = urls.judge(pages, urls.rule_table(spark, [("block", "a.org", "/bad")]), urls.page_links(pages))
     assert {r.url: r.verdict for r in out.collect()} == {"https://a.org/d/p": "block", "https://a.org/bad/x": "block"}
+
+
+TEXT = "The ferry left the small harbour at dawn and nobody on the pier knew when it would come back to take the others across the bay."
+
+
+@pytest.mark.parametrize(
+    "opening, closing",
+    [("<div class='overflow-hidden'>", "</div>"), ("<div class='md:hidden content'>", "</div>"), ("<div class='content has-sidebar'>", "</div>"), ("<div class='post no-comments'>", "</div>"), ("<form>", "</form>"), ("<div class=banner><article>", "</article></div>"), ("<div class=comments><main>", "</main></div>"), ("<div class=widget>", "</div>")],
+)
+def test_wrapped_main_text_is_kept(opening, closing):
+    page = f"<nav><a href=/>Home</a></nav>{opening}<h1>The ferry</h1><p>{TEXT}</p><p>{TEXT}</p>{closing}<footer>Terms</footer>"
+    assert html_blocks.main_text(page, html_blocks.trained_tree()) == f"The ferry\n{TEXT}\n{TEXT}"
+
+
+@pytest.mark.parametrize("opening", ["<div hidden>", "<div aria-hidden='true'>", "<div style='display: none'>", "<div class='site-footer'>", "<div class=comments><article>", "<div class='cookie-notice'>", "<aside>", "<div hidden><main>"])
+def test_furniture_stays_out(opening):
+    tag = opening[1:].split(">")[0].split()[0]
+    page = f"<article><p>{TEXT}</p><p>{TEXT}</p></article>{opening}<p>{TEXT}</p></{tag}>"
+    assert html_blocks.main_text(page, html_blocks.trained_tree()) == f"{TEXT}\n{TEXT}"

@@ -31,8 +31,16 @@ MARKS = frozenset(
 )
 
 _TOKEN = re.compile(r"<!--.*?(?:--!?>|\Z)|<!\[CDATA\[.*?(?:\]\]>|\Z)|<[!?][^>]*(?:>|\Z)|<(/?)([a-zA-Z][^\s/>]*)((?:[^>\"']|\"[^\"]*\"|'[^']*')*)(?:>|\Z)|[^<]+|<", re.S)
-_ATTRIBUTE = re.compile(r"\b(?:class|id|role)\s*=\s*(?:\"([^\"]*)\"|'([^']*)'|([^\s>]+))", re.I)
-_HIDDEN = re.compile(r"\bhidden\b(?!\s*=\s*[\"']?false)|aria-hidden\s*=\s*[\"']?true|display\s*:\s*none", re.I)
+#: Marks of lists of other texts: an article in them is one of many. An article overrides the other marks, main all but hidden.
+LISTS = frozenset("ad ads advert advertisement adverts comment comments discussion disqus feedback promo promoted promotion related reply replies respond sponsor sponsored".split())
+#: Tags and marks that also wrap whole pages; one long text of few links inside makes them a plain wrapper.
+SOFT = frozenset("form header overlay search tags toolbar widget widgets".split())
+#: Words that may stand beside a mark in one class name, such as site-footer; any other word (has-sidebar) makes it no mark.
+BESIDE = frozenset("area bar block bottom box global inner item left links list main page primary right secondary section site top".split())
+LONG_WORDS, LONG_DENSITY = 20, 0.34
+
+_ATTRIBUTE = re.compile(r"([^\s=/>\"']+)(?:\s*=\s*(?:\"([^\"]*)\"|'([^']*)'|([^\s>\"']+)))?")
+_NONE = re.compile(r"display\s*:\s*none", re.I)
 _NAME = re.compile(r"[A-Za-z][a-z]*|[A-Z]+(?![a-z])")
 _SPACE = re.compile(r"\s+")
 
@@ -48,16 +56,39 @@ class Block:
     listed: int
 
 
+def _marks(given: str) -> tuple[frozenset[str], bool]:
+    """The marks that a tag's class, id and role name, by whole names, and whether its attributes hide it."""
+    marks: set[str] = set()
+    hidden = False
+    for m in _ATTRIBUTE.finditer(given):
+        key, value = m[1].lower(), m[2] or m[3] or m[4] or ""
+        if key in ("class", "id", "role"):
+            for name in value.split():
+                words = {w.lower() for w in _NAME.findall(name)}
+                if words <= MARKS | BESIDE:
+                    marks |= words & MARKS
+        elif key == "hidden":
+            hidden |= value.lower() != "false"
+        elif key == "aria-hidden":
+            hidden |= value.lower() == "true"
+        elif key == "style":
+            hidden |= bool(_NONE.search(value))
+    return frozenset(marks), hidden
+
+
 def blocks_of(page: str) -> list[Block]:
     """The text blocks of a page in order, white space inside each turned into one space. Scripts, styles and comments give none.
 
     Unclosed tags are closed by what contains them; a p also ends at the next block. Text that ends inside a tag is markup.
     """
     out: list[Block] = []
-    stack: list[tuple[str, bool, bool, bool]] = []  # tag, furniture, article, link
+    stack: list[tuple[str, int, tuple[int, ...], bool, bool]] = []  # tag, level and soft wrappers outside it, article, link
     parts: list[str] = []
+    within: list[tuple[int, ...]] = []
     linked = 0
-    furniture = article = link = 0
+    # level: 0 unmarked, 1 marked, 2 a list or tag of other texts, 3 hidden; soft: the open wrappers that a long text frees
+    level, wrappers, soft = 0, 0, ()
+    article = link = 0
     raw = ""
 
     def close() -> None:
@@ -66,14 +97,15 @@ def blocks_of(page: str) -> list[Block]:
         parts.clear()
         if text:
             tags = [x[0] for x in stack]
-            out.append(Block(text, len(text.split()), linked, furniture, article, int(any(len(t) == 2 and t[0] == "h" and t[1] in "123456" for t in tags)), int("li" in tags or "dt" in tags)))
+            out.append(Block(text, len(text.split()), linked, int(level > 0), article, int(any(len(t) == 2 and t[0] == "h" and t[1] in "123456" for t in tags)), int("li" in tags or "dt" in tags)))
+            within.append(soft)
         linked = 0
 
     def pop(n: int) -> None:
-        nonlocal furniture, article, link
+        nonlocal level, soft, article, link
         while len(stack) > n:
-            _, a, b, c = stack.pop()
-            furniture, article, link = furniture - a, article - b, link - c
+            _, level, soft, a, b = stack.pop()
+            article, link = article - a, link - b
 
     for token in _TOKEN.finditer(page):
         name = token[2]
@@ -117,16 +149,24 @@ def blocks_of(page: str) -> list[Block]:
         if name == "li" and stack and stack[-1][0] == "li":
             pop(len(stack) - 1)
         given = token[3]
-        marked = name in FURNITURE
-        if given and not marked and name not in ("html", "body", "main", "article"):
-            names = {w.lower() for m in _ATTRIBUTE.finditer(given) for w in _NAME.findall(m[1] or m[2] or m[3] or "")}
-            marked = not MARKS.isdisjoint(names) or bool(_HIDDEN.search(given))
-        if name == "header" and article:
-            marked = False
-        entry = (name, marked, name in ("article", "main") and not furniture, name == "a")
-        stack.append(entry)
-        furniture, article, link = furniture + entry[1], article + entry[2], link + entry[3]
+        marks, hidden = _marks(given) if given and name not in ("html", "body") else (frozenset(), False)
+        whole = name in ("main", "article")
+        outside = level, soft
+        if hidden:
+            level = 3
+        elif name == "main" and level < 3 or name == "article" and level < 2 and not article and LISTS.isdisjoint(marks):
+            level, soft = 0, ()
+        elif not whole and (name in FURNITURE or marks) and not (name == "header" and article):
+            if (marks | {name} & FURNITURE) <= SOFT:
+                soft, wrappers = (*soft, wrappers), wrappers + 1
+            else:
+                level = max(level, 2 if name in FURNITURE - SOFT or marks & LISTS else 1)
+        stack.append((name, *outside, whole and level == 0, name == "a"))
+        article, link = article + stack[-1][3], link + stack[-1][4]
     close()
+    freed = {w for b, ws in zip(out, within, strict=True) if not b.furniture and b.words >= LONG_WORDS and b.linked <= LONG_DENSITY * b.words for w in ws}
+    for b, ws in zip(out, within, strict=True):
+        b.furniture = int(b.furniture or not freed.issuperset(ws))
     return out
 
 
@@ -192,6 +232,8 @@ LABELLED_PAGES = (
     f"<div id=menu><a href=a>-Sports</a><a href=b>-Arts</a></div><div><h1>+A walk</h1><p>+{_LONG}</p><p>+{_LONG} {_LONG}</p><p>+Then it was over and we walked home along the quiet road in the dark.</p></div><div><a href=q>-More stories</a></div><div><a href=w>-Older posts</a> | <a href=e>-Newer posts</a></div><div>-All rights reserved</div>",
     f"<div class=cookie-notice>-We use cookies. {_LONG}</div><article><p>+{_LONG}</p><p>+Why?</p><p>+{_LONG}</p></article><div class=sidebar><h3>-Popular</h3><p>-{_LONG}</p></div><section class='related'><a href=r>-{_LONG}</a></section>",
     f"<div>-Skip to content</div><div><a href=1>-One</a></div><div><p>+{_LONG}</p></div><div><p>+{_LONG}</p></div><div>-Share</div><div><a href=2>-Next</a></div>",
+    f"<form><div class=menu><a href=/>-Home</a></div><div class='content has-sidebar'><h1>+A long dry summer</h1><p>+{_LONG}</p><p>+It rained.</p><p>+{_LONG}</p></div></form><form>-Your mail</form><div hidden><p>-{_LONG}</p></div>",
+    f"<div class='overlay'><article><h2>+Harvest</h2><p>+{_LONG}</p><p>+So be it.</p></article></div><div class=sidebar><p>-{_LONG}</p></div><div class=widget>-Ten o'clock</div>",
     "<article><h1>+Short</h1><p>+Yes.</p></article><div class='promo'>-Win a prize</div><article><p>+Go.</p></article>",
 )
 
