@@ -3,6 +3,7 @@
 from dataclasses import replace
 
 import duckdb
+import pytest
 
 from vistapoint import workloads as W
 from vistapoint.operators import sampler
@@ -39,3 +40,33 @@ def test_clusters_beyond_one_task_are_answered(spark, monkeypatch):
     monkeypatch.setattr(sampler, "ONE_TASK", 10)
     assert small and [tuple(r) for r in detect(fovs, W.T1, "clustered", o).collect()] == small
     assert listed and [tuple(r) for r in W.queries()["q_clis_topk"](spark, DIR).collect()] == listed
+
+
+class Stopped(Exception):
+    pass
+
+
+def test_experiments_name_their_regions(spark, monkeypatch):
+    asked = []
+
+    def recorded(fovs, query, options):
+        asked.append(query)
+        raise Stopped
+
+    monkeypatch.setattr(sampler, "prepare", recorded)
+    monkeypatch.setattr(W, "top", lambda s, d, query, *a, **b: s.range(0))
+    for name in ("q_w8_grid", "q_threshold_sweep", "q_w10_sweep"):
+        with pytest.raises(Stopped):
+            W.queries()[name](spark, DIR)
+    assert asked == [W.T4] * 3
+
+
+def test_overall_covers_regions_and_datasets(spark, monkeypatch):
+    monkeypatch.setattr(sampler, "run", lambda *a, **b: (spark.range(0), spark.range(1).withColumnRenamed("id", "seen")))
+    for name in ("top", "detect"):
+        monkeypatch.setattr(W, name, lambda *a, **b: spark.range(0))
+    monkeypatch.setattr(W, "_kept", lambda df: df)
+    monkeypatch.setattr(W.matrix, "candidates", lambda *a: spark.range(1))
+    monkeypatch.setattr(W.measures, "diff", lambda *a: spark.range(1).selectExpr("0.0D as diff_m", "5L as within"))
+    got = {(r.region, r.dataset, r.method) for r in W.queries()["q_w12_accuracy"](spark, DIR).collect()}
+    assert got == {(t, v, m) for t in ("t1", "t2", "t3", "t4") for v in W.fov.VARIANTS for m in ("clustered", "single")}

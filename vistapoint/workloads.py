@@ -6,7 +6,7 @@ import datetime as dt
 from collections.abc import Callable
 from dataclasses import replace
 
-from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
 from . import oracles as O
@@ -206,16 +206,17 @@ register("q_stop_topk_shift", lambda s, d: _trace(s, d, T1).select("cluster_id",
 register("q_threshold_sweep", lambda s, d: _sweep(s, d))
 
 
-def _sweep(s, d):
-    """Rounds and processed fields of view by stopping measure and threshold, from one trace for each measure."""
-    out = None
-    for m in ("raw", "rescaled", "relative", "rescaled_relative"):
-        rows = _kept(_trace(s, d, T1, replace(OPT, measure=m)).select("cluster_id", "iter", "seen", "d_max"))
-        levels = rows.crossJoin(F.broadcast(s.createDataFrame([(t,) for t in (0.01, 0.05, 0.1, 0.2, 0.5)], "threshold double")))
-        at = levels.groupBy("threshold", "cluster_id").agg(F.coalesce(F.min(F.when((F.col("d_max") < F.col("threshold")) & (F.col("iter") >= 2), F.col("iter"))), F.max("iter")).alias("stop"))
-        done = at.join(rows.withColumnRenamed("iter", "stop"), ["cluster_id", "stop"]).groupBy("threshold").agg(F.sum("stop").alias("rounds"), F.sum("seen").alias("processed")).withColumn("measure", F.lit(m))
-        out = done if out is None else out.union(done)
-    return out
+def _sweep(s, d, query=T4):
+    """Rounds and processed fields of view by stopping measure and threshold, all from one trace."""
+    rows = _kept(_trace(s, d, query).select("cluster_id", "iter", "seen", "p", "max_fixed"))
+    w = Window.partitionBy("cluster_id").orderBy("iter")
+    rows = rows.withColumns({"before": F.lag("max_fixed").over(w), "p_before": F.lag("p").over(w)})
+    measures_of = F.explode(F.array(*[F.struct(F.lit(m).alias("measure"), sampler._change(m, F.col("max_fixed"), F.col("before"), F.col("p"), F.col("p_before")).alias("d_max")) for m in ("raw", "rescaled", "relative", "rescaled_relative")]))
+    rows = rows.select("cluster_id", "iter", "seen", measures_of.alias("m")).select("cluster_id", "iter", "seen", "m.measure", "m.d_max")
+    levels = rows.crossJoin(F.broadcast(s.createDataFrame([(t,) for t in (0.01, 0.05, 0.1, 0.2, 0.5)], "threshold double")))
+    at = levels.groupBy("measure", "threshold", "cluster_id").agg(F.coalesce(F.min(F.when((F.col("d_max") < F.col("threshold")) & (F.col("iter") >= 2), F.col("iter"))), F.max("iter")).alias("stop"))
+    done = at.join(rows.withColumnRenamed("iter", "stop"), ["measure", "cluster_id", "stop"]).groupBy("threshold", "measure").agg(F.sum("stop").alias("rounds"), F.sum("seen").alias("processed"))
+    return done.select("threshold", "rounds", "processed", "measure")
 
 
 # --- measures -----------------------------------------------------------------------------------------------------------
@@ -257,39 +258,40 @@ register("q_w7_models", lambda s, d: _stack([measures.truth_error(top(s, d, q, "
 register("q_w8_grid", lambda s, d: _grid(s, d))
 
 
-def _grid(s, d):
+def _grid(s, d, query=T4):
     """Processed fields of view and the distance to the exact list, by clusters and rounds; one trace answers all rounds of a cluster count."""
-    fovs, exact, parts = events(s, d), _kept(top(s, d, T1)), []
+    fovs, exact, parts = events(s, d), _kept(top(s, d, query, method="exact")), []
     for c in (1, 3, 6, 10):
         o = replace(OPT, clusters=c, rule="none")
-        rows = _kept(sampler.trace(sampler.prepare(fovs, T1, o), T1, o))
+        rows = _kept(sampler.trace(sampler.prepare(fovs, query, o), query, o))
         for rounds in (5, 10, 15, 20):
             at = rows.where(F.col("iter") == rounds)
             found = sampler.merged(at.select("p", F.explode("top").alias("x")).select("x.cell_x", "x.cell_y", "x.ci_fixed", "p"), 5)
             seen = at.agg(F.sum("seen").alias("processed"))
-            parts.append(measures.diff(exact, found, T1).crossJoin(seen).select(F.lit(c).alias("clusters"), F.lit(rounds).alias("rounds"), "diff_m", "within", "processed"))
+            parts.append(measures.diff(exact, found, query).crossJoin(seen).select(F.lit(c).alias("clusters"), F.lit(rounds).alias("rounds"), "diff_m", "within", "processed"))
     return _stack(parts)
 
 
-register("q_w9_trace", lambda s, d: _trace(s, d, T2).select("cluster_id", "iter", F.round("d_max", 6).alias("d_max"), F.round("d_topk", 4).alias("d_topk")))
+register("q_w9_trace", lambda s, d: _stack([_trace(s, d, q).select(F.lit(t).alias("region"), "cluster_id", "iter", F.round("d_max", 6).alias("d_max"), F.round("d_topk", 4).alias("d_topk")) for t, q in (("t2", T2), ("t4", T4))]))
 register("q_w11_overall", lambda s, d: _overall(s, d))
 
 
 def _overall(s, d):
-    """Clustered against single sampling at equal numbers of fields of view: summed distance and hits, by dataset."""
+    """Clustered against single sampling at equal numbers of fields of view: summed distance and hits, by region and dataset."""
     parts = []
-    for v in fov.VARIANTS:
-        fovs, exact = events(s, d, v), top(s, d, T1, v)
-        found, stops = sampler.run(fovs, T1, OPT)
-        n = matrix.candidates(fovs, T1).count()
-        share = min((stops.agg(F.sum("seen")).first()[0] or 0) / max(n, 1), 1.0)
-        single = detect(fovs, T1, "single_sample", fraction=share)
-        for name, df in (("clustered", found), ("single", single)):
-            parts.append(measures.diff(exact, df, T1).select(F.lit(v).alias("dataset"), F.lit(name).alias("method"), F.lit(round(share, 6)).alias("sample"), "diff_m", "within"))
+    for t, q in (("t1", T1), ("t2", T2), ("t3", T3), ("t4", T4)):
+        for v in fov.VARIANTS:
+            fovs, exact = events(s, d, v), _kept(top(s, d, q, v, "exact"))
+            found, stops = sampler.run(fovs, q, OPT)
+            n = matrix.candidates(fovs, q).count()
+            share = min((stops.agg(F.sum("seen")).first()[0] or 0) / max(n, 1), 1.0)
+            single = detect(fovs, q, "single_sample", fraction=share)
+            for name, df in (("clustered", found), ("single", single)):
+                parts.append(_kept(measures.diff(exact, df, q).select(F.lit(t).alias("region"), F.lit(v).alias("dataset"), F.lit(name).alias("method"), F.lit(round(share, 6)).alias("sample"), "diff_m", "within")))
     return _stack(parts)
 
 
-register("q_w12_accuracy", lambda s, d: _overall(s, d).groupBy("method").agg(F.round(F.sum("within") / (5.0 * F.count("*")), 6).alias("share_found")))
+register("q_w12_accuracy", lambda s, d: _overall(s, d).groupBy("region", "dataset", "method").agg(F.round(F.sum("within") / (5.0 * F.count("*")), 6).alias("share_found")))
 register("q_w13_range", lambda s, d: carriers.from_events(s, d).groupBy(F.width_bucket("r_m", F.lit(0.0), F.lit(700.0), F.lit(14)).alias("bucket")).agg(F.count("*").alias("n"), F.countDistinct("video_id").alias("videos")), f"SELECT floor(r_m / 50.0::DOUBLE)::BIGINT + 1 AS bucket, count(*) AS n, count(DISTINCT video_id) AS videos FROM ({FOV_E}) GROUP BY 1")
 
 
