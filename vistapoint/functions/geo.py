@@ -16,9 +16,14 @@ def east_scale(lat0: float) -> float:
     return METRES_PER_DEGREE * math.cos(math.radians(lat0))
 
 
-def to_local(lat: Column, lon: Column, lat_origin: float, lon_origin: float, lat0: float) -> tuple[Column, Column]:
-    """(east, north) metres from an origin, equirectangular at latitude lat0."""
-    return (lon - F.lit(lon_origin)) * F.lit(east_scale(lat0)), (lat - F.lit(lat_origin)) * F.lit(METRES_PER_DEGREE)
+def east_scale_at(lat: Column) -> Column:
+    """Metres per degree of longitude at each row's latitude."""
+    return F.lit(METRES_PER_DEGREE) * F.cos(F.radians(lat))
+
+
+def to_local(lat: Column, lon: Column, lat_origin: float, lon_origin: float, lat0: float | None = None) -> tuple[Column, Column]:
+    """(east, north) metres from an origin, equirectangular at latitude lat0, by default the origin's."""
+    return (lon - F.lit(lon_origin)) * F.lit(east_scale(lat_origin if lat0 is None else lat0)), (lat - F.lit(lat_origin)) * F.lit(METRES_PER_DEGREE)
 
 
 def bearing(dx: Column, dy: Column) -> Column:

@@ -77,8 +77,20 @@ def intention(dx: Column, dy: Column, theta: Column, r_m: Column, alpha: Column,
 
 
 def fixed(ci: Column) -> Column:
-    """An intention as an integer of 1e-12."""
-    return F.round(ci * F.lit(FIXED)).cast("long")
+    """An intention, which is never negative, as an integer of 1e-12; halves go up. Spark's own rounding of doubles goes through big decimals."""
+    return F.floor(ci * F.lit(FIXED) + F.lit(0.5)).cast("long")
+
+
+def useful_radius(model: Model, whole: bool) -> float:
+    """The distance beyond which an intention is certainly less than half of 1e-12, and so exactly zero, or beyond ``reach``.
+
+    whole: of full circles. Models without a radial density have no such distance.
+    """
+    if model.kind != "probabilistic":
+        return math.inf
+    peak = density_scale(model.sigma_distance) * (1.0 if whole and model.circular == "constant" else density_scale(model.sigma_angle))
+    zero = model.sigma_distance * math.sqrt(2 * math.log(max(peak * FIXED / 0.5, 1.0))) * (1 + 1e-9) + 1e-6
+    return zero if model.reach is None else min(zero, model.reach * model.sigma_distance)
 
 
 def reach_error_bound(model: Model, fovs: int) -> float:

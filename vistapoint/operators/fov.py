@@ -9,7 +9,6 @@ from ..functions import geo
 from ..functions.intention import covers
 from ..functions.noise import u01
 
-LAT0 = 10.0
 # 20 mid-quantiles of the Gamma law (1.6, 0.4) cut at 2.
 GAMMA20 = (0.052, 0.108, 0.156, 0.200, 0.243, 0.287, 0.331, 0.377, 0.424, 0.474, 0.528, 0.585, 0.648, 0.718, 0.798, 0.889, 1.000, 1.140, 1.335, 1.665)
 VARIANTS = {"pie60": None, "mix30": 0.3, "mix70": 0.7}
@@ -55,17 +54,17 @@ def extent(theta: Column, r_m: Column, alpha: Column) -> tuple[Column, Column, C
     return west, east, south, north
 
 
-def with_mbr(fovs: DataFrame, mode: str = "exact", lat0: float = LAT0) -> DataFrame:
-    """min_lat, max_lat, min_lon, max_lon of each field of view; mode circle takes the box of the whole disc."""
+def with_mbr(fovs: DataFrame, mode: str = "exact") -> DataFrame:
+    """min_lat, max_lat, min_lon, max_lon of each field of view, in the plane at its own latitude; mode circle takes the box of the whole disc."""
     r = F.col("r_m")
     west, east, south, north = extent(F.col("theta"), r, F.col("alpha")) if mode == "exact" else (-r, r, -r, r)
-    mx, my = F.lit(geo.east_scale(lat0)), F.lit(geo.METRES_PER_DEGREE)
+    mx, my = geo.east_scale_at(F.col("lat")), F.lit(geo.METRES_PER_DEGREE)
     return fovs.withColumns({"min_lat": F.col("lat") + south / my, "max_lat": F.col("lat") + north / my, "min_lon": F.col("lon") + west / mx, "max_lon": F.col("lon") + east / mx})
 
 
-def sees(fovs: DataFrame, lat: Column, lon: Column, lat0: float = LAT0) -> Column:
-    """Whether each field of view covers a point."""
-    dx, dy = (lon - F.col("lon")) * F.lit(geo.east_scale(lat0)), (lat - F.col("lat")) * F.lit(geo.METRES_PER_DEGREE)
+def sees(lat: Column, lon: Column) -> Column:
+    """Whether each field of view covers a point, in the plane at the camera's latitude."""
+    dx, dy = (lon - F.col("lon")) * geo.east_scale_at(F.col("lat")), (lat - F.col("lat")) * F.lit(geo.METRES_PER_DEGREE)
     return covers(dx, dy, F.col("theta"), F.col("r_m"), F.col("alpha"))
 
 
@@ -95,17 +94,17 @@ def sample_video(fovs: DataFrame, every: str = "second") -> DataFrame:
     return fovs.withColumn("_n", F.row_number().over(w)).where("_n = 1").drop("_n")
 
 
-def trajectory(fovs: DataFrame, lat0: float = LAT0) -> DataFrame:
+def trajectory(fovs: DataFrame) -> DataFrame:
     """fov_id, video_id, step (place in its video) and step_m (metres from the field of view before; null for the first)."""
     w = Window.partitionBy("video_id").orderBy("t", "fov_id")
-    dx = (F.col("lon") - F.lag("lon").over(w)) * F.lit(geo.east_scale(lat0))
+    dx = (F.col("lon") - F.lag("lon").over(w)) * geo.east_scale_at(F.col("lat"))
     dy = (F.col("lat") - F.lag("lat").over(w)) * F.lit(geo.METRES_PER_DEGREE)
     return fovs.select("fov_id", "video_id", F.row_number().over(w).cast("long").alias("step"), geo.distance(dx, dy).alias("step_m"))
 
 
-def range_histogram(fovs: DataFrame, landmarks: DataFrame, width_m: float = 50.0, far_m: float = 2000.0, lat0: float = LAT0) -> DataFrame:
+def range_histogram(fovs: DataFrame, landmarks: DataFrame, width_m: float = 50.0, far_m: float = 2000.0) -> DataFrame:
     """bucket, n: distances between landmarks (mark_id, mark_lat, mark_lon) and the fields of view that see them."""
-    dx = (F.col("mark_lon") - F.col("lon")) * F.lit(geo.east_scale(lat0))
+    dx = (F.col("mark_lon") - F.col("lon")) * geo.east_scale_at(F.col("lat"))
     dy = (F.col("mark_lat") - F.col("lat")) * F.lit(geo.METRES_PER_DEGREE)
     d = geo.distance(dx, dy)
     near = fovs.join(F.broadcast(landmarks), (F.col("mark_lat") >= F.col("min_lat")) & (F.col("mark_lat") <= F.col("max_lat")) & (F.col("mark_lon") >= F.col("min_lon")) & (F.col("mark_lon") <= F.col("max_lon")))

@@ -1,4 +1,4 @@
-"""The dense form of the intention of one field of view over a block of cells, for tasks that own a tile or a cluster."""
+"""The dense form of the intentions of many fields of view over a block of cells, for tasks that own a tile or a cluster."""
 
 from __future__ import annotations
 
@@ -10,38 +10,88 @@ from ..functions.geo import METRES_PER_DEGREE, east_scale
 from ..functions.intention import FIXED, Model, density_scale
 from ..plans.query import Query
 
+#: Pairs of field of view and cell that are evaluated at once, about 60 MB of scratch.
+PAIRS_AT_ONCE = 400_000
+#: What ``add_fovs`` takes of each field of view, in this order.
+SHAPE = ("lat", "lon", "theta", "r_m", "alpha", "x0", "x1", "y0", "y1")
 
-def add_fov(block: np.ndarray, x_first: int, y_first: int, query: Query, lat: float, lon: float, theta: float, r_m: float, alpha: float, span: tuple[int, int, int, int]) -> None:
-    """Add a field of view to ``block`` (rows are y, columns x, from cell (x_first, y_first)); span is x0, x1, y0, y1, inclusive."""
-    x0, x1, y0, y1 = span
-    x0, x1 = max(x0, x_first), min(x1, x_first + block.shape[1] - 1)
-    y0, y1 = max(y0, y_first), min(y1, y_first + block.shape[0] - 1)
-    if x0 > x1 or y0 > y1:
-        return
-    model, area = query.model, query.area
-    dx = (area.min_lon + (np.arange(x0, x1 + 1) + 0.5) * query.cell - lon) * east_scale(query.lat0)
-    dy = (area.min_lat + (np.arange(y0, y1 + 1) + 0.5) * query.cell - lat) * METRES_PER_DEGREE
-    block[y0 - y_first : y1 - y_first + 1, x0 - x_first : x1 - x_first + 1] += intention(dx[None, :], dy[:, None], theta, r_m, alpha, model)
 
+def add_fovs(block: np.ndarray, x_first: int, y_first: int, query: Query, columns: list[np.ndarray]) -> None:
+    """Add fields of view to ``block`` (rows are y, columns x, from cell (x_first, y_first)).
 
-def intention(dx: np.ndarray, dy: np.ndarray, theta: float, r_m: float, alpha: float, model: Model) -> np.ndarray:
-    """Fixed-point intentions of the places (dx, dy)."""
+    columns: SHAPE; the spans are inclusive and are cut to the block.
+    """
+    lat, lon, theta, r_m, alpha, x0, x1, y0, y1 = columns
+    x0, x1 = np.maximum(x0, x_first), np.minimum(x1, x_first + block.shape[1] - 1)
+    y0, y1 = np.maximum(y0, y_first), np.minimum(y1, y_first + block.shape[0] - 1)
+    wide, high = x1 - x0 + 1, y1 - y0 + 1
+    inside = np.flatnonzero((wide > 0) & (high > 0))
+    pairs = wide[inside] * high[inside]
+    ends = np.cumsum(pairs)
+    flat, area = block.reshape(-1), query.area
+    at = 0
+    while at < len(inside):
+        begun = ends[at - 1] if at else 0
+        upto = max(int(np.searchsorted(ends, begun + PAIRS_AT_ONCE, side="right")), at + 1)
+        own = np.repeat(inside[at:upto], pairs[at:upto])
+        place = np.arange(ends[upto - 1] - begun) - np.repeat(ends[at:upto] - pairs[at:upto] - begun, pairs[at:upto])
+        y, x = np.divmod(place, wide[own])
+        x += x0[own]
+        y += y0[own]
+        dx = (area.min_lon + (x + 0.5) * query.cell - lon[own]) * east_scale(query.lat0)
+        dy = (area.min_lat + (y + 0.5) * query.cell - lat[own]) * METRES_PER_DEGREE
+        found, value = intentions(dx, dy, theta[own], r_m[own], alpha[own], query.model)
+        np.add.at(flat, (y[found] - y_first) * block.shape[1] + x[found] - x_first, value)
+        at = upto
+
+
+def intentions(dx: np.ndarray, dy: np.ndarray, theta: np.ndarray, r_m: np.ndarray, alpha: np.ndarray, model: Model) -> tuple[np.ndarray, np.ndarray]:
+    """(places in the arrays, fixed-point intentions) of the pairs that are not plainly out of reach."""
     d = np.sqrt(dx * dx + dy * dy)
-    off = np.abs((np.degrees(np.arctan2(dx, dy)) % 360.0 - theta + 180.0) % 360.0 - 180.0)
-    off = np.where((dx == 0) & (dy == 0), 0.0, off)
-    whole = alpha >= 360.0
+    sd, sa = model.sigma_distance, model.sigma_angle
+    reach = np.minimum(r_m, model.reach * sd) if model.reach is not None and model.kind == "probabilistic" else r_m
+    found = np.flatnonzero(d <= reach)
+    dx, dy, d, theta, alpha = dx[found], dy[found], d[found], theta[found], alpha[found]
+    if model.kind == "center_line":
+        t = np.radians(theta)
+        ahead, across = dx * np.sin(t) + dy * np.cos(t), np.abs(dx * np.cos(t) - dy * np.sin(t))
+        hit = (ahead >= 0) & (across <= model.line_width_m / 2)
+        return found[hit], np.full(int(hit.sum()), int(FIXED), np.int64)
+    # A full circle needs no angle, unless its density is asked for.
+    free = (alpha >= 360.0) & ((model.kind == "full_coverage") | (model.circular == "constant"))
+    pie = np.flatnonzero(~free)
+    off = np.abs((np.degrees(np.arctan2(dx[pie], dy[pie])) % 360.0 - theta[pie] + 180.0) % 360.0 - 180.0)
+    off[(dx[pie] == 0) & (dy[pie] == 0)] = 0.0
+    seen = off <= alpha[pie] / 2
     if model.kind == "full_coverage":
-        ci = ((d <= r_m) & (whole | (off <= alpha / 2))).astype(float)
-    elif model.kind == "center_line":
-        t = math.radians(theta)
-        across, ahead = np.abs(dx * math.cos(t) - dy * math.sin(t)), dx * math.sin(t) + dy * math.cos(t)
-        ci = ((d <= r_m) & (ahead >= 0) & (across <= model.line_width_m / 2)).astype(float)
+        hit = free
+        hit[pie[seen]] = True
+        return found[hit], np.full(int(hit.sum()), int(FIXED), np.int64)
+    ci = np.exp(-(d * d) / (2 * sd * sd)) * density_scale(sd)
+    ci[pie] = np.where(seen, np.exp(-(off * off) / (2 * sa * sa)) * density_scale(sa), 0.0) * ci[pie]
+    value = np.floor(ci * FIXED + 0.5).astype(np.int64)
+    hit = value > 0
+    return found[hit], value[hit]
+
+
+def largest_cells(block: np.ndarray, x_first: int, y_first: int, k: int) -> list[tuple[int, int, int]]:
+    """(cell_x, cell_y, sum) of the k largest positive sums; ties by row, then column."""
+    flat = block.reshape(-1)
+    if len(flat) > k:
+        least = np.partition(flat, len(flat) - k)[len(flat) - k]
+        at = np.flatnonzero(flat >= max(int(least), 1))
     else:
-        sd, sa = model.sigma_distance, model.sigma_angle
-        reach = r_m if model.reach is None else min(r_m, model.reach * sd)
-        radial = np.where(d <= reach, np.exp(-(d * d) / (2 * sd * sd)) * density_scale(sd), 0.0)
-        if whole and model.circular == "constant":
-            ci = radial
-        else:
-            ci = np.where(off <= alpha / 2, np.exp(-(off * off) / (2 * sa * sa)) * density_scale(sa), 0.0) * radial
-    return np.floor(ci * FIXED + 0.5).astype(np.int64)
+        at = np.flatnonzero(flat > 0)
+    best = at[np.lexsort((at, -flat[at]))][:k]
+    return [(int(i % block.shape[1]) + x_first, int(i // block.shape[1]) + y_first, int(flat[i])) for i in best]
+
+
+def greedy_total(a: list[tuple[int, int]], b: list[tuple[int, int]], width: float, height: float) -> float:
+    """The summed distance of the closest remaining pairs of two short lists of cells."""
+    pairs = sorted((math.sqrt(((p[0] - q[0]) * width) ** 2 + ((p[1] - q[1]) * height) ** 2), i, j) for i, p in enumerate(a) for j, q in enumerate(b))
+    used_i, used_j, total = set(), set(), 0.0
+    for d, i, j in pairs:
+        if i not in used_i and j not in used_j:
+            used_i.add(i), used_j.add(j)
+            total += d
+    return total

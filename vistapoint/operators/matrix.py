@@ -6,6 +6,7 @@ in dense blocks, moving fields of view instead of candidate cells. All sums are
 
 from __future__ import annotations
 
+import math
 from collections.abc import Iterator
 
 import numpy as np
@@ -13,17 +14,19 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
-from ..functions.geo import METRES_PER_DEGREE, east_scale
-from ..functions.intention import FIXED, fixed, intention
+from ..functions.geo import METRES_PER_DEGREE, distance, east_scale
+from ..functions.intention import FIXED, fixed, gaussian, intention, off_axis, useful_radius
 from ..plans.query import GridSpec, Query
-from .kernel import add_fov
+from .kernel import SHAPE, add_fovs
 from .retrieval import candidates
 
 #: Fields of view that the naive method broadcasts at most.
 NAIVE_LIMIT = 200_000
 #: Pairs of field of view and cell from which the tiled form is used; below, starting Python workers costs more than it saves.
-TILED_FROM = 5_000_000
+TILED_FROM = 20_000_000
 TILE = 256
+#: Pairs that are worth a task of their own in the dense form.
+LEAST_WORK = 2_000_000
 _SHAPE = ("lat", "lon", "theta", "r_m", "alpha")
 
 
@@ -41,19 +44,58 @@ def cells(spark: SparkSession, grid: GridSpec) -> DataFrame:
     return spark.range(grid.cells).select((F.col("id") % grid.nx).alias("cell_x"), F.floor(F.col("id") / grid.nx).cast("long").alias("cell_y"))
 
 
-def with_span(fovs: DataFrame, grid: GridSpec) -> DataFrame:
-    """x0, x1, y0, y1: the inclusive cell span of each bounding box inside the grid; those without cells go."""
-    slack, a = 1e-6, grid.area
-    low = lambda v, origin: F.greatest(F.floor((F.col(v) - origin) / grid.cell - slack), F.lit(0)).cast("long")
-    high = lambda v, origin, n: F.least(F.floor((F.col(v) - origin) / grid.cell + slack), F.lit(n - 1)).cast("long")
-    spans = {"x0": low("min_lon", a.min_lon), "x1": high("max_lon", a.min_lon, grid.nx), "y0": low("min_lat", a.min_lat), "y1": high("max_lat", a.min_lat, grid.ny)}
+def with_span(fovs: DataFrame, query: Query, clip: bool = False) -> DataFrame:
+    """x0, x1, y0, y1: the inclusive cell span of each bounding box inside the grid; those without cells go.
+
+    A stored box lies in the plane of its own latitude; here it is carried into the plane of the query, where cells are
+    judged. clip also cuts the span where intentions are certainly zero, which changes no sum.
+    """
+    slack, grid, a = 1e-6, query.grid, query.area
+    scale = F.cos(F.radians("lat")) / F.lit(math.cos(math.radians(query.lat0)))
+    west, east = F.col("lon") + (F.col("min_lon") - F.col("lon")) * scale, F.col("lon") + (F.col("max_lon") - F.col("lon")) * scale
+    south, north = F.col("min_lat"), F.col("max_lat")
+    if clip and query.model.kind == "probabilistic":
+        far = F.when(F.col("alpha") >= 360.0, useful_radius(query.model, True)).otherwise(useful_radius(query.model, False))
+        dx, dy = far / F.lit(east_scale(query.lat0)), far / F.lit(METRES_PER_DEGREE)
+        west, east = F.greatest(west, F.col("lon") - dx), F.least(east, F.col("lon") + dx)
+        south, north = F.greatest(south, F.col("lat") - dy), F.least(north, F.col("lat") + dy)
+    low = lambda v, origin: F.greatest(F.floor((v - origin) / grid.cell - slack), F.lit(0)).cast("long")
+    high = lambda v, origin, n: F.least(F.floor((v - origin) / grid.cell + slack), F.lit(n - 1)).cast("long")
+    spans = {"x0": low(west, a.min_lon), "x1": high(east, a.min_lon, grid.nx), "y0": low(south, a.min_lat), "y1": high(north, a.min_lat, grid.ny)}
     return fovs.withColumns(spans).where("x0 <= x1 and y0 <= y1")
 
 
-def _ci(query: Query) -> Column:
+def span_cells() -> Column:
+    return (F.col("x1") - F.col("x0") + 1) * (F.col("y1") - F.col("y0") + 1)
+
+
+def _positive(rows: DataFrame, query: Query, keys: tuple[str, ...] = ()) -> DataFrame:
+    """keys, cell_x, cell_y, ci_fixed of the pairs of field of view and cell with a positive intention.
+
+    What a pair costs rises step by step: distance, then half-plane test, then arc tangent and densities for what is left.
+    """
     lat, lon = centre_of(query.grid, F.col("cell_x"), F.col("cell_y"))
     dx, dy = (lon - F.col("lon")) * F.lit(east_scale(query.lat0)), (lat - F.col("lat")) * F.lit(METRES_PER_DEGREE)
-    return fixed(intention(dx, dy, F.col("theta"), F.col("r_m"), F.col("alpha"), query.model))
+    model = query.model
+    placed = rows.select(*keys, "cell_x", "cell_y", "theta", "r_m", "alpha", dx.alias("dx"), dy.alias("dy"))
+    if model.kind != "probabilistic":
+        return placed.select(*keys, "cell_x", "cell_y", fixed(intention(F.col("dx"), F.col("dy"), F.col("theta"), F.col("r_m"), F.col("alpha"), model)).alias("ci_fixed")).where("ci_fixed > 0")
+    d = distance(F.col("dx"), F.col("dy"))
+    radius = F.col("r_m") if model.reach is None else F.least("r_m", F.lit(model.reach * model.sigma_distance))
+    near = placed.where(d <= radius)
+    off = off_axis(F.col("dx"), F.col("dy"), F.col("theta"))
+    if model.circular == "constant":
+        off = F.when(F.col("alpha") >= 360.0, 0.0).otherwise(off)
+    seen = near.select(*keys, "cell_x", "cell_y", "alpha", d.alias("d"), off.alias("off"))
+    angular = gaussian(F.col("off"), model.sigma_angle)
+    if model.circular == "constant":
+        angular = F.when(F.col("alpha") >= 360.0, 1.0).otherwise(angular)
+    ci = F.when(F.col("off") <= F.col("alpha") / 2, angular * gaussian(F.col("d"), model.sigma_distance)).otherwise(0.0)
+    return seen.select(*keys, "cell_x", "cell_y", fixed(ci).alias("ci_fixed")).where("ci_fixed > 0")
+
+
+def summed(rows: DataFrame, *keys: str) -> DataFrame:
+    return rows.groupBy(*keys, "cell_x", "cell_y").agg(F.sum("ci_fixed").alias("ci_fixed"))
 
 
 def naive(fovs: DataFrame, query: Query, cells_of: DataFrame | None = None, limit: int = NAIVE_LIMIT) -> DataFrame:
@@ -62,54 +104,84 @@ def naive(fovs: DataFrame, query: Query, cells_of: DataFrame | None = None, limi
     if found.limit(limit + 1).count() > limit:
         raise ValueError(f"the naive method is a reference for up to {limit} fields of view; use optimized or tiled")
     grid = cells_of if cells_of is not None else cells(fovs.sparkSession, query.grid)
-    pairs = grid.crossJoin(F.broadcast(found)).select("cell_x", "cell_y", _ci(query).alias("ci_fixed"))
-    return pairs.where("ci_fixed > 0").groupBy("cell_x", "cell_y").agg(F.sum("ci_fixed").alias("ci_fixed"))
+    return summed(_positive(grid.crossJoin(F.broadcast(found)), query))
+
+
+def _bounded(rows: DataFrame, bounds: tuple[str, str, str, str] | None) -> DataFrame:
+    if not bounds:
+        return rows
+    return rows.withColumns({"x0": F.greatest("x0", bounds[0]), "x1": F.least("x1", bounds[1]), "y0": F.greatest("y0", bounds[2]), "y1": F.least("y1", bounds[3])}).where("x0 <= x1 and y0 <= y1")
 
 
 def exploded(fovs: DataFrame, query: Query, keys: tuple[str, ...] = (), bounds: tuple[str, str, str, str] | None = None) -> DataFrame:
     """keys, cell_x, cell_y, ci_fixed for every cell with a positive intention; bounds names columns that narrow the span."""
-    rows = with_span(fovs, query.grid)
-    if bounds:
-        rows = rows.withColumns({"x0": F.greatest("x0", bounds[0]), "x1": F.least("x1", bounds[1]), "y0": F.greatest("y0", bounds[2]), "y1": F.least("y1", bounds[3])}).where("x0 <= x1 and y0 <= y1")
-    rows = rows.select(*keys, *_SHAPE, "x0", "x1", "y0", "y1")
-    rows = rows.withColumn("cell_x", F.explode(F.sequence("x0", "x1"))).withColumn("cell_y", F.explode(F.sequence("y0", "y1")))
-    return rows.select(*keys, "cell_x", "cell_y", _ci(query).alias("ci_fixed")).where("ci_fixed > 0")
+    rows = _bounded(with_span(fovs, query, clip=True), bounds)
+    rows = rows.select(*keys, *_SHAPE, "x0", "y0", (F.col("x1") - F.col("x0") + 1).alias("wide"), span_cells().alias("cells"))
+    rows = rows.withColumn("place", F.explode(F.sequence(F.lit(0).cast("long"), F.col("cells") - 1)))
+    rows = rows.withColumns({"cell_x": F.col("x0") + F.col("place") % F.col("wide"), "cell_y": F.col("y0") + F.expr("place div wide")})
+    return _positive(rows, query, keys)
 
 
 def optimized(fovs: DataFrame, query: Query) -> DataFrame:
     """Only the cells of each bounding box; full circles skip the angular factor."""
-    return exploded(candidates(fovs, query), query).groupBy("cell_x", "cell_y").agg(F.sum("ci_fixed").alias("ci_fixed"))
-
-
-def tiled(fovs: DataFrame, query: Query, tile: int = TILE, salt: int = 1) -> DataFrame:
-    """Dense blocks: each field of view goes to the tiles that its box overlaps; salt spreads crowded tiles over tasks."""
-    rows = with_span(candidates(fovs, query), query.grid)
-    rows = rows.select("fov_id", *_SHAPE, "x0", "x1", "y0", "y1").withColumn("tile_x", F.explode(F.sequence(F.floor(F.col("x0") / tile), F.floor(F.col("x1") / tile))))
-    rows = rows.withColumn("tile_y", F.explode(F.sequence(F.floor(F.col("y0") / tile), F.floor(F.col("y1") / tile)))).withColumn("salt", F.pmod(F.xxhash64("fov_id"), F.lit(salt)))
-    laid = rows.repartition("tile_x", "tile_y", "salt").sortWithinPartitions("tile_x", "tile_y").select("tile_x", "tile_y", *_SHAPE, "x0", "x1", "y0", "y1")
+    return summed(exploded(candidates(fovs, query), query))
+
+
+def dense(fovs: DataFrame, query: Query, key: str | None = None, bounds: tuple[str, str, str, str] | None = None, tile: int = TILE, tasks: int | None = None) -> DataFrame:
+    """key (an integer column, if given), cell_x, cell_y, ci_fixed summed, by dense blocks: fields of view travel to the tiles they overlap.
+
+    Tiles whose pairs exceed a fair share of a task's work are dealt to several tasks by hash; there are at most four times
+    as many such tiles as tasks, so their list is broadcast. Without such tiles nothing is dealt.
+    """
+    tasks = tasks or max(int(fovs.sparkSession.conf.get("spark.sql.shuffle.partitions")), 1)
+    rows = _bounded(with_span(fovs, query, clip=True), bounds)
+    rows = rows.select((F.col(key) if key else F.lit(0)).cast("long").alias("own"), "fov_id", *_SHAPE, "x0", "x1", "y0", "y1")
+    part = lambda lo, hi: F.explode(F.sequence(F.floor(F.col(lo) / tile), F.floor(F.col(hi) / tile)))
+    rows = rows.withColumn("tile_x", part("x0", "x1")).withColumn("tile_y", part("y0", "y1"))
+    shared = lambda lo, hi, t: F.least(F.col(hi), (F.col(t) + 1) * tile - 1) - F.greatest(F.col(lo), F.col(t) * tile) + 1
+    loads = rows.groupBy("own", "tile_x", "tile_y").agg(F.sum(shared("x0", "x1", "tile_x") * shared("y0", "y1", "tile_y")).alias("load"))
+    total = loads.agg(F.sum("load")).first()[0] or 0
+    fair = max(total // (4 * tasks), LEAST_WORK)
+    crowded = loads.where(F.col("load") > fair).select("own", "tile_x", "tile_y", F.ceil(F.col("load") / fair).alias("cuts"))
+    if total > fair:
+        rows = rows.join(F.broadcast(crowded), ["own", "tile_x", "tile_y"], "left").withColumn("salt", F.pmod(F.xxhash64("fov_id"), F.coalesce("cuts", F.lit(1))))
+    else:
+        rows = rows.withColumn("salt", F.lit(0))
+    laid = rows.repartition(tasks, "own", "tile_x", "tile_y", "salt").sortWithinPartitions("own", "tile_x", "tile_y").select("own", "tile_x", "tile_y", *SHAPE)
     grid = query.grid
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        at: tuple[int, int] | None = None
+        at: tuple[int, int, int] | None = None
         block = np.zeros((0, 0), np.int64)
 
         def emitted() -> pa.RecordBatch:
             y, x = np.nonzero(block)
-            return pa.RecordBatch.from_arrays([pa.array(x + at[0] * tile), pa.array(y + at[1] * tile), pa.array(block[y, x])], ["cell_x", "cell_y", "ci_fixed"])
+            return pa.RecordBatch.from_arrays([pa.array(np.full(len(x), at[0])), pa.array(x + at[1] * tile), pa.array(y + at[2] * tile), pa.array(block[y, x])], ["own", "cell_x", "cell_y", "ci_fixed"])
 
         for batch in batches:
-            for tx, ty, lat, lon, theta, r_m, alpha, x0, x1, y0, y1 in zip(*(c.to_pylist() for c in batch.columns), strict=True):
-                if at != (tx, ty):
+            if not batch.num_rows:
+                continue
+            columns = [c.to_numpy(zero_copy_only=False) for c in batch.columns]
+            names = np.stack(columns[:3])
+            cuts = [0, *(np.flatnonzero((names[:, 1:] != names[:, :-1]).any(axis=0)) + 1).tolist(), batch.num_rows]
+            for i, j in zip(cuts[:-1], cuts[1:], strict=True):
+                now = tuple(int(v) for v in names[:, i])
+                if now != at:
                     if at is not None:
                         yield emitted()
-                    at = (tx, ty)
-                    block = np.zeros((min(tile, grid.ny - ty * tile), min(tile, grid.nx - tx * tile)), np.int64)
-                add_fov(block, tx * tile, ty * tile, query, lat, lon, theta, r_m, alpha, (x0, x1, y0, y1))
+                    at = now
+                    block = np.zeros((min(tile, grid.ny - now[2] * tile), min(tile, grid.nx - now[1] * tile)), np.int64)
+                add_fovs(block, now[1] * tile, now[2] * tile, query, [c[i:j] for c in columns[3:]])
         if at is not None:
             yield emitted()
 
-    dense = laid.mapInArrow(run, "cell_x long, cell_y long, ci_fixed long")
-    return dense.groupBy("cell_x", "cell_y").agg(F.sum("ci_fixed").alias("ci_fixed"))
+    cells = laid.mapInArrow(run, "own long, cell_x long, cell_y long, ci_fixed long")
+    return summed(cells.withColumnRenamed("own", key), key) if key else summed(cells)
+
+
+def tiled(fovs: DataFrame, query: Query, tile: int = TILE, tasks: int | None = None) -> DataFrame:
+    """The matrix by dense blocks."""
+    return dense(candidates(fovs, query), query, tile=tile, tasks=tasks)
 
 
 def matrix(fovs: DataFrame, query: Query, method: str = "optimized", **options) -> DataFrame:
@@ -118,9 +190,8 @@ def matrix(fovs: DataFrame, query: Query, method: str = "optimized", **options)
 
 def pair_count(fovs: DataFrame, query: Query) -> tuple[int, int]:
     """(fields of view in range, pairs that the optimized method visits)."""
-    spans = with_span(candidates(fovs, query), query.grid)
-    n, pairs = spans.agg(F.count("*"), F.coalesce(F.sum((F.col("x1") - F.col("x0") + 1) * (F.col("y1") - F.col("y0") + 1)), F.lit(0))).first()
-    return n, pairs
+    spans = with_span(candidates(fovs, query), query, clip=True)
+    return tuple(spans.agg(F.count("*"), F.coalesce(F.sum(span_cells()), F.lit(0))).first())
 
 
 def plan(fovs: DataFrame, query: Query, tiled_from: int = TILED_FROM) -> str:

@@ -8,7 +8,7 @@ from pyspark.sql import functions as F
 from ..functions.geo import METRES_PER_DEGREE, east_scale
 from ..functions.intention import FIXED
 from ..plans.query import GridSpec, Query
-from .matrix import centre_of, with_span
+from .matrix import centre_of, span_cells, with_span
 from .retrieval import candidates
 
 
@@ -57,8 +57,8 @@ def region_stats(fovs: DataFrame, query: Query) -> DataFrame:
 
 def cells_per_mbr(fovs: DataFrame, query: Query) -> DataFrame:
     """n_fovs, cell_visits, mean_cells: what the optimized method evaluates."""
-    n = (F.col("x1") - F.col("x0") + 1) * (F.col("y1") - F.col("y0") + 1)
-    return with_span(candidates(fovs, query), query.grid).agg(F.count("*").alias("n_fovs"), F.sum(n).alias("cell_visits"), F.round(F.avg(n), 6).alias("mean_cells"))
+    n = span_cells()
+    return with_span(candidates(fovs, query), query).agg(F.count("*").alias("n_fovs"), F.sum(n).alias("cell_visits"), F.round(F.avg(n), 6).alias("mean_cells"))
 
 
 def cost_model(fovs: DataFrame, query: Query) -> DataFrame:

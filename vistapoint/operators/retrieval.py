@@ -2,11 +2,14 @@
 
 from __future__ import annotations
 
+from functools import reduce
+from operator import or_
+
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from ..functions import geo
-from ..functions.intention import covers
+from ..functions.intention import covers, off_axis
 from ..plans.query import Area, Query, TimeRange
 
 
@@ -24,33 +27,54 @@ def in_time(time: TimeRange, column: str = "t") -> Column:
     return test
 
 
-def fovs_in_range(fovs: DataFrame, area: Area, time: TimeRange = TimeRange(), refine: bool = False, lat0: float = 10.0) -> DataFrame:  # noqa: B008
+def fovs_in_range(fovs: DataFrame, area: Area, time: TimeRange = TimeRange(), refine: bool = False) -> DataFrame:  # noqa: B008
     """Fields of view (with bounding boxes) that overlap the area. Where the store has a day column, its partitions are pruned.
 
-    refine also drops those whose box overlaps but of whose shape neither the nearest point of the area nor the camera,
-    a corner of the area or an end of the arc proves an overlap.
+    refine also drops those whose box overlaps, but whose pie or disc does not.
     """
     found = fovs.where(overlaps(area) & in_time(time))
     if "day" in fovs.columns and time.lo is not None:
         found = found.where(F.col("day") >= F.lit(time.lo.date()))
     if "day" in fovs.columns and time.hi is not None:
         found = found.where(F.col("day") <= F.lit(time.hi.date()))
-    if not refine:
-        return found
-    mx, my = geo.east_scale(lat0), geo.METRES_PER_DEGREE
-    inside = lambda lat, lon: (lat >= area.min_lat) & (lat <= area.max_lat) & (lon >= area.min_lon) & (lon <= area.max_lon)
-    near_lat, near_lon = F.greatest(F.least(F.col("lat"), F.lit(area.max_lat)), F.lit(area.min_lat)), F.greatest(F.least(F.col("lon"), F.lit(area.max_lon)), F.lit(area.min_lon))
-    tests = [inside(F.col("lat"), F.col("lon"))]
-    for lat, lon in [(near_lat, near_lon), *[(F.lit(a), F.lit(b)) for a in (area.min_lat, area.max_lat) for b in (area.min_lon, area.max_lon)]]:
-        tests.append(covers((lon - F.col("lon")) * mx, (lat - F.col("lat")) * my, F.col("theta"), F.col("r_m"), F.col("alpha")))
-    for turn in (-0.5, -0.25, 0.0, 0.25, 0.5):
-        azimuth = F.radians(F.col("theta") + F.col("alpha") * turn)
-        for part in (0.25, 0.5, 0.75, 1.0):
-            tests.append(inside(F.col("lat") + F.col("r_m") * part * F.cos(azimuth) / my, F.col("lon") + F.col("r_m") * part * F.sin(azimuth) / mx))
-    any_of = tests[0]
-    for test in tests[1:]:
-        any_of = any_of | test
-    return found.where(any_of)
+    return found.where(shape_meets(area)) if refine else found
+
+
+def shape_meets(area: Area) -> Column:
+    """Whether a pie or disc and an upright box have a point in common, in the plane of the camera's latitude; exact.
+
+    They do if the camera lies in the box, a corner of the box in the shape, one of the two straight borders crosses the
+    box, or the arc crosses one of the four sides. For a disc, the point of the box nearest to the camera decides.
+    """
+    mx, my = geo.east_scale_at(F.col("lat")), F.lit(geo.METRES_PER_DEGREE)
+    west, east = (F.lit(area.min_lon) - F.col("lon")) * mx, (F.lit(area.max_lon) - F.col("lon")) * mx
+    south, north = (F.lit(area.min_lat) - F.col("lat")) * my, (F.lit(area.max_lat) - F.col("lat")) * my
+    r, theta, alpha = F.col("r_m"), F.col("theta"), F.col("alpha")
+    zero = F.lit(0.0)
+    within = lambda x, y: (x >= west) & (x <= east) & (y >= south) & (y <= north)
+    tests = [within(zero, zero), *[covers(x, y, theta, r, alpha) for x in (west, east) for y in (south, north)]]
+    for turn in (-0.5, 0.5):
+        azimuth = F.radians(theta + alpha * turn)
+        ux, uy = F.sin(azimuth), F.cos(azimuth)
+        # The part of the border inside each slab; a border along a slab is wholly in or out of it.
+        lows, highs = [zero], [r]
+        for u, lo, hi in ((ux, west, east), (uy, south, north)):
+            flat, out = F.abs(u) < 1e-12, (lo > 0) | (hi < 0)
+            safe = F.when(flat, 1.0).otherwise(u)
+            lows.append(F.when(flat, F.when(out, r + 1).otherwise(zero)).otherwise(F.least(lo / safe, hi / safe)))
+            highs.append(F.when(flat, r).otherwise(F.greatest(lo / safe, hi / safe)))
+        tests.append(F.greatest(*lows) <= F.least(*highs))
+    ahead = lambda x, y: off_axis(x, y, theta) <= alpha / 2
+    for c in (west, east):
+        for sign in (-1.0, 1.0):
+            y = F.sqrt(F.greatest(r * r - c * c, zero)) * sign
+            tests.append((F.abs(c) <= r) & (y >= south) & (y <= north) & ahead(c, y))
+    for c in (south, north):
+        for sign in (-1.0, 1.0):
+            x = F.sqrt(F.greatest(r * r - c * c, zero)) * sign
+            tests.append((F.abs(c) <= r) & (x >= west) & (x <= east) & ahead(x, c))
+    near_x, near_y = F.greatest(F.least(zero, east), west), F.greatest(F.least(zero, north), south)
+    return F.when(alpha >= 360.0, geo.distance(near_x, near_y) <= r).otherwise(reduce(or_, tests))
 
 
 def candidates(fovs: DataFrame, query: Query) -> DataFrame:

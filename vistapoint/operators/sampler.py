@@ -7,85 +7,110 @@ each cluster would have stopped (for sweeps and as a reference); ``per_cluster_t
 
 from __future__ import annotations
 
-
+from collections.abc import Iterator
 from dataclasses import dataclass
 
 import numpy as np
-import pandas as pd
+import pyarrow as pa
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
-from ..functions.intention import FIXED
 from ..functions.noise import u01
+from ..plans import stopping
 from ..plans.query import ClusterOptions, Query
 from ..session import kept
 from . import clusters, sampling
-from .kernel import add_fov
-from .matrix import exploded, with_span
+from .kernel import SHAPE, add_fovs, greedy_total, largest_cells
+from .matrix import TILED_FROM, dense, exploded, span_cells, summed, top_cells, with_span
 from .measures import cell_metres, greedy_pairing
 
-#: A cluster of more fields of view than this is not given to one task.
-ONE_TASK = 5_000_000
+#: A cluster of more fields of view, or of a rectangle of more cells, than this is not given to one task.
+ONE_TASK, ONE_BLOCK = 5_000_000, 50_000_000
+#: Rows of a cluster that one task sorts when batches are dealt.
+ROWS_PER_SORT = 1_000_000
+BOUNDS = ("cx0", "cx1", "cy0", "cy1")
 
 
 @dataclass
 class Prepared:
-    """Cluster rectangles, and the fields of view of each cluster with their batch."""
+    """Cluster rectangles, and the fields of view of each cluster with their batch, stored."""
 
     rects: DataFrame
     members: DataFrame
-    sizes: dict[int, int]
+    #: (cluster, batch) -> number of fields of view.
+    batch_sizes: dict[tuple[int, int], int]
+    #: cluster -> its range of cells: x0, x1, y0, y1.
+    boxes: dict[int, tuple[int, int, int, int]]
+
+    @property
+    def sizes(self) -> dict[int, int]:
+        out: dict[int, int] = {}
+        for (c, _), n in self.batch_sizes.items():
+            out[c] = out.get(c, 0) + n
+        return out
 
 
 def prepare(fovs: DataFrame, query: Query, options: ClusterOptions = ClusterOptions()) -> Prepared:  # noqa: B008
-    """Cluster a sample, turn clusters into rectangles, and deal each rectangle's fields of view into batches."""
-    points = clusters.in_area(fovs, query)
-    sample = points.where(u01("cluster" + options.salt, "fov_id") < options.cluster_fraction)
+    """Cluster a sample, turn clusters into rectangles, and deal each rectangle's fields of view into batches.
+
+    What is in range is stored once in narrow form and read by every step of the clustering; so are the dealt members.
+    """
+    box = ("min_lat", "max_lat", "min_lon", "max_lon")
+    extra = [c for c in ("video_id",) if c in fovs.columns]
+    points = clusters.in_area(fovs, query).select("fov_id", *extra, *SHAPE[:5], *box, "px", "py", (u01("cluster" + options.salt, "fov_id") < options.cluster_fraction).alias("in_sample"))
+    points = kept(points)
+    sample = points.where("in_sample")
     centres = clusters.kmeans(sample, options.clusters, options.lloyd_steps, "init" + options.salt)
     if not centres:
         empty = clusters.rectangles(clusters.radii(points, [(0.0, 0.0)]), query).where("false")
-        return Prepared(empty, clusters.members(points, empty).withColumn("batch", F.lit(1)), {})
-    rects = clusters.rectangles(clusters.radii(sample, centres), query)
+        return Prepared(empty, clusters.members(points, empty).withColumn("batch", F.lit(1)), {}, {})
+    found = clusters.rectangles(clusters.radii(sample, centres), query)
+    rows = found.collect()  # as many as clusters at most
+    rects = fovs.sparkSession.createDataFrame(rows, found.schema)
     if options.membership == "range":
         own = clusters.members(points, rects)
     else:
-        own = points.withColumn("cluster_id", clusters.nearest(centres)).join(F.broadcast(rects.select("cluster_id", "cx0", "cx1", "cy0", "cy1")), "cluster_id")
-    dealt = sampling.batches(own, options.batches, "cluster_id", "batch" + options.salt)
-    sizes = {r.cluster_id: r["count"] for r in dealt.groupBy("cluster_id").count().collect()}
-    return Prepared(rects, dealt, sizes)
+        own = points.withColumn("cluster_id", clusters.nearest(centres)).join(F.broadcast(rects.select("cluster_id", *BOUNDS)), "cluster_id")
+    parts = -(-points.count() // ROWS_PER_SORT)
+    dealt = kept(sampling.batches(own, options.batches, "cluster_id", "batch" + options.salt, options.sampler, parts))
+    counts = {(r.cluster_id, r.batch): r["count"] for r in dealt.groupBy("cluster_id", "batch").count().collect()}
+    return Prepared(rects, dealt, counts, {r.cluster_id: (r.cx0, r.cx1, r.cy0, r.cy1) for r in rows})
 
 
 def _change(measure: str, now: Column, before: Column, p: Column, p_before: Column) -> Column:
     """How far the maximum moved from one round to the next."""
-    if measure == "raw":
-        return F.abs(now - before) / FIXED
-    if measure == "relative":
-        return F.abs(now - before) / F.greatest(now, F.lit(1))
-    rescaled = F.abs(now / p - before / p_before)
-    return rescaled / FIXED if measure == "rescaled" else rescaled / F.greatest(now / p, F.lit(1.0))
+    return stopping.MEASURES[measure](now, before, p, p_before, F.abs, lambda a, b: F.greatest(a, F.lit(b)))
 
 
 def _satisfied(options: ClusterOptions, d_max: Column, d_topk: Column) -> Column:
-    by_max, by_shift = d_max < options.threshold, d_topk < options.shift_threshold_m
-    rules = {"max_change": by_max, "topk_shift": by_shift, "any_of": by_max | by_shift, "all_of": by_max & by_shift, "none": F.lit(False)}
-    return F.coalesce(rules[options.rule], F.lit(False))
+    return F.coalesce(stopping.RULES[options.rule](options, d_max, d_topk), F.lit(False))
 
 
 def running_cells(prepared: Prepared, query: Query, options: ClusterOptions) -> DataFrame:
-    """cluster_id, cell_x, cell_y, iter, ci_fixed: the matrix of each cluster after each round; a cell carries on where a round adds nothing."""
-    sums = exploded(prepared.members, query, ("cluster_id", "batch"), ("cx0", "cx1", "cy0", "cy1")).groupBy("cluster_id", "cell_x", "cell_y", "batch").agg(F.sum("ci_fixed").alias("add"))
-    each = sums.groupBy("cluster_id", "cell_x", "cell_y").agg(F.map_from_entries(F.collect_list(F.struct("batch", "add"))).alias("adds"))
-    dense = each.select("cluster_id", "cell_x", "cell_y", "adds", F.explode(F.sequence(F.lit(1), F.lit(options.rounds))).alias("iter"))
-    w = Window.partitionBy("cluster_id", "cell_x", "cell_y").orderBy("iter").rowsBetween(Window.unboundedPreceding, Window.currentRow)
-    total = F.sum(F.coalesce(F.try_element_at("adds", F.col("iter")), F.lit(0))).over(w)
-    return dense.select("cluster_id", "cell_x", "cell_y", "iter", total.alias("ci_fixed"))
+    """cluster_id, cell_x, cell_y, iter, ci_fixed: each cell's running sum after the rounds that add to it."""
+    adds = exploded(prepared.members.where(F.col("batch") <= options.rounds), query, ("cluster_id", "batch"), BOUNDS)
+    sums = summed(adds, "cluster_id", "batch")
+    so_far = Window.partitionBy("cluster_id", "cell_x", "cell_y").orderBy("batch").rowsBetween(Window.unboundedPreceding, Window.currentRow)
+    return sums.select("cluster_id", "cell_x", "cell_y", F.col("batch").alias("iter"), F.sum("ci_fixed").over(so_far).alias("ci_fixed"))
+
+
+def best_by_round(prepared: Prepared, query: Query, options: ClusterOptions) -> DataFrame:
+    """cluster_id, iter, rank, cell_x, cell_y, ci_fixed: the k largest cells of each cluster after each round.
+
+    Sums only grow, so a cell among the k largest was so among the cells that changed in the round in which it last
+    changed. It is enough to keep k cells for each cluster and round, and to carry these few rows through the rounds.
+    """
+    order = (F.col("ci_fixed").desc(), "cell_y", "cell_x")
+    cells = running_cells(prepared, query, options)
+    some = cells.withColumn("rank", F.row_number().over(Window.partitionBy("cluster_id", "iter").orderBy(*order))).where(F.col("rank") <= query.k)
+    carried = some.select("cluster_id", "cell_x", "cell_y", "ci_fixed", F.explode(F.sequence("iter", F.lit(options.rounds))).alias("iter"))
+    latest = carried.groupBy("cluster_id", "iter", "cell_x", "cell_y").agg(F.max("ci_fixed").alias("ci_fixed"))
+    return latest.withColumn("rank", F.row_number().over(Window.partitionBy("cluster_id", "iter").orderBy(*order))).where(F.col("rank") <= query.k)
 
 
 def trace(prepared: Prepared, query: Query, options: ClusterOptions = ClusterOptions()) -> DataFrame:  # noqa: B008
     """cluster_id, iter, p, max_ci, d_max, d_topk, stop, top: both stopping measures after every round, and where the rule first holds."""
-    cells = running_cells(prepared, query, options).where("ci_fixed > 0")
-    w = Window.partitionBy("cluster_id", "iter").orderBy(F.col("ci_fixed").desc(), "cell_y", "cell_x")
-    best = cells.withColumn("rank", F.row_number().over(w)).where(F.col("rank") <= query.k)
+    best = best_by_round(prepared, query, options)
     per = best.groupBy("cluster_id", "iter").agg(F.max("ci_fixed").alias("max_fixed"), F.sort_array(F.collect_list(F.struct("rank", "cell_x", "cell_y", "ci_fixed"))).alias("top"))
     counts = prepared.members.groupBy("cluster_id", "batch").agg(F.count("*").alias("n"))
     so_far = counts.withColumn("seen", F.sum("n").over(Window.partitionBy("cluster_id").orderBy("batch"))).withColumn("all", F.sum("n").over(Window.partitionBy("cluster_id")))
@@ -106,117 +131,142 @@ def merged(lists: DataFrame, k: int) -> DataFrame:
     """The global top-k of cluster lists (cell_x, cell_y, ci_fixed, p): sums rescaled by the share seen, one entry per cell, the largest."""
     est = F.round(F.col("ci_fixed") / F.col("p"))
     cells = lists.select("cell_x", "cell_y", est.cast("long").alias("ci_fixed")).groupBy("cell_x", "cell_y").agg(F.max("ci_fixed").alias("ci_fixed"))
-    from .matrix import top_cells
-
     return top_cells(cells, k)
 
 
+def lists_at_stop(rows: DataFrame) -> DataFrame:
+    """The cluster lists of a trace where each cluster stopped, as ``merged`` takes them."""
+    return rows.where("iter = stop").select("p", F.explode("top").alias("c")).select("c.cell_x", "c.cell_y", "c.ci_fixed", "p")
+
+
 def prefix(fovs: DataFrame, query: Query, options: ClusterOptions = ClusterOptions()) -> tuple[DataFrame, DataFrame]:  # noqa: B008
     """(top-k, trace) from running sums over all batches."""
     rows = trace(prepare(fovs, query, options), query, options)
-    final = rows.where("iter = stop").select("p", F.explode("top").alias("c")).select("c.cell_x", "c.cell_y", "c.ci_fixed", "p")
-    return merged(final, query.k), rows
+    return merged(lists_at_stop(rows), query.k), rows
 
 
-def _greedy(a: list[tuple[int, int]], b: list[tuple[int, int]], width: float, height: float) -> float:
-    pairs = sorted((float(np.sqrt(((p[0] - q[0]) * width) ** 2 + ((p[1] - q[1]) * height) ** 2)), i, j) for i, p in enumerate(a) for j, q in enumerate(b))
-    used_i, used_j, total = set(), set(), 0.0
-    for d, i, j in pairs:
-        if i not in used_i and j not in used_j:
-            used_i.add(i), used_j.add(j)
-            total += d
-    return total
-
-
-def _best(block: np.ndarray, x0: int, y0: int, k: int) -> list[tuple[int, int, int]]:
-    y, x = np.nonzero(block)
-    v = block[y, x]
-    order = np.lexsort((x, y, -v))[:k]
-    return [(int(x[i]) + x0, int(y[i]) + y0, int(v[i])) for i in order]
+@dataclass
+class _Progress:
+    """One cluster's way through its rounds, as tasks and the driver keep it."""
+
+    seen: int = 0
+    p: float = 1.0
+    now: int = 0
+    rounds: int = 0
+    top: list[tuple[int, int, int]] | None = None
+
+    def step(self, number: int, more: int, whole: int, top: list[tuple[int, int, int]], query: Query, options: ClusterOptions) -> bool:
+        """Close a round that has seen ``more`` fields of view; whether the rule says stop."""
+        before, p_before, top_before = self.now, self.p, self.top
+        self.seen, self.rounds, self.top = self.seen + more, number, top
+        self.p, self.now = self.seen / whole, top[0][2] if top else 0
+        if top_before is None or before <= 0 or self.now <= 0 or number < options.min_iterations:
+            return False
+        d_max = stopping.MEASURES[options.measure](self.now, before, self.p, p_before, abs, max)
+        d_topk = greedy_total([t[:2] for t in top], [t[:2] for t in top_before], *cell_metres(query))
+        return bool(stopping.RULES[options.rule](options, d_max, d_topk))
 
 
 def per_cluster_task(fovs: DataFrame, query: Query, options: ClusterOptions = ClusterOptions(), ready: Prepared | None = None) -> tuple[DataFrame, DataFrame]:  # noqa: B008
-    """(top-k, stops): one task owns one cluster and truly stops early. stops: cluster_id, iter, p, seen."""
+    """(top-k, stops): one task owns one cluster and truly stops early. stops: cluster_id, iter, p, seen.
+
+    A cluster's rows come ordered by batch, in Arrow batches; the task holds its rectangle's sums and nothing else.
+    """
     ready = ready or prepare(fovs, query, options)
-    if ready.sizes and max(ready.sizes.values()) > ONE_TASK:
+    if not _fits_tasks(ready):
         raise ValueError("a cluster is too large for one task; use driver_loop")
-    rows = with_span(ready.members, query.grid).select("cluster_id", "fov_id", "batch", "lat", "lon", "theta", "r_m", "alpha", "x0", "x1", "y0", "y1", "cx0", "cx1", "cy0", "cy1")
-    sizes, (width, height) = ready.sizes, cell_metres(query)
-    batch_sizes = {(r.cluster_id, r.batch): r.n for r in ready.members.groupBy("cluster_id", "batch").agg(F.count("*").alias("n")).collect()}
-
-    def run(pdf: pd.DataFrame) -> pd.DataFrame:
-        cluster = int(pdf["cluster_id"].iloc[0])
-        x0, x1, y0, y1 = (int(pdf[c].iloc[0]) for c in ("cx0", "cx1", "cy0", "cy1"))
-        block = np.zeros((y1 - y0 + 1, x1 - x0 + 1), np.int64)
-        seen, before, p_before, top_before, p, top, i = 0, None, 1.0, None, 1.0, [], 0
-        for i in range(1, options.rounds + 1):
-            if (cluster, i) not in batch_sizes:
-                i -= 1
-                break
-            for r in pdf[pdf["batch"] == i].itertuples():
-                add_fov(block, x0, y0, query, r.lat, r.lon, r.theta, r.r_m, r.alpha, (r.x0, r.x1, r.y0, r.y1))
-            seen += batch_sizes[(cluster, i)]
-            p = seen / sizes[cluster]
-            top = _best(block, x0, y0, query.k)
-            now = top[0][2] if top else 0
-            if before is not None and before > 0 and now > 0 and i >= options.min_iterations:
-                change = {"raw": abs(now - before) / FIXED, "relative": abs(now - before) / max(now, 1), "rescaled": abs(now / p - before / p_before) / FIXED, "rescaled_relative": abs(now / p - before / p_before) / max(now / p, 1.0)}[options.measure]
-                by_max, by_shift = change < options.threshold, _greedy([t[:2] for t in top], [t[:2] for t in top_before], width, height) < options.shift_threshold_m
-                if {"max_change": by_max, "topk_shift": by_shift, "any_of": by_max or by_shift, "all_of": by_max and by_shift, "none": False}[options.rule]:
-                    break
-            before, p_before, top_before = now, p, top
-        rows = [(cluster, i, p, seen, x, y, v) for x, y, v in top] or [(cluster, i, p, seen, None, None, 0)]
-        return pd.DataFrame(rows, columns=["cluster_id", "iter", "p", "seen", "cell_x", "cell_y", "ci_fixed"])
-
-    out = rows.groupBy("cluster_id").applyInPandas(run, "cluster_id int, iter int, p double, seen long, cell_x long, cell_y long, ci_fixed long")
+    sizes, batch_sizes, boxes, rounds = ready.sizes, ready.batch_sizes, ready.boxes, options.rounds
+    rows = with_span(ready.members.where(F.col("batch") <= rounds), query, clip=True).select(F.col("cluster_id").cast("long"), F.col("batch").cast("long"), *SHAPE)
+    laid = rows.repartition(max(len(sizes), 1), "cluster_id").sortWithinPartitions("cluster_id", "batch")
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        cluster, block, state, stopped = -1, np.zeros((0, 0), np.int64), _Progress(), True
+
+        def close(upto: int) -> None:
+            """Close all rounds up to a number, as long as the rule does not hold; rounds without members end it."""
+            nonlocal stopped
+            while not stopped and state.rounds < upto:
+                number = state.rounds + 1
+                if (cluster, number) not in batch_sizes:
+                    stopped = True
+                    return
+                stopped = state.step(number, batch_sizes[cluster, number], sizes[cluster], largest_cells(block, boxes[cluster][0], boxes[cluster][2], query.k), query, options)
+
+        def listed() -> pa.RecordBatch:
+            cells = state.top or [(None, None, 0)]
+            fixed = [(cluster, state.rounds, state.p, state.seen, *c) for c in cells]
+            kinds = (pa.int64(), pa.int64(), pa.float64(), pa.int64(), pa.int64(), pa.int64(), pa.int64())
+            return pa.RecordBatch.from_arrays([pa.array([r[i] for r in fixed], kind) for i, kind in enumerate(kinds)], ["cluster_id", "iter", "p", "seen", "cell_x", "cell_y", "ci_fixed"])
+
+        for batch in batches:
+            if not batch.num_rows:
+                continue
+            columns = [c.to_numpy(zero_copy_only=False) for c in batch.columns]
+            keys = np.stack(columns[:2])
+            cuts = [0, *(np.flatnonzero((keys[:, 1:] != keys[:, :-1]).any(axis=0)) + 1).tolist(), batch.num_rows]
+            for i, j in zip(cuts[:-1], cuts[1:], strict=True):
+                now, number = int(keys[0, i]), int(keys[1, i])
+                if now != cluster:
+                    if cluster >= 0:
+                        close(rounds)
+                        yield listed()
+                    x0, x1, y0, y1 = boxes[now]
+                    cluster, block, state, stopped = now, np.zeros((y1 - y0 + 1, x1 - x0 + 1), np.int64), _Progress(), False
+                close(number - 1)
+                if not stopped:
+                    add_fovs(block, boxes[cluster][0], boxes[cluster][2], query, [c[i:j] for c in columns[2:]])
+        if cluster >= 0:
+            close(rounds)
+            yield listed()
+
+    out = kept(laid.mapInArrow(run, "cluster_id long, iter long, p double, seen long, cell_x long, cell_y long, ci_fixed long"))
     return merged(out.where("cell_x is not null"), query.k), out.select("cluster_id", "iter", "p", "seen").distinct()
 
 
-def driver_loop(fovs: DataFrame, query: Query, options: ClusterOptions = ClusterOptions(), keep=kept, ready: Prepared | None = None) -> tuple[DataFrame, DataFrame]:  # noqa: B008
-    """(top-k, stops): a job per round over the clusters still active. Only k rows of each cluster and its maximum come to the driver."""
+def driver_loop(fovs: DataFrame, query: Query, options: ClusterOptions = ClusterOptions(), ready: Prepared | None = None, blocks_from: int = TILED_FROM) -> tuple[DataFrame, DataFrame]:  # noqa: B008
+    """(top-k, stops): a job per round over the clusters still active. Only k rows of each cluster come to the driver.
+
+    Rounds of ``blocks_from`` pairs or more are summed in dense blocks, so that fields of view are shuffled and not cells.
+    """
     ready = ready or prepare(fovs, query, options)
-    spark, (width, height) = fovs.sparkSession, cell_metres(query)
-    members = keep(ready.members)
-    counts = {(r.cluster_id, r.batch): r.n for r in members.groupBy("cluster_id", "batch").agg(F.count("*").alias("n")).collect()}
-    active, total = sorted(ready.sizes), None
-    last: dict[int, tuple] = {}
-    done: dict[int, tuple] = {}
+    spark, sizes, counts = fovs.sparkSession, ready.sizes, ready.batch_sizes
+    pairs = with_span(ready.members, query, clip=True).agg(F.sum(span_cells())).first()[0] or 0
+    active, total = sorted(sizes), None
+    states = {c: _Progress() for c in active}
     for i in range(1, options.rounds + 1):
         active = [c for c in active if (c, i) in counts]
         if not active:
             break
-        add = exploded(members.where((F.col("batch") == i) & F.col("cluster_id").isin(active)), query, ("cluster_id",), ("cx0", "cx1", "cy0", "cy1"))
-        both = add if total is None else total.where(F.col("cluster_id").isin(active)).union(add)
-        total = keep(both.groupBy("cluster_id", "cell_x", "cell_y").agg(F.sum("ci_fixed").alias("ci_fixed")))
-        w = Window.partitionBy("cluster_id").orderBy(F.col("ci_fixed").desc(), "cell_y", "cell_x")
+        rows = ready.members.where((F.col("batch") == i) & F.col("cluster_id").isin(active))
+        if pairs // options.batches >= blocks_from:
+            add = dense(rows, query, "cluster_id", BOUNDS)
+        else:
+            add = exploded(rows, query, ("cluster_id",), BOUNDS)
+        both = add if total is None else total.where(F.col("cluster_id").isin(active)).union(add.select(total.columns))
+        total = kept(summed(both, "cluster_id"))
+        order = Window.partitionBy("cluster_id").orderBy(F.col("ci_fixed").desc(), "cell_y", "cell_x")
         tops: dict[int, list] = {c: [] for c in active}
-        for r in total.withColumn("rank", F.row_number().over(w)).where(F.col("rank") <= query.k).orderBy("cluster_id", "rank").collect():
+        for r in total.withColumn("rank", F.row_number().over(order)).where(F.col("rank") <= query.k).orderBy("cluster_id", "rank").collect():
             tops[r.cluster_id].append((r.cell_x, r.cell_y, r.ci_fixed))
-        for c in list(active):
-            seen = sum(counts[(c, j)] for j in range(1, i + 1))
-            p, top = seen / ready.sizes[c], tops[c]
-            now = top[0][2] if top else 0
-            done[c] = (i, p, seen, top)
-            if c in last and last[c][0] > 0 and now > 0 and i >= options.min_iterations:
-                before, p_before, top_before = last[c]
-                change = {"raw": abs(now - before) / FIXED, "relative": abs(now - before) / max(now, 1), "rescaled": abs(now / p - before / p_before) / FIXED, "rescaled_relative": abs(now / p - before / p_before) / max(now / p, 1.0)}[options.measure]
-                by_max, by_shift = change < options.threshold, _greedy([t[:2] for t in top], [t[:2] for t in top_before], width, height) < options.shift_threshold_m
-                if {"max_change": by_max, "topk_shift": by_shift, "any_of": by_max or by_shift, "all_of": by_max and by_shift, "none": False}[options.rule]:
-                    active.remove(c)
-            last[c] = (now, p, top)
-    cells = [(x, y, v, p) for _, p, _, top in done.values() for x, y, v in top]
-    stops = spark.createDataFrame([(c, i, float(p), n) for c, (i, p, n, _) in sorted(done.items())], "cluster_id int, iter int, p double, seen long")
+        active = [c for c in active if not states[c].step(i, counts[c, i], sizes[c], tops[c], query, options)]
+    cells = [(x, y, v, s.p) for s in states.values() for x, y, v in s.top or ()]
+    stops = spark.createDataFrame([(c, s.rounds, float(s.p), s.seen) for c, s in sorted(states.items())], "cluster_id long, iter long, p double, seen long")
     return merged(spark.createDataFrame(cells, "cell_x long, cell_y long, ci_fixed long, p double"), query.k), stops
 
 
+def _fits_tasks(ready: Prepared) -> bool:
+    area = max(((x1 - x0 + 1) * (y1 - y0 + 1) for x0, x1, y0, y1 in ready.boxes.values()), default=0)
+    return max(ready.sizes.values(), default=0) <= ONE_TASK and area <= ONE_BLOCK
+
+
 def run(fovs: DataFrame, query: Query, options: ClusterOptions = ClusterOptions(), mode: str = "auto") -> tuple[DataFrame, DataFrame]:  # noqa: B008
     """auto: a task per cluster as long as each cluster fits one, else a job per round; both give the same result."""
     if mode == "prefix":
         return prefix(fovs, query, options)
     ready = prepare(fovs, query, options)
     if mode == "auto":
-        mode = "driver_loop" if max(ready.sizes.values(), default=0) > ONE_TASK else "per_cluster_task"
+        mode = "per_cluster_task" if _fits_tasks(ready) else "driver_loop"
     return {"per_cluster_task": per_cluster_task, "driver_loop": driver_loop}[mode](fovs, query, options, ready=ready)
 
 
-__all__ = ["Prepared", "driver_loop", "merged", "per_cluster_task", "prefix", "prepare", "run", "running_cells", "trace"]
+__all__ = ["Prepared", "best_by_round", "driver_loop", "lists_at_stop", "merged", "per_cluster_task", "prefix", "prepare", "run", "running_cells", "trace"]

@@ -6,7 +6,8 @@ from __future__ import annotations
 from .functions.geo import EARTH_RADIUS_M, METRES_PER_DEGREE, east_scale
 from .functions.intention import density_scale
 from .functions.noise import u01_sql
-from .operators.fov import GAMMA20, LAT0, VARIANTS
+from .operators.fov import GAMMA20, VARIANTS
+LAT0 = 10.0
 from .plans.query import Area, ClusterOptions, Query
 from .sources.carriers import CENTRE, JITTER_M, NOISE_HALF, SPOTS
 

@@ -8,6 +8,7 @@ from dataclasses import dataclass, field
 
 from ..functions.geo import METRES_PER_DEGREE, east_scale
 from ..functions.intention import Model
+from . import stopping
 
 
 @dataclass(frozen=True)
@@ -37,18 +38,21 @@ class Area:
 
 @dataclass(frozen=True)
 class GridSpec:
-    """Equal square cells of ``cell`` degrees over an area, counted from its south-west corner; nothing is materialised."""
+    """Equal square cells of ``cell`` degrees over an area, counted from its south-west corner; nothing is materialised.
+
+    Where the area is no multiple of the cell, the last row and column reach beyond it, so no part of it is left out.
+    """
 
     area: Area
     cell: float = 0.0001
 
     @property
     def nx(self) -> int:
-        return max(round((self.area.max_lon - self.area.min_lon) / self.cell), 1)
+        return max(math.ceil((self.area.max_lon - self.area.min_lon) / self.cell - 1e-6), 1)
 
     @property
     def ny(self) -> int:
-        return max(round((self.area.max_lat - self.area.min_lat) / self.cell), 1)
+        return max(math.ceil((self.area.max_lat - self.area.min_lat) / self.cell - 1e-6), 1)
 
     @property
     def cells(self) -> int:
@@ -70,8 +74,8 @@ class Query:
     cell: float = 0.0001
     time: TimeRange = field(default_factory=TimeRange)
     model: Model = field(default_factory=Model)
-    #: Latitude at which degrees become metres; that of the stored bounding boxes.
-    lat0: float = 10.0
+    #: Latitude at which degrees become metres, if not the middle of the area.
+    plane_lat: float | None = None
 
     def __post_init__(self) -> None:
         if self.k < 1 or self.cell <= 0:
@@ -81,6 +85,10 @@ class Query:
     def grid(self) -> GridSpec:
         return GridSpec(self.area, self.cell)
 
+    @property
+    def lat0(self) -> float:
+        return self.area.mid_lat if self.plane_lat is None else self.plane_lat
+
 
 @dataclass(frozen=True)
 class ClusterOptions:
@@ -96,11 +104,13 @@ class ClusterOptions:
     max_iterations: int | None = None
     min_iterations: int = 2
     membership: str = "range"
+    #: How batches are dealt: exact, hash, or a name given to operators.sampling.add_sampler.
+    sampler: str = "exact"
     lloyd_steps: int = 3
     salt: str = "s0"
 
     def __post_init__(self) -> None:
-        if self.measure not in ("raw", "rescaled", "relative", "rescaled_relative") or self.rule not in ("max_change", "topk_shift", "any_of", "all_of", "none"):
+        if self.measure not in stopping.MEASURES or self.rule not in stopping.RULES:
             raise ValueError("unknown stopping rule or measure")
         if not (0 < self.cluster_fraction <= 1 and 0 < self.batch_fraction <= 1 and self.clusters >= 1) or self.membership not in ("range", "kmeans"):
             raise ValueError("fractions lie in (0, 1] and there is at least one cluster")

@@ -25,12 +25,25 @@ def ship(spark: SparkSession) -> None:
     _shipped.add(context.applicationId)
 
 
+def single_process(spark: SparkSession) -> bool:
+    """Whether driver and tasks run in one process, so that a temporary folder is shared by all; local-cluster is no such master."""
+    master = spark.sparkContext.master
+    return master == "local" or master.startswith("local[")
+
+
+def shared_folder(spark: SparkSession, purpose: str) -> str:
+    """The folder that driver and executors share: the session's checkpoint folder; a temporary one only in a single process."""
+    named = spark.sparkContext.getCheckpointDir() or spark.conf.get("spark.checkpoint.dir", None)
+    if named:
+        return named
+    if not single_process(spark):
+        raise ValueError("set spark.checkpoint.dir to a folder that the driver and the executors share")
+    return tempfile.mkdtemp(prefix=f"{purpose}-")
+
+
 def kept(df: DataFrame) -> DataFrame:
     """A reliable checkpoint in the session's folder."""
-    context = df.sparkSession.sparkContext
-    if context.getCheckpointDir() is None:
-        named = df.sparkSession.conf.get("spark.checkpoint.dir", None)
-        if not named and not context.master.startswith("local"):
-            raise ValueError("set spark.checkpoint.dir to a shared folder")
-        context.setCheckpointDir(named or tempfile.mkdtemp(prefix="checkpoints-"))
+    spark = df.sparkSession
+    if spark.sparkContext.getCheckpointDir() is None:
+        spark.sparkContext.setCheckpointDir(shared_folder(spark, "checkpoints"))
     return df.checkpoint()

@@ -7,7 +7,7 @@ from pyspark.sql import functions as F
 
 from ..functions.geo import METRES_PER_DEGREE, east_scale
 from ..functions.noise import u01
-from ..operators.fov import LAT0, angle_of, range_of
+from ..operators.fov import angle_of, range_of
 
 CENTRE = (10.0, 20.0)
 NOISE_HALF = 0.175
@@ -20,36 +20,36 @@ def _pick(values: list[float], at: Column) -> Column:
     return F.element_at(F.array(*[F.lit(v) for v in values]), (at + 1).cast("int"))
 
 
-def _placed(rows: DataFrame, noisy: Column, variant: str, key: str = "fov_id") -> DataFrame:
+def _placed(rows: DataFrame, noisy: Column, variant: str, key: str = "fov_id", centre: tuple[float, float] = CENTRE, extra: tuple[str, ...] = ()) -> DataFrame:
     """From spot_lat, spot_lon, away_m, aim (degrees off the subject): camera, azimuth, distance, angle."""
-    mx, my = F.lit(east_scale(LAT0)), F.lit(METRES_PER_DEGREE)
+    mx, my = F.lit(east_scale(centre[0])), F.lit(METRES_PER_DEGREE)
     brg = F.lit(360.0) * u01("brg", key)
-    lat = F.when(noisy, F.lit(CENTRE[0] - NOISE_HALF) + F.lit(2 * NOISE_HALF) * u01("y", key)).otherwise(F.col("spot_lat") + F.col("away_m") * F.cos(F.radians(brg)) / my)
-    lon = F.when(noisy, F.lit(CENTRE[1] - NOISE_HALF) + F.lit(2 * NOISE_HALF) * u01("x", key)).otherwise(F.col("spot_lon") + F.col("away_m") * F.sin(F.radians(brg)) / mx)
+    lat = F.when(noisy, F.lit(centre[0] - NOISE_HALF) + F.lit(2 * NOISE_HALF) * u01("y", key)).otherwise(F.col("spot_lat") + F.col("away_m") * F.cos(F.radians(brg)) / my)
+    lon = F.when(noisy, F.lit(centre[1] - NOISE_HALF) + F.lit(2 * NOISE_HALF) * u01("x", key)).otherwise(F.col("spot_lon") + F.col("away_m") * F.sin(F.radians(brg)) / mx)
     theta = F.when(noisy, brg).otherwise(F.pmod(brg + 180.0 + F.col("aim"), F.lit(360.0)))
-    return rows.select(F.col("fov_id"), "video_id", lat.alias("lat"), lon.alias("lon"), theta.alias("theta"), range_of(u01("rad", "video_id")).alias("r_m"), angle_of(variant, u01("ang", key)).alias("alpha"), "t")
+    return rows.select(F.col("fov_id"), "video_id", lat.alias("lat"), lon.alias("lon"), theta.alias("theta"), range_of(u01("rad", "video_id")).alias("r_m"), angle_of(variant, u01("ang", key)).alias("alpha"), "t", *extra)
 
 
-def from_events(spark: SparkSession, sf_dir: str, variant: str = "pie60", jitter_m: float = JITTER_M) -> DataFrame:
+def from_events(spark: SparkSession, sf_dir: str, variant: str = "pie60", jitter_m: float = JITTER_M, centre: tuple[float, float] = CENTRE) -> DataFrame:
     """One field of view per event; users are videos, event values the distance to one of twelve skewed spots, errors are noise."""
-    return events_to_fovs(spark.read.parquet(f"{sf_dir}/events.parquet"), variant, jitter_m)
+    return events_to_fovs(spark.read.parquet(f"{sf_dir}/events.parquet"), variant, jitter_m, centre)
 
 
-def events_to_fovs(events: DataFrame, variant: str = "pie60", jitter_m: float = JITTER_M) -> DataFrame:
-    mx, my = F.lit(east_scale(LAT0)), F.lit(METRES_PER_DEGREE)
+def events_to_fovs(events: DataFrame, variant: str = "pie60", jitter_m: float = JITTER_M, centre: tuple[float, float] = CENTRE) -> DataFrame:
+    mx, my = F.lit(east_scale(centre[0])), F.lit(METRES_PER_DEGREE)
     spot = F.floor(F.lit(12.0) * F.pow(u01("hot", "user_id"), F.lit(1.5)))
     aim = (F.get_json_object("props", "$.k").cast("int") - F.lit(49.5)) * F.lit(0.6)
     rows = events.select(
         F.col("event_id").cast("long").alias("fov_id"),
         F.col("user_id").cast("long").alias("video_id"),
         F.col("ts").alias("t"),
-        (F.lit(CENTRE[0]) + _pick([s[0] for s in SPOTS], spot) + (u01("jy", "user_id") - 0.5) * jitter_m / my).alias("spot_lat"),
-        (F.lit(CENTRE[1]) + _pick([s[1] for s in SPOTS], spot) + (u01("jx", "user_id") - 0.5) * jitter_m / mx).alias("spot_lon"),
+        (F.lit(centre[0]) + _pick([s[0] for s in SPOTS], spot) + (u01("jy", "user_id") - 0.5) * jitter_m / my).alias("spot_lat"),
+        (F.lit(centre[1]) + _pick([s[1] for s in SPOTS], spot) + (u01("jx", "user_id") - 0.5) * jitter_m / mx).alias("spot_lon"),
         F.col("value").alias("away_m"),
         aim.alias("aim"),
         (F.col("event_type") == "error").alias("noisy"),
     )
-    return _placed(rows, F.col("noisy"), variant)
+    return _placed(rows, F.col("noisy"), variant, centre=centre)
 
 
 def _lattice(rows: DataFrame) -> DataFrame:
@@ -73,8 +73,7 @@ def from_orders(spark: SparkSession, sf_dir: str, variant: str = "pie60") -> Dat
         F.col("n_name").alias("nation_name"),
         F.col("r_name").alias("region_name"),
     )
-    placed = _placed(_lattice(rows), F.col("noisy"), variant)
-    return placed.join(rows.select("fov_id", "nation_name", "region_name"), "fov_id")
+    return _placed(_lattice(rows), F.col("noisy"), variant, extra=("nation_name", "region_name"))
 
 
 def from_lineitem(spark: SparkSession, sf_dir: str, variant: str = "pie60") -> DataFrame:

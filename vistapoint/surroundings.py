@@ -195,7 +195,7 @@ def _udtf(s, d, where="true"):
                     yield x, y
 
     s.udtf.register("fov_cells", FovCells)
-    matrix.with_span(matrix.candidates(events(s, d).where(where), T0), T0.grid).createOrReplaceTempView("spans")
+    matrix.with_span(matrix.candidates(events(s, d).where(where), T0), T0).createOrReplaceTempView("spans")
     return s.sql("select fov_id, count(*) as cells from spans, lateral fov_cells(x0, x1, y0, y1) group by fov_id")
 
 
@@ -213,7 +213,7 @@ def _processed_cells(s, d):
     ready = sampler.prepare(events(s, d), T1, OPT)
     stops = sampler.trace(ready, T1, OPT).where("iter = stop").select("cluster_id", "stop")
     grid = ready.rects.agg(F.sum((F.col("cx1") - F.col("cx0") + 1) * (F.col("cy1") - F.col("cy0") + 1)).alias("grid_cells"))
-    spans = matrix.with_span(ready.members, T1.grid).join(F.broadcast(stops), "cluster_id").where("batch <= stop")
+    spans = matrix.with_span(ready.members, T1).join(F.broadcast(stops), "cluster_id").where("batch <= stop")
     w = F.greatest(F.least("x1", "cx1") - F.greatest("x0", "cx0") + 1, F.lit(0)) * F.greatest(F.least("y1", "cy1") - F.greatest("y0", "cy0") + 1, F.lit(0))
     return grid.crossJoin(spans.agg(F.sum(w).alias("cell_visits")))
 

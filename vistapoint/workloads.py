@@ -70,7 +70,7 @@ register("q_fov_lineitem", lambda s, d: rounded(carriers.from_lineitem(s, d)), r
 
 
 def _local(s, d):
-    x, y = geo.to_local(F.col("lat"), F.col("lon"), *carriers.CENTRE, fov.LAT0)
+    x, y = geo.to_local(F.col("lat"), F.col("lon"), *carriers.CENTRE, 10.0)
     return carriers.from_events(s, d).select("fov_id", x.alias("east_m"), y.alias("north_m"))
 
 
@@ -91,7 +91,7 @@ for _v in fov.VARIANTS:
 register("q_fov_mbr_circle", lambda s, d: rounded(fov.with_mbr(carriers.from_events(s, d), "circle").select("fov_id", *BOX.split()), 9), f"SELECT fov_id, {', '.join(f'round({c}, 9) AS {c}' for c in BOX.split())} FROM ({O.mbr(FOV_E, 'circle')})")
 REL = f"(SELECT *, (20.0::DOUBLE - lon) * {O.MX} AS dx, (10.0::DOUBLE - lat) * {O.MY} AS dy FROM ({O.fov_with_mbr('mix30')}))"
 OFF = f"CASE WHEN dx = 0 AND dy = 0 THEN 0.0::DOUBLE ELSE {O.angle_diff(O.pmod360('degrees(atan2(dx, dy))'), 'theta')} END"
-register("q_fov_covers", lambda s, d: events(s, d, "mix30").where(fov.sees(events(s, d, "mix30"), F.lit(10.0), F.lit(20.0))).select("fov_id", "alpha"), f"SELECT fov_id, alpha FROM {REL} WHERE sqrt(dx * dx + dy * dy) <= r_m AND (alpha >= 360 OR ({OFF}) <= alpha / 2)")
+register("q_fov_covers", lambda s, d: events(s, d, "mix30").where(fov.sees(F.lit(10.0), F.lit(20.0))).select("fov_id", "alpha"), f"SELECT fov_id, alpha FROM {REL} WHERE sqrt(dx * dx + dy * dy) <= r_m AND (alpha >= 360 OR ({OFF}) <= alpha / 2)")
 register("q_check_fov", lambda s, d: fov.check_fov(carriers.from_events(s, d).union(carriers.from_events(s, d).where("fov_id % 100 = 0"))), "SELECT event_id AS fov_id, 'duplicate' AS reason FROM events WHERE event_id % 100 = 0")
 register("q_assign_range", lambda s, d: rounded(fov.assign_range(carriers.from_events(s, d).drop("r_m"), 0.5).select("fov_id", "r_m")), f"SELECT event_id AS fov_id, round(1000.0::DOUBLE * 0.5::DOUBLE * {O._list(fov.GAMMA20)}[floor({u01_sql('rad', 'user_id')} * 20)::INT + 1], 6) AS r_m FROM events")
 register("q_assign_angle", lambda s, d: fov.assign_angle(carriers.from_events(s, d).drop("alpha"), "mix70", "video_id").groupBy("alpha").agg(F.count("*").alias("n")), f"SELECT alpha, count(*) AS n FROM (SELECT {O.alpha('mix70', u01_sql('ang', 'user_id'))} AS alpha FROM events) GROUP BY alpha")
@@ -105,7 +105,7 @@ register(
 MARKS = "(VALUES " + ", ".join(f"({i}::BIGINT, {10.0 + a!r}::DOUBLE, {20.0 + b!r}::DOUBLE)" for i, (a, b) in enumerate(carriers.SPOTS)) + ") AS marks(mark_id, mark_lat, mark_lon)"
 SEEN = f"SELECT *, sqrt(dx * dx + dy * dy) AS d FROM (SELECT *, (mark_lon - lon) * {O.MX} AS dx, (mark_lat - lat) * {O.MY} AS dy FROM ({O.fov_with_mbr('mix30')}), {MARKS}) WHERE sqrt(dx * dx + dy * dy) <= r_m AND (alpha >= 360 OR ({OFF}) <= alpha / 2)"
 register("q_range_histogram", lambda s, d: fov.range_histogram(events(s, d, "mix30"), carriers.spots(s)), f"SELECT floor(d / 50.0::DOUBLE)::BIGINT AS bucket, count(*) AS n FROM ({SEEN}) WHERE d < 2000 GROUP BY 1")
-register("q_landmark_views", lambda s, d: events(s, d, "mix30").join(F.broadcast(carriers.spots(s)), fov.sees(events(s, d, "mix30"), F.col("mark_lat"), F.col("mark_lon"))).groupBy("mark_id").agg(F.count("*").alias("views"), F.countDistinct("video_id").alias("videos")), f"SELECT mark_id, count(*) AS views, count(DISTINCT video_id) AS videos FROM ({SEEN}) GROUP BY mark_id")
+register("q_landmark_views", lambda s, d: events(s, d, "mix30").join(F.broadcast(carriers.spots(s)), fov.sees(F.col("mark_lat"), F.col("mark_lon"))).groupBy("mark_id").agg(F.count("*").alias("views"), F.countDistinct("video_id").alias("videos")), f"SELECT mark_id, count(*) AS views, count(DISTINCT video_id) AS videos FROM ({SEEN}) GROUP BY mark_id")
 
 # --- intention models ---------------------------------------------------------------------------------------------------
 
@@ -133,7 +133,7 @@ register("q_topk_optimized", lambda s, d: top(s, d, T1), O.top_of(T1, "pie60"))
 register("q_topk_naive", lambda s, d: top(s, d, T0, method="naive"), O.top_of(T0, "pie60"))
 for _v in fov.VARIANTS:
     register(f"q_topk_naive_t1_{_v}", lambda s, d, v=_v: top(s, d, T1, v, "naive"), O.top_of(T1, _v))
-    register(f"q_topk_tiled_{_v}", lambda s, d, v=_v: matrix.top_cells(matrix.tiled(events(s, d, v), T1, 32, 2), 5), O.top_of(T1, _v))
+    register(f"q_topk_tiled_{_v}", lambda s, d, v=_v: matrix.top_cells(matrix.tiled(events(s, d, v), T1, 32), 5), O.top_of(T1, _v))
 register("q_fovs_in_range", lambda s, d: retrieval.fovs_in_range(events(s, d), T2.area, JANUARY).select("fov_id", "t"), f"SELECT fov_id, t FROM ({O.in_range(O.fov_with_mbr('pie60'), T2.area, JANUARY_SQL)})")
 FULL, LINE, GAUSS = (replace(T1, model=I.Model(kind="full_coverage")), replace(T1, model=I.Model(kind="center_line")), replace(T1, model=I.Model(circular="gaussian")))
 register("q_topk_full_coverage", lambda s, d: top(s, d, FULL), O.top_of(FULL, "pie60"))
@@ -189,7 +189,7 @@ TOP = "SELECT row_number() OVER (ORDER BY ci_fixed DESC, cell_y, cell_x) AS rank
 for _m in ("raw", "rescaled", "relative", "rescaled_relative"):
     register(f"q_clis_prefix_{_m}", lambda s, d, m=_m: sampler.prefix(events(s, d), T1, replace(OPT, measure=m))[0], O.clustered("pie60", T1, replace(OPT, measure=_m), TOP))
 register("q_clis_topk", lambda s, d: sampler.run(events(s, d), T1, OPT)[0], O.clustered("pie60", T1, OPT, TOP))
-register("q_clis_driver_loop", lambda s, d: sampler.driver_loop(events(s, d), T1, OPT, keep=_kept)[0], O.clustered("pie60", T1, OPT, TOP))
+register("q_clis_driver_loop", lambda s, d: sampler.driver_loop(events(s, d), T1, OPT)[0], O.clustered("pie60", T1, OPT, TOP))
 register("q_clis_cap_10", lambda s, d: sampler.prefix(events(s, d), T1, replace(OPT, rule="none", max_iterations=10))[0], O.clustered("pie60", T1, replace(OPT, rule="none", max_iterations=10), TOP))
 register("q_clis_merge", lambda s, d: sampler.prefix(events(s, d, "mix30"), T1, OPT)[0], O.clustered("mix30", T1, OPT, TOP))
 register("q_stop_max_change", lambda s, d: _trace(s, d, T1).select("cluster_id", "iter", F.round("p", 6).alias("p"), F.round("d_max", 6).alias("d_max"), "stop"), O.clustered("pie60", T1, OPT, "SELECT cluster_id, iter, round(p, 6) AS p, round(d_max, 6) AS d_max, stop FROM moves JOIN stops USING (cluster_id)"))
@@ -323,7 +323,7 @@ register("q_areas_outer", lambda s, d: _areas(s).join(events(s, d), F.expr(IN_AR
 
 def _many_areas(s, d):
     """Top-3 cells of the common grid in each of many areas at once; overlapping fields of view are evaluated once for each area."""
-    inside = matrix.with_span(events(s, d).join(F.broadcast(_areas(s)), F.expr(IN_AREA)), T4.grid)
+    inside = matrix.with_span(events(s, d).join(F.broadcast(_areas(s)), F.expr(IN_AREA)), T4)
     g = T4.grid
     cell = lambda v, o, f: f((F.col(v) - o) / g.cell).cast("long")
     bounds = inside.withColumns({"bx0": cell("a_min_lon", g.area.min_lon, F.ceil), "bx1": cell("a_max_lon", g.area.min_lon, F.floor), "by0": cell("a_min_lat", g.area.min_lat, F.ceil), "by1": cell("a_max_lat", g.area.min_lat, F.floor)})
