@@ -4,12 +4,16 @@
 2. Texts with equal sets form classes; only each class's least document goes on.
 3. Documents that share a band key are candidates. A bucket is not expanded into pairs: its members are compared with a
    leader by their signatures, and what is far from the leader gets another one, until none is left. Documents that are not
-   far apart so form families. Two documents above the threshold that share a bucket are in one family, by the triangle
-   inequality of the Jaccard distance.
-4. In a family, links join documents into components. Members outside the largest one are compared with all members of other
-   components, block against block: a few of each family first, since most then join the largest, and in the end all that are left.
-   Signatures are compared batch by batch; a pair is dropped once the posterior probability of the wanted similarity falls
-   below the chosen miss probability. Survivors are confirmed on their full sets, best first; pairs that links already join need none.
+   far apart so form families. Two documents above the threshold that share a bucket are in one family but for a chance
+   that ``family_miss`` bounds.
+4. In a family, links join documents into components. A pair is verified if it shares a band: signatures are compared batch by
+   batch, and the pair is dropped once the posterior probability of the wanted similarity falls below the chosen miss
+   probability; survivors are confirmed on their full sets, best first; pairs that links already join need none. A few
+   members outside the largest component go first against all others, since most of a family of copies then joins it.
+5. Of what is left, families with few such strays are compared block against block, which takes rows in proportion to the
+   members. A family with many strays is one of texts that share a template and little else. There, pairs come from an
+   exact prefix filter: two sets above the threshold share one of the first shingles of each, in an order that puts what
+   is rare in the family first. Pages that share a template only have no such pair, so rows stay in proportion here too.
 """
 
 from __future__ import annotations
@@ -24,7 +28,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from . import wordhash as wh
-from .components import ONE_TASK_EDGES, connected_components
+from .components import connected_components
 from .storage import checkpointed, frugal
 
 
@@ -40,13 +44,29 @@ class Settings:
     miss: float = 1e-7
     #: Shares of equal signature places: from ``near`` on two documents are one family; below ``far`` another leader is asked.
     near: float = 0.15
-    far: float = 0.45
+    far: float = 0.5
 
     @property
     def size(self) -> int:
         return self.bands * self.rows
 
 
+def band_miss(s: Settings) -> float:
+    """The chance that a pair at exactly the threshold shares no band; of a more similar pair it is smaller."""
+    return (1 - (s.percent / 100) ** s.rows) ** s.bands
+
+
+def family_miss(s: Settings) -> float:
+    """A bound on the chance that two documents at the threshold, in one bucket, come into different families by one leader.
+
+    One must agree with the leader in at least ``far`` of all places and the other in less than ``near``. At each place
+    where only one agrees the two themselves differ, so they differ in more than far - near of the places, of which each
+    differs with probability 1 - threshold at most.
+    """
+    d, least = 1 - s.percent / 100, math.floor((s.far - s.near) * s.size + 1e-9) + 1
+    return sum(math.comb(s.size, k) * d**k * (1 - d) ** (s.size - k) for k in range(least, s.size + 1))
+
+
 _rng = np.random.Generator(np.random.PCG64(7_351))
 _ODD = _rng.integers(1, 2**63, 1024, dtype=np.uint64) * np.uint64(2) + np.uint64(1)
 _ADD = _rng.integers(1, 2**63, 1024, dtype=np.uint64)
@@ -165,7 +185,7 @@ def _families(shared: DataFrame, known: DataFrame, s: Settings) -> DataFrame:
 
     Every member of a bucket is compared with the same leaders, in the first round one, later sixteen times as many each time;
     those far from all of them go on. Two documents above the threshold can only part if one is not far from a leader, and
-    then the other is near it, so both are in its family.
+    then the other is near it, but for the chance that ``family_miss`` bounds, so both are in its family.
     """
     edges, rest, leaders = None, shared, 1
     while True:
@@ -180,7 +200,7 @@ def _families(shared: DataFrame, known: DataFrame, s: Settings) -> DataFrame:
         settled = asked.where("not leads").join(judged.where("not far").select("a", "b"), ["a", "b"]).select("key", F.col("b").alias("doc_id"))
         rest = checkpointed(members.where("not leads").select("key", "doc_id").join(settled, ["key", "doc_id"], "left_anti"))
         if not rest.groupBy("key").count().where("count > 1").limit(1).count():
-            return checkpointed(connected_components(edges, one_task_edges=ONE_TASK_EDGES))
+            return checkpointed(connected_components(edges))
         leaders *= 16
 
 
@@ -214,6 +234,8 @@ def _block_links(s: Settings):
                 matches = matches + (signs[alive, done:k] == own[done:k]).sum(axis=1)
                 keep = matches >= least
                 alive, matches, done = alive[keep], matches[keep], k
+            banded = (signs[alive] == own).reshape(-1, s.bands, s.rows).all(axis=2).any(axis=1)
+            alive, matches = alive[banded], matches[banded]
             for i in alive[np.argsort(-matches, kind="stable")].tolist():
                 here, there = root(component), root(int(roots[i]))
                 if here == there:
@@ -242,38 +264,113 @@ def _block_links(s: Settings):
     return run
 
 
-def _links(families: DataFrame, known: DataFrame, s: Settings, asking: tuple[int, ...], chunk: int) -> DataFrame | None:
-    """(node, component) by links inside families: rounds ask about so many strays of each family, the last about all."""
-    links = components = None
-    for most in (*asking, None):
-        placed = families.select(F.col("node").alias("doc_id"), F.col("component").alias("family"))
-        if components is None:
-            placed = placed.withColumn("c", F.col("doc_id"))
-        else:
-            placed = placed.join(components, placed["doc_id"] == components["node"], "left").select("doc_id", "family", F.coalesce("component", "doc_id").alias("c"))
-        placed = checkpointed(placed)
-        sizes = placed.groupBy("family", "c").agg(F.count("*").alias("n"))
-        sizes = sizes.groupBy("family").agg(F.sum("n").alias("members"), F.max(F.struct("n", "c")).alias("top")).select("family", "members", F.col("top.c").alias("largest"), (F.col("members") - F.col("top.n")).alias("strays")).where("strays > 0")
-        sizes = checkpointed(sizes)
-        widest = sizes.agg(F.max("strays")).first()[0]
-        if widest is None:
-            break
-        each = F.lit(1) if most is None else F.ceil(F.col("strays") / most)
-        cut = lambda n: F.greatest(F.ceil(n / chunk), F.lit(1))
-        rows = placed.join(sizes, "family").withColumns({"stray": F.col("c") != F.col("largest"), "every": each, "down": cut(F.col("strays") / each), "across": cut(F.col("members"))})
-        rows = rows.withColumn("asks", F.col("stray") & (F.pmod(F.xxhash64("doc_id", F.lit(most or 0)), F.col("every")) == 0))
-        target = rows.select("family", F.explode(F.sequence(F.lit(0).cast("long"), F.col("down") - 1)).alias("i"), F.pmod(F.xxhash64("doc_id", F.lit("t")), "across").alias("j"), F.lit(False).alias("query"), "doc_id", "c", F.col("asks").alias("twice"))
-        query = rows.where("asks").select("family", F.pmod(F.xxhash64("doc_id", F.lit("q")), "down").alias("i"), F.explode(F.sequence(F.lit(0).cast("long"), F.col("across") - 1)).alias("j"), F.lit(True).alias("query"), "doc_id", "c", F.lit(False).alias("twice"))
-        full = known.join(target.union(query), "doc_id").select("family", "i", "j", "query", "doc_id", "c", "signature", "hashes", "twice")
-        more = checkpointed(full.repartition("family", "i", "j").sortWithinPartitions("family", "i", "j", "query", "doc_id").mapInArrow(frugal(_block_links(s)), "u long, v long"))
-        links = more if links is None else links.union(more)
-        components = checkpointed(connected_components(links, one_task_edges=ONE_TASK_EDGES))
-        if most is None or widest <= most:
-            break
-    return components
-
-
-def near_duplicates(docs: DataFrame, settings: Settings = Settings(), asking: tuple[int, ...] = (64,), chunk: int = 500) -> DataFrame:  # noqa: B008
+def _rare_first_pairs(placed: DataFrame, known: DataFrame, s: Settings, common_from: int = 32) -> DataFrame:
+    """(a, b): pairs of a stray and another member of its family, in other components, whose prefixes share a shingle.
+
+    placed: doc_id, family, c (component), stray. Shingles that ``common_from`` or more members of the family have come last in the order,
+    the others first; both in the order of their hashes. Any order serves, if it is one for the whole family: a set above
+    the threshold shares one of its first n - ceil(threshold * n) + 1 shingles with the other's.
+    """
+
+    def spread(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            sets = [np.frombuffer(x, np.int64) for x in batch.column(2).to_pylist()]
+            at = np.repeat(np.arange(len(sets)), [len(x) for x in sets])
+            if len(at):
+                yield pa.RecordBatch.from_arrays([batch.column(0).take(pa.array(at)), batch.column(1).take(pa.array(at)), pa.array(np.concatenate(sets))], ["family", "doc_id", "h"])
+
+    own = checkpointed(known.select("doc_id", "hashes").join(placed, "doc_id").select("family", "doc_id", "c", "stray", "hashes"))
+    held = own.select("family", "doc_id", "hashes").mapInArrow(frugal(spread), "family long, doc_id long, h long")
+    common = held.groupBy("family", "h").agg(F.count("*").alias("n")).where(F.col("n") >= common_from).select("family", "h")
+    late = held.join(common, ["family", "h"]).groupBy("doc_id").agg(F.collect_list("h").alias("late"))
+
+    def prefixes(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            kept, rows = [], []
+            for i, (hashes, late) in enumerate(zip(batch.column(4).to_pylist(), batch.column(5).to_pylist(), strict=True)):
+                x = np.frombuffer(hashes, np.int64)
+                last = np.isin(x, np.array(late or [], np.int64))
+                first = np.concatenate([x[~last], x[last]])[: len(x) - -(-s.percent * len(x) // 100) + 1]
+                kept.append(first)
+                rows += [(i, len(x))] * len(first)
+            at = pa.array([r[0] for r in rows], pa.int32())
+            yield pa.RecordBatch.from_arrays([*(batch.column(j).take(at) for j in range(4)), pa.array([r[1] for r in rows], pa.int64()), pa.array(np.concatenate(kept) if kept else np.zeros(0, np.int64))], ["family", "doc_id", "c", "stray", "n", "h"])
+
+    first = own.join(late, "doc_id", "left").select("family", "doc_id", "c", "stray", "hashes", "late")
+    first = checkpointed(first.mapInArrow(frugal(prefixes), "family long, doc_id long, c long, stray boolean, n long, h long"))
+    mine = first.where("stray").select("family", "h", F.col("doc_id").alias("a"), F.col("c").alias("ca"), F.col("n").alias("na"))
+    other = first.select("family", "h", F.col("doc_id").alias("b"), F.col("c").alias("cb"), F.col("n").alias("nb"), F.col("stray").alias("twice"))
+    pairs = mine.join(other, ["family", "h"]).where("ca <> cb and (not twice or a < b)").where(F.least("na", "nb") * 100 >= F.greatest("na", "nb") * s.percent)
+    return pairs.select("a", "b").distinct()
+
+
+def _verified(pairs: DataFrame, known: DataFrame, s: Settings) -> DataFrame:
+    """(u, v): the pairs (a, b) that pass the sequential test on their signatures and the exact one on their sets."""
+    steps = least_matches(s)
+    both = known.select(F.col("doc_id").alias("a"), F.col("signature").alias("sa"), F.col("hashes").alias("ha")).join(pairs, "a")
+    both = both.join(known.select(F.col("doc_id").alias("b"), F.col("signature").alias("sb"), F.col("hashes").alias("hb")), "b")
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            out = []
+            for a, b, sa, sb, ha, hb in zip(*(batch.column(i).to_pylist() for i in range(6)), strict=True):
+                same = np.frombuffer(sa, np.uint32) == np.frombuffer(sb, np.uint32)
+                if all(int(same[:k].sum()) >= least for k, least in steps):
+                    x, y = np.frombuffer(ha, np.uint64), np.frombuffer(hb, np.uint64)
+                    shared = int((y[np.minimum(np.searchsorted(y, x), len(y) - 1)] == x).sum())
+                    if shared * 100 >= s.percent * (len(x) + len(y) - shared):
+                        out.append((a, b))
+            yield pa.RecordBatch.from_arrays([pa.array([x[i] for x in out], pa.int64()) for i in (0, 1)], ["u", "v"])
+
+    return both.select("a", "b", "sa", "sb", "ha", "hb").mapInArrow(frugal(run), "u long, v long")
+
+
+def _block_pairs(rows: DataFrame, known: DataFrame, s: Settings, chunk: int) -> DataFrame:
+    """(u, v): links of the members that ask with all others of their families, in blocks of about ``chunk`` on either side.
+
+    rows: doc_id, family, c, asks, members (of the family), askers (of the family).
+    """
+    cut = lambda n: F.greatest(F.ceil(n / chunk), F.lit(1)).cast("long")
+    rows = rows.withColumns({"down": cut(F.col("askers")), "across": cut(F.col("members"))})
+    zero = F.lit(0).cast("long")
+    target = rows.select("family", F.explode(F.sequence(zero, F.col("down") - 1)).alias("i"), F.pmod(F.xxhash64("doc_id", F.lit("t")), "across").alias("j"), F.lit(False).alias("query"), "doc_id", "c", F.col("asks").alias("twice"))
+    query = rows.where("asks").select("family", F.pmod(F.xxhash64("doc_id", F.lit("q")), "down").alias("i"), F.explode(F.sequence(zero, F.col("across") - 1)).alias("j"), F.lit(True).alias("query"), "doc_id", "c", F.lit(False).alias("twice"))
+    full = known.join(target.union(query), "doc_id").select("family", "i", "j", "query", "doc_id", "c", "signature", "hashes", "twice")
+    return full.repartition("family", "i", "j").sortWithinPartitions("family", "i", "j", "query", "doc_id").mapInArrow(frugal(_block_links(s)), "u long, v long")
+
+
+def _placed(families: DataFrame, components: DataFrame | None) -> DataFrame:
+    """doc_id, family, c, stray (not in its family's largest component), members and strays of the family; whole families in one component go."""
+    placed = families.select(F.col("node").alias("doc_id"), F.col("component").alias("family"))
+    if components is None:
+        placed = placed.withColumn("c", F.col("doc_id"))
+    else:
+        placed = placed.join(components, placed["doc_id"] == components["node"], "left").select("doc_id", "family", F.coalesce("component", "doc_id").alias("c"))
+    sizes = placed.groupBy("family", "c").agg(F.count("*").alias("n"))
+    sizes = sizes.groupBy("family").agg(F.sum("n").alias("members"), F.max(F.struct("n", "c")).alias("top"))
+    sizes = sizes.select("family", "members", F.col("top.c").alias("largest"), (F.col("members") - F.col("top.n")).alias("strays")).where("strays > 0")
+    return checkpointed(placed.join(sizes, "family").withColumn("stray", F.col("c") != F.col("largest")).drop("largest"))
+
+
+def _links(families: DataFrame, known: DataFrame, s: Settings, asking: int, chunk: int) -> DataFrame | None:
+    """(node, component) by links inside families: first about ``asking`` strays of each family ask, then all that are left."""
+    placed = _placed(families, None)
+    if not placed.limit(1).count():
+        return None
+    every = F.ceil(F.col("strays") / asking)
+    few = placed.withColumns({"asks": F.col("stray") & (F.pmod(F.xxhash64("doc_id", F.lit(asking)), every) == 0), "askers": F.least("strays", F.lit(asking))})
+    links = checkpointed(_block_pairs(few, known, s, chunk))
+    if placed.where(F.col("strays") > asking).limit(1).count():
+        components = checkpointed(connected_components(links))
+        left = _placed(families, components).withColumns({"asks": F.col("stray"), "askers": F.col("strays")})
+        links = links.union(checkpointed(_block_pairs(left.where(F.col("strays") <= chunk), known, s, chunk)))
+        wide = left.where(F.col("strays") > chunk).select("doc_id", "family", "c", "stray")
+        if wide.limit(1).count():
+            links = links.union(checkpointed(_verified(_rare_first_pairs(wide, known, s), known, s)))
+    return checkpointed(connected_components(links))
+
+
+def near_duplicates(docs: DataFrame, settings: Settings = Settings(), asking: int = 64, chunk: int = 500) -> DataFrame:  # noqa: B008
     """doc_id, n_shingles, component_id, kept, one row for each row of ``docs`` (doc_id, text).
 
     component_id is the least doc_id that links of similarity >= percent / 100 lead to; kept says that it is the row's own.
@@ -306,9 +403,12 @@ def near_duplicates(docs: DataFrame, settings: Settings = Settings(), asking: tu
 def keep_one(docs: DataFrame, settings: Settings = Settings()) -> DataFrame:  # noqa: B008
     """``docs`` with one row of each group of near-duplicates, that of its least doc_id; columns as they were.
 
-    Of several rows with that doc_id the one that sorts first by text stays. Rows without a doc_id stay.
+    Of several rows with that doc_id the one that sorts first by text, then by its other columns as JSON, stays; columns
+    may be of any type, maps too. Rows without a doc_id stay.
     """
     kept = near_duplicates(docs, settings).where("kept and doc_id is not null").select("doc_id").distinct()
-    order = ["text", *[c for c in docs.columns if c not in ("text", "doc_id")]]
-    ours = docs.where("doc_id is not null").join(kept, "doc_id", "left_semi").groupBy("doc_id").agg(F.min(F.struct(*order)).alias("row"))
-    return ours.select("doc_id", "row.*").select(docs.columns).union(docs.where("doc_id is null"))
+    whole = F.struct(*[docs[c] for c in docs.columns])
+    rest = [docs[c] for c in docs.columns if c not in ("text", "doc_id")]
+    order = F.struct(docs["text"], F.to_json(F.struct(*rest)) if rest else F.lit(""))
+    ours = docs.select(F.col("doc_id"), whole.alias("row"), order.alias("order")).where("doc_id is not null").join(kept, "doc_id", "left_semi")
+    return ours.groupBy("doc_id").agg(F.min_by("row", "order").alias("row")).select("row.*").union(docs.where("doc_id is null"))
