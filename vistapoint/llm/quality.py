@@ -37,18 +37,30 @@ def words_of(text: Column) -> Column:
     return F.when(trimmed == "", F.expr("cast(array() as array<string>)")).otherwise(F.split(trimmed, "[\\x20\\x09-\\x0D]+", -1))
 
 
-def repeated_words(words: Column) -> Column:
+def repeated_words(words: Column, index_bits: int = _INDEX_BITS) -> Column:
     """How many words lie in three-word windows that the text has twice or more.
 
     Window hashes are sorted with their places in the low bits, as plain integers; neighbours are compared on whole hashes.
+    Where two different hashes agree in the sorted bits, so that equal ones might be parted, and where places need more
+    bits, whole hashes are sorted beside their places instead, which is slower.
     """
-    low = F.lit((1 << _INDEX_BITS) - 1).cast("long")
-    high = F.lit(-(1 << _INDEX_BITS)).cast("long")
+    low = F.lit((1 << index_bits) - 1).cast("long")
+    high = F.lit(-(1 << index_bits)).cast("long")
 
     def covered(places: Column) -> Column:
         step = lambda p, k: F.least(F.lit(3).cast("long"), F.coalesce(F.get(places, k + 1) - p, F.lit(3).cast("long")))
         return F.aggregate(F.transform(places, step), F.lit(0).cast("long"), lambda n, x: n + x)
 
+    def total(marks: Column) -> Column:
+        return let(F.sort_array(F.filter(marks, lambda x: x.isNotNull())), covered)
+
+    def slow(hashes: Column) -> Column:
+        def marked(ranked: Column) -> Column:
+            other = lambda k: F.get(ranked, k)["h"]
+            return total(F.transform(ranked, lambda x, k: F.when((x["h"] == other(k - 1)) | (x["h"] == other(k + 1)), x["i"])))
+
+        return let(F.sort_array(F.transform(hashes, lambda h, i: F.struct(h.alias("h"), i.cast("long").alias("i")))), marked)
+
     def found(hashes: Column) -> Column:
         def marked(ranked: Column) -> Column:
             whole = lambda x: F.get(hashes, x.bitwiseAND(low).cast("int"))
@@ -57,9 +69,15 @@ def repeated_words(words: Column) -> Column:
                 own = whole(x)
                 return F.when((own == whole(F.get(ranked, k - 1))) | (own == whole(F.get(ranked, k + 1))), x.bitwiseAND(low))
 
-            return let(F.sort_array(F.filter(F.transform(ranked, place), lambda x: x.isNotNull())), covered)
+            def parted(x: Column, k: Column) -> Column:
+                after = F.get(ranked, k + 1)
+                return F.when((x.bitwiseAND(high) == after.bitwiseAND(high)) & (whole(x) != whole(after)), 1)
+
+            fast = total(F.transform(ranked, place))
+            return F.when(F.size(F.filter(F.transform(ranked, parted), lambda x: x.isNotNull())) > 0, slow(hashes)).otherwise(fast)
 
-        return let(F.sort_array(F.transform(hashes, lambda h, i: h.bitwiseAND(high).bitwiseOR(i.cast("long")))), marked)
+        packed = let(F.sort_array(F.transform(hashes, lambda h, i: h.bitwiseAND(high).bitwiseOR(i.cast("long")))), marked)
+        return F.when(F.size(hashes) >= 1 << index_bits, slow(hashes)).otherwise(packed)
 
     def windows(w: Column) -> Column:
         return F.transform(F.sequence(F.lit(0), F.size(w) - 3), lambda i: F.xxhash64(F.get(w, i), F.get(w, i + 1), F.get(w, i + 2)))
@@ -155,7 +173,7 @@ def judge_quality(docs: DataFrame, rules: dict[str, str] | None = None, threshol
     base_failed (fewer than 50 words, or over half of them in repeated windows) and kept.
 
     Null, empty and blank texts have no words, so the base fails. Repeated rows are judged alike; further columns are
-    ignored; an empty table gives no rows. Texts may have up to 16 million words.
+    ignored; an empty table gives no rows.
     """
     rules = RULES if rules is None else rules
     votes = F.concat(*[F.coalesce(F.expr(f"cast(({r}) as string)"), F.lit("-")) for r in rules.values()])
