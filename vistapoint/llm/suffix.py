@@ -12,7 +12,8 @@ common prefixes of at least ``length`` bytes then mark the repeated windows.
 
 Equal texts are handled once, with their number. An anchor with more than ``hot`` occurrences (a passage in very many texts)
 would make an unbounded block: its equal contexts are merged first, the others are dealt into parts that are sorted each
-for itself, and the windows that a part leaves open are matched between parts by their fingerprints.
+for itself, and the windows that a part leaves open are matched between parts by their fingerprints and then their bytes.
+Equal whole texts and equal contexts are told by 128 bits of hashes.
 """
 
 from __future__ import annotations
@@ -299,7 +300,7 @@ def _hot_spans(contexts: DataFrame, length: int, block_bytes: int, part_rows: in
     """Spans for contexts of anchors that occur very often.
 
     Equal contexts are merged; the others of an anchor are dealt into parts of about ``part_rows``, each sorted by itself;
-    what a part leaves open is matched between parts by fingerprints.
+    what a part leaves open is matched between parts by fingerprints, and what matches is compared byte for byte.
     """
     own = contexts.withColumns({"c1": F.xxhash64("context"), "c2": F.xxhash64(F.lit(1), "context"), "weight": F.col("m") * F.size("places")})
     distinct = checkpointed(own.groupBy("h", "c1", "c2").agg(F.sum("weight").alias("weight")))
@@ -310,7 +311,18 @@ def _hot_spans(contexts: DataFrame, length: int, block_bytes: int, part_rows: in
     solved = checkpointed(dealt.mapInArrow(frugal(_hot_blocks(length, block_bytes)), "h long, c1 long, c2 long, known binary, at array<int>, print array<long>"))
     asked = solved.select("h", "c1", "c2", F.explode(F.arrays_zip("at", "print")).alias("x")).select("h", "c1", "c2", "x.at", "x.print")
     twice = asked.groupBy("h", "print").agg(F.count("*").alias("n")).where("n > 1").drop("n")
-    more = asked.join(twice, ["h", "print"], "left_semi").groupBy("h", "c1", "c2").agg(F.collect_list("at").alias("more"))
+    alike = asked.join(twice, ["h", "print"], "left_semi").groupBy("h", "c1", "c2").agg(F.collect_list("at").alias("places"))
+
+    def windows(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            for h, c1, c2, context, places in zip(*(batch.column(i).to_pylist() for i in range(5)), strict=True):
+                kinds = (pa.int64(), pa.int64(), pa.int64(), pa.int32(), pa.binary())
+                values = ([h] * len(places), [c1] * len(places), [c2] * len(places), places, [context[i : i + length] for i in places])
+                yield pa.RecordBatch.from_arrays([pa.array(v, k) for v, k in zip(values, kinds, strict=True)], ["h", "c1", "c2", "at", "window"])
+
+    shown = checkpointed(texts.join(alike, ["h", "c1", "c2"]).select("h", "c1", "c2", "context", "places").mapInArrow(frugal(windows), "h long, c1 long, c2 long, at int, window binary"))
+    same = shown.groupBy("h", "window").agg(F.count("*").alias("n")).where("n > 1").drop("n")
+    more = shown.join(same, ["h", "window"], "left_semi").groupBy("h", "c1", "c2").agg(F.collect_list("at").alias("more"))
     verdict = solved.select("h", "c1", "c2", "known").join(more, ["h", "c1", "c2"], "left")
 
     def spans(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
