@@ -13,6 +13,8 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
+#: Kinds of parts beside text; a part of any other kind is shown as a document.
+KINDS = ("image", "audio", "document")
 PART = "struct<kind:string,text:string,uri:string,width:int,height:int,seconds:double,pages:int>"
 ROLE, TEXT, END = "<|role|>", "<|text|>", "<|end|>"
 
@@ -43,7 +45,8 @@ def format_conversations(rows: DataFrame, loss_roles: tuple[str, ...] = ("assist
     """One row per conv_id: n_turns, segments (text, loss), formatted, attachments (turn, part, kind, uri, tokens), expanded_tokens.
 
     rows: conv_id, turn, role, parts (array of PART). Turns are ordered by turn (nulls first), then role, then parts. Null
-    roles and texts are empty; null parts are no parts; a part of unknown kind is taken for a document. A null conv_id is
+    roles and texts are empty; null parts are no parts; a part of unknown kind is shown as a document, so that no kind can
+    stand for a control string, while attachments keep the kind as given. A null conv_id is
     a conversation of its own. Repeated rows are repeated turns. No rows give no rows. Further columns are ignored.
     A conversation is one result row, so one row of the largest must fit a task.
     """
@@ -52,7 +55,7 @@ def format_conversations(rows: DataFrame, loss_roles: tuple[str, ...] = ("assist
 
     def shown(turn: Column, n: Column) -> Column:
         def visit(part: Column, k: Column) -> Column:
-            place = F.concat(F.lit("<|"), F.coalesce(escaped(part["kind"]), F.lit("document")), F.lit(" "), n.cast("string"), F.lit("."), k.cast("string"), F.lit("|>"))
+            place = F.concat(F.lit("<|"), F.when(part["kind"].isin(*KINDS), part["kind"]).otherwise("document"), F.lit(" "), n.cast("string"), F.lit("."), k.cast("string"), F.lit("|>"))
             return F.when(part["kind"] == "text", escaped(F.coalesce(part["text"], F.lit("")))).otherwise(place)
 
         return F.array_join(F.transform(turn["parts"], visit), "")
