@@ -22,6 +22,8 @@ from .storage import frugal
 
 #: Labelled rows that a model is fitted on at most: those with the smallest hashes of their ids.
 MAX_TRAINING_ROWS = 12_000
+#: Bytes of features that the learner holds at most; labelled rows beyond, in the order of their ids' hashes, are not learnt from.
+MAX_TRAINING_BYTES = 256_000_000
 SLOTS = 1 << 20
 STEM_BYTES = 4
 
@@ -95,12 +97,13 @@ class Ftrl:
         self.n[at] = n + slope * slope
 
 
-def fit(docs: DataFrame, labels: DataFrame, settings: Settings = Settings(), max_rows: int = MAX_TRAINING_ROWS) -> Model:  # noqa: B008
+def fit(docs: DataFrame, labels: DataFrame, settings: Settings = Settings(), max_rows: int = MAX_TRAINING_ROWS, max_bytes: int = MAX_TRAINING_BYTES) -> Model:  # noqa: B008
     """Fit on the texts of ``docs`` (doc_id, text) that ``labels`` (doc_id, toxic) covers.
 
     Of the labelled ids, the ``max_rows`` with the smallest hashes are used, so the model is the same for every order and
-    partitioning. Null ids and labels are left out; an id with both labels counts as toxic. The bounded id list is
-    broadcast to one pass over ``docs``; one task, again bounded, runs the sequential learner.
+    partitioning. Null ids and labels are left out; an id with both labels counts as toxic; of several texts of one id one
+    counts. The bounded id list is broadcast to one pass over ``docs``; one task runs the sequential learner, on at most
+    ``max_bytes`` of features, so that very long texts cannot fill it either.
     """
     chosen = labels.where(F.col("doc_id").isNotNull() & F.col("toxic").isNotNull()).groupBy("doc_id").agg(F.max("toxic").alias("toxic"))
     chosen = chosen.select("doc_id", F.col("toxic").cast("int").alias("toxic"), F.xxhash64("doc_id").alias("turn")).orderBy("turn", "doc_id").limit(max_rows)
@@ -114,7 +117,12 @@ def fit(docs: DataFrame, labels: DataFrame, settings: Settings = Settings(), max
             yield pa.RecordBatch.from_arrays([batch.column(0), batch.column(1), pa.array(found, pa.binary())], ["turn", "toxic", "at"])
 
     def learn(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        rows = [(np.frombuffer(x, np.int32), y) for b in batches for x, y in zip(b.column(2).to_pylist(), b.column(1).to_pylist(), strict=True)]
+        rows, held = [], 0
+        for batch in batches:
+            for x, y in zip(batch.column(2).to_pylist(), batch.column(1).to_pylist(), strict=True):
+                held += len(x)
+                if held <= max_bytes:
+                    rows.append((np.frombuffer(x, np.int32), y))
         learner = Ftrl(settings)
         for _ in range(settings.epochs if rows else 0):
             for at, label in rows:
@@ -124,7 +132,8 @@ def fit(docs: DataFrame, labels: DataFrame, settings: Settings = Settings(), max
         yield pa.RecordBatch.from_arrays([pa.array(at, pa.int64()), pa.array(w[at], pa.float64())], ["slot", "weight"])
 
     texts = docs.select("doc_id", docs["text"].cast("string").alias("text")).join(F.broadcast(chosen), "doc_id").select("turn", "toxic", "text")
-    seen = texts.mapInArrow(frugal(features), "turn long, toxic int, at binary").repartition(1).sortWithinPartitions("turn", "at")
+    rows = texts.mapInArrow(frugal(features), "turn long, toxic int, at binary").groupBy("turn", "toxic").agg(F.min("at").alias("at"))
+    seen = rows.select("turn", "toxic", "at").repartition(1).sortWithinPartitions("turn", "at")
     rows = seen.mapInArrow(frugal(learn), "slot long, weight double").toPandas()
     own = rows[rows["slot"] < settings.slots]
     return Model(settings.slots, float(rows.loc[rows["slot"] == settings.slots, "weight"].sum()), own["slot"].to_numpy(np.int32), own["weight"].to_numpy(np.float32))
