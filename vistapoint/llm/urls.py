@@ -75,10 +75,11 @@ def _resolved(url: Column, dst: Column) -> Column:
 
 
 def page_links(pages: DataFrame) -> DataFrame:
-    """(src, dst): all canonical links and refresh redirects that pages (url, html) declare, relative ones resolved against the page."""
+    """(src, dst): all canonical links and refresh redirects that pages (url, html) declare outside comments, relative ones resolved against the page."""
     tag = r"(?is)(<(?:link|meta)[\s/](?:[^>\"']|\"[^\"]*\"|'[^']*')*>)"
     some = pages.where("url is not null").where(F.col("html").rlike(r"(?i)canonical|refresh"))
-    tags = some.select("url", F.explode(F.regexp_extract_all("html", F.lit(tag), 1)).alias("tag"))
+    shown = F.regexp_replace("html", r"(?s)<!--.*?(?:-->|\z)", "")
+    tags = some.select("url", F.explode(F.regexp_extract_all(shown, F.lit(tag), 1)).alias("tag"))
     canonical = F.when(F.col("tag").rlike("(?i)^<link") & _attribute(F.col("tag"), "rel").rlike(r"(?i)(?:^|\s)canonical(?:\s|$)"), _attribute(F.col("tag"), "href"))
     target = F.regexp_extract(_attribute(F.col("tag"), "content"), r"(?is)^[\s\d.]*[;,\s]\s*url\s*=\s*[\"']?([^\"'\s]+)", 1)
     refresh = F.when(F.col("tag").rlike("(?i)^<meta") & (F.lower(_attribute(F.col("tag"), "http-equiv")) == "refresh"), target)
@@ -98,7 +99,7 @@ def _matches(places: DataFrame, rules: DataFrame) -> DataFrame:
     return fits.groupBy("host", "path").agg(best.alias("best")).select("host", "path", F.col("best.rule").alias("rule"), F.col("best.verdict").alias("own"))
 
 
-def judge(pages: DataFrame, rules: DataFrame, links: DataFrame | None = None, assume_redirects: bool = True) -> DataFrame:
+def judge(pages: DataFrame, rules: DataFrame, links: DataFrame | None = None, assume_redirects: bool = False) -> DataFrame:
     """``pages`` (url, ...) with host, path, rule (null if none fits) and verdict (allow or block).
 
     rules: rule_host, rule_path, verdict. links: (src, dst) urls that are equivalent. Null urls and urls without :// have
