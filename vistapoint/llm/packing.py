@@ -5,8 +5,9 @@ A document is routed to the tier of the smallest window that holds it (what exce
 windows first). Windows are filled from the longest tier down: the longest piece opens a window of its tier, the gap is
 filled with the largest pieces of the same or shorter tiers that fit, and when none fits, one is cut to close the gap.
 A block's unfilled window returns to the next block; at the end of the partition the last one is split into windows
-whose lengths are powers of two, so that it needs no padding either. Windows of one tier form step groups of equal token counts, in
-which the cost of attention (sum of squared piece lengths) is balanced by dealing windows out in a snake.
+whose lengths are powers of two, so that it needs no padding either. Windows of one tier form step groups of up to the
+wanted token count, of which a tier's groups differ by one window at most; the closing windows of a partition have lengths
+of their own, so their groups hold less. The cost of attention (sum of squared piece lengths) is balanced by dealing windows out in a snake.
 """
 
 from __future__ import annotations
@@ -103,7 +104,7 @@ def closing_windows(pieces: list[Piece]) -> Iterator[tuple[int, list[Piece]]]:
 
 
 def step_groups(windows: list[tuple[int, list[Piece]]], step_tokens: int) -> list[int]:
-    """A group for each window: windows of one tier only, equal token counts, attention cost balanced by a snake deal."""
+    """A group for each window: windows of one tier only, as even in number as can be, at most ``step_tokens`` each, attention cost balanced by a snake deal."""
     out, base = [0] * len(windows), 0
     by_tier: dict[int, list[tuple[int, int]]] = {}
     for i, (tier, pieces) in enumerate(windows):
