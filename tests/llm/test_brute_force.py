@@ -128,7 +128,7 @@ def brute_components(texts, size, percent=80):
 def test_near_duplicates(spark, texts):
     assert {r.doc_id: (r.n_shingles, r.component_id) for r in run(spark, "op5_minhash").collect()} == brute_components(texts, 2)
     docs = spark.read.parquet(f"{DIR}/documents.parquet")
-    small = minhash.near_duplicates(docs, minhash.Settings(), asking=(1,), chunk=3)
+    small = minhash.near_duplicates(docs, minhash.Settings(), asking=1, chunk=3)
     assert {r.doc_id: (r.n_shingles, r.component_id) for r in small.collect()} == brute_components(texts, 5)
 
 
