@@ -88,7 +88,7 @@ def test_templated_pages_stay_apart_in_linear_work(spark, monkeypatch):
     for n in (400, 1600):
         sent.clear()
         docs = spark.createDataFrame(templated(n), "doc_id long, text string")
-        out = minhash.near_duplicates(docs, minhash.Settings(shingle=2), asking=16, chunk=50).collect()
+        out = minhash.near_duplicates(docs, minhash.Settings(shingle=2), asking=(16,), chunk=50, widest=50).collect()
         assert all(r.component_id == r.doc_id for r in out) and len(out) == n
         total[n] = sum(sent)
     assert total[1600] < 6 * total[400]
@@ -120,7 +120,7 @@ def test_wide_families_lose_no_link(spark):
                 x, y = root(a), root(b)
                 parent[max(x, y)] = min(x, y)
     docs = spark.createDataFrame(rows, "doc_id long, text string")
-    got = {r.doc_id: r.component_id for r in minhash.near_duplicates(docs, minhash.Settings(shingle=2), asking=4, chunk=20).collect()}
+    got = {r.doc_id: r.component_id for r in minhash.near_duplicates(docs, minhash.Settings(shingle=2), asking=(4,), chunk=20, widest=20).collect()}
     assert got == {i: root(i) for i in ids} and len(set(got.values())) < len(ids) - 20
 
 

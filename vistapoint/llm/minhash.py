@@ -10,9 +10,9 @@
    batch, and the pair is dropped once the posterior probability of the wanted similarity falls below the chosen miss
    probability; survivors are confirmed on their full sets, best first; pairs that links already join need none. A few
    members outside the largest component go first against all others, since most of a family of copies then joins it.
-5. Of what is left, families with few such strays are compared block against block, which takes rows in proportion to the
-   members. A family with many strays is one of texts that share a template and little else. There, pairs come from an
-   exact prefix filter: two sets above the threshold share one of the first shingles of each, in an order that puts what
+5. Of what is left, families with up to ``widest`` such strays are compared block against block; as that number is fixed, the
+   rows that this takes are in proportion to the members. A family with more is one of texts that share a template and
+   little else. There, pairs come from an exact prefix filter: two sets above the threshold share one of the first shingles of each, in an order that puts what
    is rare in the family first. Pages that share a template only have no such pair, so rows stay in proportion here too.
 """
 
@@ -352,25 +352,34 @@ def _placed(families: DataFrame, components: DataFrame | None) -> DataFrame:
     return checkpointed(placed.join(sizes, "family").withColumn("stray", F.col("c") != F.col("largest")).drop("largest"))
 
 
-def _links(families: DataFrame, known: DataFrame, s: Settings, asking: int, chunk: int) -> DataFrame | None:
-    """(node, component) by links inside families: first about ``asking`` strays of each family ask, then all that are left."""
-    placed = _placed(families, None)
-    if not placed.limit(1).count():
-        return None
-    every = F.ceil(F.col("strays") / asking)
-    few = placed.withColumns({"asks": F.col("stray") & (F.pmod(F.xxhash64("doc_id", F.lit(asking)), every) == 0), "askers": F.least("strays", F.lit(asking))})
-    links = checkpointed(_block_pairs(few, known, s, chunk))
-    if placed.where(F.col("strays") > asking).limit(1).count():
-        components = checkpointed(connected_components(links))
-        left = _placed(families, components).withColumns({"asks": F.col("stray"), "askers": F.col("strays")})
-        links = links.union(checkpointed(_block_pairs(left.where(F.col("strays") <= chunk), known, s, chunk)))
-        wide = left.where(F.col("strays") > chunk).select("doc_id", "family", "c", "stray")
-        if wide.limit(1).count():
+def _links(families: DataFrame, known: DataFrame, s: Settings, asking: tuple[int, ...], chunk: int, widest: int) -> DataFrame | None:
+    """(node, component) by links inside families: rounds ask about so many strays of each family, the last about all that are left.
+
+    The first round is for all families, those between for families that still have more than ``widest`` strays.
+    """
+    links = components = placed = None
+    for most in (*asking, None):
+        placed = _placed(families, components) if placed is None else placed
+        strays = placed.agg(F.max("strays")).first()[0]
+        if strays is None:
+            break
+        if most and links is not None and strays <= widest:
+            continue
+        few = placed if links is None else placed.where(F.col("strays") > widest if most else F.col("strays") <= widest)
+        every = F.ceil(F.col("strays") / most) if most else F.lit(1)
+        few = few.withColumns({"asks": F.col("stray") & (F.pmod(F.xxhash64("doc_id", F.lit(most or 0)), every) == 0), "askers": F.least("strays", F.lit(most)) if most else F.col("strays")})
+        more = checkpointed(_block_pairs(few, known, s, chunk))
+        links = more if links is None else links.union(more)
+        if most is None and strays > widest:
+            wide = placed.where(F.col("strays") > widest).select("doc_id", "family", "c", "stray")
             links = links.union(checkpointed(_verified(_rare_first_pairs(wide, known, s), known, s)))
-    return checkpointed(connected_components(links))
+        components, placed = checkpointed(connected_components(links)), None
+        if most and strays <= most:
+            break
+    return components
 
 
-def near_duplicates(docs: DataFrame, settings: Settings = Settings(), asking: int = 64, chunk: int = 500) -> DataFrame:  # noqa: B008
+def near_duplicates(docs: DataFrame, settings: Settings = Settings(), asking: tuple[int, ...] = (64, 1024), chunk: int = 1000, widest: int = 4096) -> DataFrame:  # noqa: B008
     """doc_id, n_shingles, component_id, kept, one row for each row of ``docs`` (doc_id, text).
 
     component_id is the least doc_id that links of similarity >= percent / 100 lead to; kept says that it is the row's own.
@@ -388,7 +397,7 @@ def near_duplicates(docs: DataFrame, settings: Settings = Settings(), asking: in
     shared = checkpointed(slots.join(buckets, "key").distinct())
     texts = docs.select(F.col("doc_id").cast("long"), F.col("text").cast("string")).join(shared.select("doc_id").distinct(), "doc_id", "left_semi")
     known = checkpointed(profiles(texts, s).repartition(max(int(docs.sparkSession.conf.get("spark.sql.shuffle.partitions")), 1), "doc_id"))
-    components = _links(_families(shared, known, s), known, s, asking, chunk)
+    components = _links(_families(shared, known, s), known, s, asking, chunk, widest)
 
     own = seen.select("doc_id", "n_shingles", "set1", "set2")
     placed = own.join(classes, (own["set1"] == classes["set1"]) & (own["set2"] == classes["set2"]) & (own["n_shingles"] > 0), "left").select("doc_id", "n_shingles", "rep")
