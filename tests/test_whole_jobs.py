@@ -5,6 +5,7 @@ from dataclasses import replace
 import duckdb
 import pytest
 
+from vistapoint import experiments as X
 from vistapoint import workloads as W
 from vistapoint.operators import sampler
 from vistapoint.operators.detect import detect
@@ -24,13 +25,13 @@ def cells_by_hand(rows, grid):
 
 
 def test_udtf_runs_over_all_fields_of_view(spark):
-    got = {r.fov_id: r.cells for r in W.queries()["q_udtf_cells_all"](spark, DIR).collect()}
+    got = {r.fov_id: r.cells for r in W.queries()["q_udtf_cells"](spark, DIR).collect()}
     assert got == cells_by_hand(W.events(spark, DIR).collect(), W.T0.grid) and any(i % 50 for i in got)
     db = duckdb.connect()
     db.execute(f"create view events as select * from '{DIR}/events.parquet'")
     for t in ("nation", "customer", "region", "supplier"):
         db.execute(f"create view {t} as select * from '{DIR}/{t}.parquet'")
-    assert dict(db.execute(f"select fov_id, cells from ({W.oracle_sql()['q_udtf_cells_all']})").fetchall()) == got
+    assert dict(db.execute(f"select fov_id, cells from ({W.oracle_sql()['q_udtf_cells']})").fetchall()) == got
 
 
 def test_clusters_beyond_one_task_are_answered(spark, monkeypatch):
@@ -54,7 +55,7 @@ def test_experiments_name_their_regions(spark, monkeypatch):
         raise Stopped
 
     monkeypatch.setattr(sampler, "prepare", recorded)
-    monkeypatch.setattr(W, "top", lambda s, d, query, *a, **b: s.range(0))
+    monkeypatch.setattr(X, "detect", lambda fovs, query, *a, **b: spark.range(0))
     for name in ("q_w8_grid", "q_threshold_sweep", "q_w10_sweep"):
         with pytest.raises(Stopped):
             W.queries()[name](spark, DIR)
@@ -62,11 +63,12 @@ def test_experiments_name_their_regions(spark, monkeypatch):
 
 
 def test_overall_covers_regions_and_datasets(spark, monkeypatch):
-    monkeypatch.setattr(sampler, "run", lambda *a, **b: (spark.range(0), spark.range(1).withColumnRenamed("id", "seen")))
-    for name in ("top", "detect"):
-        monkeypatch.setattr(W, name, lambda *a, **b: spark.range(0))
-    monkeypatch.setattr(W, "_kept", lambda df: df)
-    monkeypatch.setattr(W.matrix, "candidates", lambda *a: spark.range(1))
-    monkeypatch.setattr(W.measures, "diff", lambda *a: spark.range(1).selectExpr("0.0D as diff_m", "5L as within"))
+    nothing = sampler.Prepared(spark.range(0), spark.createDataFrame([], "fov_id long, cluster_id long, batch long"), {}, {})
+    monkeypatch.setattr(sampler, "prepare", lambda *a, **b: nothing)
+    monkeypatch.setattr(sampler, "per_cluster_task", lambda *a, **b: (spark.range(0), spark.createDataFrame([(1, 1, 1)], "cluster_id long, iter long, seen long")))
+    monkeypatch.setattr(X, "detect", lambda *a, **b: spark.range(0))
+    monkeypatch.setattr(X, "kept", lambda df: df)
+    monkeypatch.setattr(X.matrix, "candidates", lambda *a: spark.range(1))
+    monkeypatch.setattr(X.measures, "diff", lambda *a: spark.range(1).selectExpr("0.0D as diff_m", "5L as within"))
     got = {(r.region, r.dataset, r.method) for r in W.queries()["q_w12_accuracy"](spark, DIR).collect()}
     assert got == {(t, v, m) for t in ("t1", "t2", "t3", "t4") for v in W.fov.VARIANTS for m in ("clustered", "single")}

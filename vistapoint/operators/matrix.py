@@ -72,26 +72,25 @@ def span_cells() -> Column:
 def _positive(rows: DataFrame, query: Query, keys: tuple[str, ...] = ()) -> DataFrame:
     """keys, cell_x, cell_y, ci_fixed of the pairs of field of view and cell with a positive intention.
 
-    What a pair costs rises step by step: distance, then half-plane test, then arc tangent and densities for what is left.
+    What a pair costs rises step by step: distance, then arc tangent, then densities, each only where the one before allows.
+    Catalyst would push the last test down through all steps and so repeat them in one generated method, longer than the JVM
+    compiles to machine code (8,000 bytes); a generator's output is not pushed, hence the explode of one value.
     """
     lat, lon = centre_of(query.grid, F.col("cell_x"), F.col("cell_y"))
     dx, dy = (lon - F.col("lon")) * F.lit(east_scale(query.lat0)), (lat - F.col("lat")) * F.lit(METRES_PER_DEGREE)
     model = query.model
-    placed = rows.select(*keys, "cell_x", "cell_y", "theta", "r_m", "alpha", dx.alias("dx"), dy.alias("dy"))
+    steps = rows.select(*keys, "cell_x", "cell_y", "theta", "r_m", "alpha", dx.alias("dx"), dy.alias("dy"))
     if model.kind != "probabilistic":
-        return placed.select(*keys, "cell_x", "cell_y", fixed(intention(F.col("dx"), F.col("dy"), F.col("theta"), F.col("r_m"), F.col("alpha"), model)).alias("ci_fixed")).where("ci_fixed > 0")
-    d = distance(F.col("dx"), F.col("dy"))
-    radius = F.col("r_m") if model.reach is None else F.least("r_m", F.lit(model.reach * model.sigma_distance))
-    near = placed.where(d <= radius)
-    off = off_axis(F.col("dx"), F.col("dy"), F.col("theta"))
-    if model.circular == "constant":
-        off = F.when(F.col("alpha") >= 360.0, 0.0).otherwise(off)
-    seen = near.select(*keys, "cell_x", "cell_y", "alpha", d.alias("d"), off.alias("off"))
-    angular = gaussian(F.col("off"), model.sigma_angle)
-    if model.circular == "constant":
-        angular = F.when(F.col("alpha") >= 360.0, 1.0).otherwise(angular)
-    ci = F.when(F.col("off") <= F.col("alpha") / 2, angular * gaussian(F.col("d"), model.sigma_distance)).otherwise(0.0)
-    return seen.select(*keys, "cell_x", "cell_y", fixed(ci).alias("ci_fixed")).where("ci_fixed > 0")
+        value = fixed(intention(F.col("dx"), F.col("dy"), F.col("theta"), F.col("r_m"), F.col("alpha"), model))
+    else:
+        radius = F.col("r_m") if model.reach is None else F.least("r_m", F.lit(model.reach * model.sigma_distance))
+        steps = steps.withColumn("d", distance(F.col("dx"), F.col("dy")))
+        off, angular = off_axis(F.col("dx"), F.col("dy"), F.col("theta")), gaussian(F.col("off"), model.sigma_angle)
+        if model.circular == "constant":
+            off, angular = F.when(F.col("alpha") >= 360.0, 0.0).otherwise(off), F.when(F.col("alpha") >= 360.0, 1.0).otherwise(angular)
+        steps = steps.withColumn("off", F.when(F.col("d") <= radius, off))
+        value = F.when(F.col("off") <= F.col("alpha") / 2, fixed(angular * gaussian(F.col("d"), model.sigma_distance))).otherwise(F.lit(0))
+    return steps.select(*keys, "cell_x", "cell_y", F.explode(F.array(value)).alias("ci_fixed")).where("ci_fixed > 0")
 
 
 def summed(rows: DataFrame, *keys: str) -> DataFrame:

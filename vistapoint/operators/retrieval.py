@@ -5,7 +5,7 @@ from __future__ import annotations
 from functools import reduce
 from operator import or_
 
-from pyspark.sql import Column, DataFrame
+from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
 from ..functions import geo
@@ -79,3 +79,15 @@ def shape_meets(area: Area) -> Column:
 
 def candidates(fovs: DataFrame, query: Query) -> DataFrame:
     return fovs_in_range(fovs, query.area, query.time)
+
+
+def latest_before(fovs: DataFrame, questions: DataFrame) -> DataFrame:
+    """video_id, at, fov_id: each video's latest field of view at or before each asked time (video_id, at); null if it has none yet.
+
+    One pass over both tables in the order of time, so no answer lies too far back to be found.
+    """
+    seen = fovs.select("video_id", F.col("t").alias("at"), "fov_id", F.lit(0).alias("asks"))
+    asked = questions.select("video_id", "at", F.lit(None).cast("long").alias("fov_id"), F.lit(1).alias("asks"))
+    so_far = Window.partitionBy("video_id").orderBy("at", "asks", "fov_id").rowsBetween(Window.unboundedPreceding, Window.currentRow)
+    both = seen.unionByName(asked).withColumn("found", F.last("fov_id", ignorenulls=True).over(so_far))
+    return both.where("asks = 1").select("video_id", "at", F.col("found").alias("fov_id"))

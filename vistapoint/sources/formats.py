@@ -22,3 +22,13 @@ def read(spark: SparkSession, path: str, kind: str, schema: str = SCHEMA) -> Dat
     if kind in ("csv", "json"):
         reader = reader.option("timestampNTZFormat", TIMES).option("header", True)
     return reader.load(path)
+
+
+def export_heatmap(bins: DataFrame, path: str, kind: str = "csv") -> None:
+    """A heat map's bins in one format, ordered by row and column; ordered by ranges, so no task holds them all."""
+    write(bins.orderBy("bin_y", "bin_x"), path, kind)
+
+
+def export_top(top: DataFrame, path: str) -> None:
+    """A top-k list as JSON lines in one file; it has k rows."""
+    write(top.orderBy("rank").coalesce(1), path, "json")

@@ -2,10 +2,10 @@
 
 from __future__ import annotations
 
-import tempfile
 import uuid
 from dataclasses import replace
 
+import numpy as np
 import pandas as pd
 from pyspark.sql import Window
 from pyspark.sql import functions as F
@@ -15,9 +15,13 @@ from .functions import geo
 from .functions.noise import u01_sql
 
 from .operators import matrix, measures, retrieval, sampler
+from .operators.detect import ResultCache
+from .operators.kernel import add_fovs, largest_cells
+from .session import kept, shared_folder
 from .sources import carriers, formats, store, synthetic
-from .streaming import ingest
-from .workloads import FOV_E, FOV_O, M1, OPT, QUERIES, SQL, T0, T1, T2, events, register, rounded, rounded_sql, table, top
+from .streaming import ingest, stateful
+from . import experiments  # noqa: F401  registers what some names stand for
+from .workloads import FOV_E, FOV_O, IN_AREA, M1, OPT, QUERIES, SQL, T0, T1, T2, T4, _areas, events, register, rounded, rounded_sql, table, top
 
 IN_MIX = O.in_range(O.fov_with_mbr("mix30"), T1.area)
 NOISE = u01_sql("s0", "fov_id")
@@ -26,13 +30,17 @@ E_SQL = O.fov_with_mbr("pie60")
 
 
 def _scratch(spark) -> str:
-    """A new folder in the session's checkpoint folder, which executors share; a temporary one in local sessions without."""
-    root = spark.sparkContext.getCheckpointDir() or spark.conf.get("spark.checkpoint.dir", None)
-    if not root:
-        if not spark.sparkContext.master.startswith("local"):
-            raise ValueError("set spark.checkpoint.dir to a shared folder")
-        root = tempfile.mkdtemp(prefix="scratch-")
-    return f"{root}/{uuid.uuid4().hex}"
+    """A new folder in the folder that driver and executors share."""
+    return f"{shared_folder(spark, 'scratch')}/{uuid.uuid4().hex}"
+
+
+def _taken(df, *paths: str):
+    """``df`` computed and stored as a checkpoint, after which the folders that it was read from are removed."""
+    spark, out = df.sparkSession, kept(df)
+    for path in paths:
+        folder = spark._jvm.org.apache.hadoop.fs.Path(path)
+        folder.getFileSystem(spark.sparkContext._jsc.hadoopConfiguration()).delete(folder, True)
+    return out
 
 
 register("q_scan_events", lambda s, d: table(s, d, "events").where("event_type = 'view' and value > 100").select("event_id", "value"), "SELECT event_id, value FROM events WHERE event_type = 'view' AND value > 100")
@@ -42,7 +50,7 @@ def _round_trip(kind):
     def run(s, d):
         path = _scratch(s)
         formats.write(carriers.from_events(s, d), path, kind)
-        return rounded(formats.read(s, path, kind))
+        return _taken(rounded(formats.read(s, path, kind)), path)
 
     return run
 
@@ -55,7 +63,7 @@ def _store(s, d):
     path = _scratch(s)
     store.write(carriers.from_events(s, d), path, 4)
     found = retrieval.fovs_in_range(store.read(s, path), T2.area)
-    return found.groupBy("day").agg(F.count("*").alias("n"), F.sum("fov_id").alias("ids"))
+    return _taken(found.groupBy("day").agg(F.count("*").alias("n"), F.sum("fov_id").alias("ids")), path)
 
 
 register("q_store_readback", _store, f"SELECT t::DATE AS day, count(*) AS n, sum(fov_id)::BIGINT AS ids FROM ({O.in_range(E_SQL, T2.area)}) GROUP BY 1")
@@ -102,13 +110,14 @@ register("q_interval_join", lambda s, d: carriers.from_events(s, d).join(F.broad
 
 
 def _as_of(s, d):
-    """The latest field of view of each video at or before noon of each day, by an equi-join and max_by."""
-    noons = s.sql("select timestamp_ntz'2024-01-01 12:00:00' + make_dt_interval(i) as noon from (select explode(sequence(0, 29)) as i)")
-    rows = carriers.from_events(s, d).join(F.broadcast(noons), F.expr("t <= noon and t > noon - interval 2 days"))
-    return rows.groupBy("video_id", "noon").agg(F.max(F.struct("t", "fov_id")).alias("m")).select("video_id", "noon", "m.fov_id")
+    """The latest field of view of each video at or before noon of each day, however long ago."""
+    noons = s.sql("select timestamp_ntz'2024-01-01 12:00:00' + make_dt_interval(i) as at from (select explode(sequence(0, 29)) as i)")
+    fovs = carriers.from_events(s, d).select("video_id", "t", "fov_id")
+    asked = fovs.select("video_id").distinct().crossJoin(F.broadcast(noons))
+    return retrieval.latest_before(fovs, asked).where("fov_id is not null").withColumnRenamed("at", "noon")
 
 
-register("q_asof_video", _as_of, "SELECT user_id AS video_id, noon, arg_max(event_id, (ts, event_id)) AS fov_id FROM events, (SELECT TIMESTAMP '2024-01-01 12:00:00' + to_days(i::INT) AS noon FROM range(30) r(i)) WHERE ts <= noon AND ts > noon - INTERVAL 2 DAY GROUP BY 1, 2")
+register("q_asof_video", _as_of, "SELECT user_id AS video_id, noon, arg_max(event_id, (ts, event_id)) AS fov_id FROM events, (SELECT TIMESTAMP '2024-01-01 12:00:00' + to_days(i::INT) AS noon FROM range(30) r(i)) WHERE ts <= noon GROUP BY 1, 2")
 register("q_users_per_cell", lambda s, d: _cells(s, d).groupBy("cell_x", "cell_y").agg(F.countDistinct("video_id").alias("videos")), f"SELECT floor((lon - {T2.area.min_lon!r}::DOUBLE) / 0.001::DOUBLE)::BIGINT AS cell_x, floor((lat - {T2.area.min_lat!r}::DOUBLE) / 0.001::DOUBLE)::BIGINT AS cell_y, count(DISTINCT video_id) AS videos FROM ({O.in_range(E_SQL, T2.area)}) GROUP BY 1, 2")
 register("q_users_approx", lambda s, d: _cells(s, d).groupBy("cell_y").agg(F.approx_count_distinct("video_id").alias("videos")))
 
@@ -182,7 +191,21 @@ def _udaf(s, d):
 register("q_udaf_topk", _udaf, f"SELECT cell_y, round((CASE WHEN count(*) > 1 THEN list_sort(list(ci_fixed), 'DESC')[2] ELSE max(ci_fixed) END) / 1e12::DOUBLE, 6) AS ci FROM ({O.matrix(O.in_range(E_SQL, T0.area), T0)}) GROUP BY cell_y")
 
 
-def _udtf(s, d, where="true"):
+def _udaf_cells(s, d):
+    """The three largest cells of each row of T0 by an aggregate function over columns."""
+
+    @F.pandas_udf("array<long>")
+    def topk_cells(cell_x: pd.Series, ci: pd.Series) -> list:
+        return pd.DataFrame({"x": cell_x, "ci": -ci}).sort_values(["ci", "x"])["x"].head(3).tolist()
+
+    rows = matrix.optimized(events(s, d), T0).groupBy("cell_y").agg(topk_cells("cell_x", "ci_fixed").alias("cells"))
+    return rows.select("cell_y", F.posexplode("cells").alias("place", "cell_x")).select("cell_y", (F.col("place") + 1).cast("long").alias("rank"), "cell_x")
+
+
+register("q_udaf_topk_cells", _udaf_cells, f"SELECT cell_y, rank, cell_x FROM (SELECT *, row_number() OVER (PARTITION BY cell_y ORDER BY ci_fixed DESC, cell_x) AS rank FROM ({O.matrix(O.in_range(E_SQL, T0.area), T0)})) WHERE rank <= 3")
+
+
+def _udtf(s, d):
     from pyspark.sql.functions import udtf
 
     @udtf(returnType="cell_x bigint, cell_y bigint")
@@ -195,14 +218,148 @@ def _udtf(s, d, where="true"):
                     yield x, y
 
     s.udtf.register("fov_cells", FovCells)
-    matrix.with_span(matrix.candidates(events(s, d).where(where), T0), T0).createOrReplaceTempView("spans")
+    matrix.with_span(matrix.candidates(events(s, d), T0), T0).createOrReplaceTempView("spans")
     return s.sql("select fov_id, count(*) as cells from spans, lateral fov_cells(x0, x1, y0, y1) group by fov_id")
 
 
-register("q_udtf_cells_all", _udtf, f"SELECT fov_id, (x1 - x0 + 1) * (y1 - y0 + 1) AS cells FROM ({O.span(O.in_range(E_SQL, T0.area), T0)})")
-# One field of view in fifty, as its SQL states; the whole table is q_udtf_cells_all.
-register("q_udtf_cells", lambda s, d: _udtf(s, d, "fov_id % 50 = 0"), f"SELECT fov_id, (x1 - x0 + 1) * (y1 - y0 + 1) AS cells FROM ({O.span(O.in_range(E_SQL, T0.area, 'fov_id % 50 = 0'), T0)})")
+register("q_udtf_cells", _udtf, f"SELECT fov_id, (x1 - x0 + 1) * (y1 - y0 + 1) AS cells FROM ({O.span(O.in_range(E_SQL, T0.area), T0)})")
+SPAN_COLUMNS = ("lat", "lon", "theta", "r_m", "alpha", "x0", "x1", "y0", "y1")
+
+
+def _udtf_intentions(s, d):
+    """The matrix of T0 by a table function that yields the cells of a field of view with their intentions."""
+    from pyspark.sql.functions import udtf
+
+    @udtf(returnType="cell_x bigint, cell_y bigint, ci_fixed bigint")
+    class FovIntentions:
+        def eval(self, lat, lon, theta, r_m, alpha, x0, x1, y0, y1):
+            block = np.zeros((y1 - y0 + 1, x1 - x0 + 1), np.int64)
+            add_fovs(block, x0, y0, T0, [np.array([v]) for v in (lat, lon, theta, r_m, alpha, x0, x1, y0, y1)])
+            for y, x in zip(*np.nonzero(block), strict=True):
+                yield int(x) + x0, int(y) + y0, int(block[y, x])
+
+    s.udtf.register("fov_intentions", FovIntentions)
+    matrix.with_span(matrix.candidates(events(s, d), T0), T0, clip=True).createOrReplaceTempView("clipped_spans")
+    cells = s.sql(f"select c.* from clipped_spans, lateral fov_intentions({', '.join(SPAN_COLUMNS)}) as c")
+    return matrix.summed(cells).select("cell_x", "cell_y", F.round(F.col("ci_fixed") / 1e12, 6).alias("ci"))
+
+
+register("q_udtf_intentions", _udtf_intentions, f"SELECT cell_x, cell_y, round(ci_fixed / 1e12::DOUBLE, 6) AS ci FROM ({O.matrix(O.in_range(E_SQL, T0.area), T0)})")
+
+
+def _udtf_hotspots(s, d):
+    """The top-3 cells of many small areas by a table function over a partitioned table; a partition holds its area's sums only."""
+    from pyspark.sql.functions import udtf
+
+    @udtf(returnType="area_id bigint, rank bigint, cell_x bigint, cell_y bigint, ci double")
+    class Hotspots:
+        def __init__(self):
+            self.block = self.area = None
+
+        def eval(self, row, k: int):
+            self.k = k
+            if self.block is None:
+                self.area, self.x0, self.y0 = row["area_id"], row["bx0"], row["by0"]
+                self.block = np.zeros((max(row["by1"] - row["by0"] + 1, 0), max(row["bx1"] - row["bx0"] + 1, 0)), np.int64)
+            add_fovs(self.block, self.x0, self.y0, T4, [np.array([row[c]]) for c in SPAN_COLUMNS])
+
+        def terminate(self):
+            if self.block is not None:
+                for i, (x, y, v) in enumerate(largest_cells(self.block, self.x0, self.y0, self.k)):
+                    yield self.area, i + 1, x, y, round(v / 1e12, 6)
+
+    s.udtf.register("hotspots", Hotspots)
+    inside = matrix.with_span(events(s, d).join(F.broadcast(_areas(s)), F.expr(IN_AREA)), T4, clip=True)
+    cell = lambda v, o, f: f((F.col(v) - o) / T4.cell).cast("long")
+    a = T4.area
+    bounds = inside.withColumns({"bx0": cell("a_min_lon", a.min_lon, F.ceil), "bx1": cell("a_max_lon", a.min_lon, F.floor), "by0": cell("a_min_lat", a.min_lat, F.ceil), "by1": cell("a_max_lat", a.min_lat, F.floor)})
+    bounds.select("area_id", "bx0", "bx1", "by0", "by1", *SPAN_COLUMNS).createOrReplaceTempView("area_spans")
+    return s.sql("select * from hotspots(table(area_spans) partition by (area_id), 3)")
+
+
+register("q_udtf_hotspots", _udtf_hotspots, SQL["q_w18_areas"])
+
+
+def _recursive(s, d):
+    """The greedy pairing of two top-k lists as a recursive query that walks the pairs in the order of their distance."""
+    w, h = measures.cell_metres(T1)
+    one, two = top(s, d, T1), top(s, d, T1, method="single_sample", fraction=0.3)
+    far = F.sqrt(F.pow((F.col("ax") - F.col("bx")) * F.lit(w), F.lit(2.0)) + F.pow((F.col("ay") - F.col("by")) * F.lit(h), F.lit(2.0)))
+    pairs = one.select(F.col("rank").alias("i"), F.col("cell_x").alias("ax"), F.col("cell_y").alias("ay")).crossJoin(two.select(F.col("rank").alias("j"), F.col("cell_x").alias("bx"), F.col("cell_y").alias("by"))).withColumn("d", far)
+    kept(pairs.select(F.row_number().over(Window.orderBy("d", "i", "j")).alias("n"), "i", "j", "d")).createOrReplaceTempView("ordered_pairs")  # k * k rows
+    return s.sql(
+        """with recursive walk(n, used_i, used_j, total) as (
+             select 0, cast(array() as array<bigint>), cast(array() as array<bigint>), cast(0 as double)
+             union all
+             select p.n, if(free, array_append(used_i, p.i), used_i), if(free, array_append(used_j, p.j), used_j), if(free, total + d, total)
+             from (select w.*, p.n as next, p.i, p.j, p.d, not array_contains(w.used_i, p.i) and not array_contains(w.used_j, p.j) as free from walk w join ordered_pairs p on p.n = w.n + 1) p
+           ) select round(max_by(total, n), 6) as diff_m from walk""".replace("select p.n, if", "select p.next, if")
+    )
+
+
+IN_T1 = O.in_range(E_SQL, T1.area)
+DRAWN = O.top(O.matrix(f"SELECT * FROM ({IN_T1}) ORDER BY {NOISE}, fov_id LIMIT (SELECT ceil(round(0.3 * count(*), 9))::BIGINT FROM ({IN_T1}))", T1), 5)
+register("q_diff_sum_recursive", _recursive, f"SELECT diff_m FROM ({O.greedy(O.top_of(T1, 'pie60'), DRAWN, T1)})")
+
+
+def _export(s, d):
+    path = _scratch(s)
+    formats.export_heatmap(measures.heatmap(matrix.optimized(events(s, d), T1), 4), path)
+    return _taken(formats.read(s, path, "csv", "bin_x long, bin_y long, gamma double"), path)
+
+
+register("q_export_heatmap", _export, SQL["q_heatmap"])
+
+
+def _export_top(s, d):
+    path = _scratch(s)
+    formats.export_top(top(s, d, T1), path)
+    return _taken(formats.read(s, path, "json", "rank long, cell_x long, cell_y long, ci double"), path)
+
+
+register("q_export_topk", _export_top, O.top_of(T1, "pie60"))
+
+
+def _result_cache(s, d):
+    """The same query twice through the result cache: the second answer is read, and the table behind it is not asked."""
+    folder = _scratch(s)
+    cache = ResultCache(folder)
+    cache.detect(events(s, d), "v1", T1, "optimized")
+    return _taken(cache.detect(s.createDataFrame([], events(s, d).schema), "v1", T1, "optimized"), folder)
+
+
+register("q_result_cache", _result_cache, O.top_of(T1, "pie60"))
+
+
+def _stream_ingest(s, d):
+    """The events as a stream into the store, boxes at ingestion, and the store read back."""
+    path, marks = _scratch(s), _scratch(s)
+    ingest.ingest(ingest.event_stream(s, f"{d}/events.parque[t]"), path, marks).awaitTermination()
+    found = retrieval.fovs_in_range(store.read(s, path), T2.area)
+    return _taken(found.groupBy("day").agg(F.count("*").alias("n"), F.sum("fov_id").alias("ids")), path, marks)
+
+
+register("q_stream_ingest", _stream_ingest, SQL["q_store_readback"])
+
+
+def _stream_tiles(s, d):
+    """Running totals of each tile by a stateful processor whose timers report a tile when its events have passed the watermark."""
+    path, marks = _scratch(s), _scratch(s)
+    fovs = carriers.events_to_fovs(ingest.event_stream(s, f"{d}/events.parque[t]"))
+    stateful.report_tiles(fovs, path, marks)
+    return _taken(stateful.latest_reports(s.read.parquet(path)), path, marks)
+
+
+register("q_stream_tiles", _stream_tiles, f"SELECT tile_x, tile_y, count(*) AS n, count(DISTINCT video_id) AS videos FROM (SELECT *, floor(lon / 0.1::DOUBLE)::BIGINT AS tile_x, floor(lat / 0.1::DOUBLE)::BIGINT AS tile_y FROM ({FOV_E})) GROUP BY 1, 2")
+register("q_sample_by", lambda s, d: carriers.from_events(s, d, "mix30").sampleBy("alpha", {160.0: 1.0, 360.0: 0.0}, 7).select("fov_id", "alpha"), f"SELECT fov_id, alpha FROM ({O.fov_events('mix30')}) WHERE alpha = 160")
+
+
+def _table_sample(s, d):
+    carriers.from_events(s, d).createOrReplaceTempView("fov_all")
+    return s.sql("select fov_id from fov_all tablesample (10 percent) repeatable (7)")
+
 
+register("q_tablesample", _table_sample)
 
 
 # --- further measures, and the names under which the blueprint lists some queries -----------------------------------------
@@ -234,7 +391,6 @@ def _coarse(s, d):
 
 register("q_coarse_vs_fine", _coarse, O.greedy(O.top_of(T1, "pie60"), f"SELECT rank, cell_x * 5 + 2 AS cell_x, cell_y * 5 + 2 AS cell_y FROM ({O.top_of(COARSE, 'pie60')})", T1))
 register("q_diff_within_20m", lambda s, d: measures.diff(top(s, d, T1, "mix30"), top(s, d, T1, "mix30", "single_sample", fraction=0.5), T1).select("within"), f"SELECT within FROM ({O.greedy(O.top_of(T1, 'mix30'), O.top(O.matrix(f'SELECT * FROM ({IN_MIX}) ORDER BY {NOISE}, fov_id LIMIT (SELECT ceil(round(0.5 * count(*), 9))::BIGINT FROM ({IN_MIX}))', T1), 5), T1)})")
-for _alias, _name in {"q_fov_mbr": "q_fov_mbr_pie60", "q_region_stats": "q_region_stats_t1", "q_cells_per_mbr": "q_cells_per_mbr_t1_pie60", "q_clis_prefix": "q_clis_prefix_relative", "q_topk_tiled": "q_topk_tiled_pie60", "q_topk_per_week": "q_w17_weekly"}.items():
+for _alias, _name in {"q_fov_mbr": "q_fov_mbr_pie60", "q_region_stats": "q_region_stats_t1", "q_cells_per_mbr": "q_cells_per_mbr_t1_pie60", "q_clis_prefix": "q_clis_prefix_relative", "q_topk_tiled": "q_topk_tiled_pie60", "q_topk_per_week": "q_w17_weekly", "q_w10_sweep": "q_threshold_sweep", "q_udtf_cells_all": "q_udtf_cells"}.items():
     QUERIES[_alias] = QUERIES[_name]
     SQL[_alias] = SQL[_name]
-QUERIES["q_w10_sweep"] = QUERIES["q_threshold_sweep"]

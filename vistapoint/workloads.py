@@ -16,8 +16,7 @@ from .functions.noise import u01, u01_sql
 from .operators import clusters, cube, fov, matrix, measures, retrieval, sampler, sampling
 from .operators.detect import detect
 from .plans.query import Area, ClusterOptions, Query, TimeRange
-from .session import kept as _kept
-from .session import ship
+from .session import kept, ship
 from .sources import carriers
 
 #: Half sides, in degrees, of the target regions around the centre.
@@ -43,8 +42,10 @@ def register(name: str, run: Callable[[SparkSession, str], DataFrame], sql: str
         SQL[name] = sql
 
 
-def events(spark: SparkSession, sf_dir: str, variant: str = "pie60") -> DataFrame:
-    return fov.with_mbr(carriers.from_events(spark, sf_dir, variant))
+def events(spark: SparkSession, sf_dir: str, variant: str = "pie60", centre: tuple[float, float] = carriers.CENTRE) -> DataFrame:
+    """Fields of view with their boxes, stored, as a table of them would be: derived anew, a position is an expression of
+    hashes, which predicates would repeat until the generated code is too long to be compiled."""
+    return kept(fov.with_mbr(carriers.from_events(spark, sf_dir, variant, centre=centre)))
 
 
 def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
@@ -89,7 +90,7 @@ BOX = "min_lat max_lat min_lon max_lon"
 for _v in fov.VARIANTS:
     register(f"q_fov_mbr_{_v}", lambda s, d, v=_v: rounded(events(s, d, v).select("fov_id", *BOX.split()), 9), f"SELECT fov_id, {', '.join(f'round({c}, 9) AS {c}' for c in BOX.split())} FROM ({O.fov_with_mbr(_v)})")
 register("q_fov_mbr_circle", lambda s, d: rounded(fov.with_mbr(carriers.from_events(s, d), "circle").select("fov_id", *BOX.split()), 9), f"SELECT fov_id, {', '.join(f'round({c}, 9) AS {c}' for c in BOX.split())} FROM ({O.mbr(FOV_E, 'circle')})")
-REL = f"(SELECT *, (20.0::DOUBLE - lon) * {O.MX} AS dx, (10.0::DOUBLE - lat) * {O.MY} AS dy FROM ({O.fov_with_mbr('mix30')}))"
+REL = f"(SELECT *, (20.0::DOUBLE - lon) * {O.OWN} AS dx, (10.0::DOUBLE - lat) * {O.MY} AS dy FROM ({O.fov_with_mbr('mix30')}))"
 OFF = f"CASE WHEN dx = 0 AND dy = 0 THEN 0.0::DOUBLE ELSE {O.angle_diff(O.pmod360('degrees(atan2(dx, dy))'), 'theta')} END"
 register("q_fov_covers", lambda s, d: events(s, d, "mix30").where(fov.sees(F.lit(10.0), F.lit(20.0))).select("fov_id", "alpha"), f"SELECT fov_id, alpha FROM {REL} WHERE sqrt(dx * dx + dy * dy) <= r_m AND (alpha >= 360 OR ({OFF}) <= alpha / 2)")
 register("q_check_fov", lambda s, d: fov.check_fov(carriers.from_events(s, d).union(carriers.from_events(s, d).where("fov_id % 100 = 0"))), "SELECT event_id AS fov_id, 'duplicate' AS reason FROM events WHERE event_id % 100 = 0")
@@ -100,21 +101,21 @@ register("q_frame_thinning", lambda s, d: fov.sample_video(carriers.from_events(
 register(
     "q_trajectory",
     lambda s, d: rounded(fov.trajectory(carriers.from_events(s, d)), 4),
-    f"SELECT fov_id, video_id, row_number() OVER w AS step, round(sqrt(pow((lon - lag(lon) OVER w) * {O.MX}, 2) + pow((lat - lag(lat) OVER w) * {O.MY}, 2)), 4) AS step_m FROM ({FOV_E}) WINDOW w AS (PARTITION BY video_id ORDER BY t, fov_id)",
+    f"SELECT fov_id, video_id, row_number() OVER w AS step, round(sqrt(pow((lon - lag(lon) OVER w) * {O.OWN}, 2) + pow((lat - lag(lat) OVER w) * {O.MY}, 2)), 4) AS step_m FROM ({FOV_E}) WINDOW w AS (PARTITION BY video_id ORDER BY t, fov_id)",
 )
 MARKS = "(VALUES " + ", ".join(f"({i}::BIGINT, {10.0 + a!r}::DOUBLE, {20.0 + b!r}::DOUBLE)" for i, (a, b) in enumerate(carriers.SPOTS)) + ") AS marks(mark_id, mark_lat, mark_lon)"
-SEEN = f"SELECT *, sqrt(dx * dx + dy * dy) AS d FROM (SELECT *, (mark_lon - lon) * {O.MX} AS dx, (mark_lat - lat) * {O.MY} AS dy FROM ({O.fov_with_mbr('mix30')}), {MARKS}) WHERE sqrt(dx * dx + dy * dy) <= r_m AND (alpha >= 360 OR ({OFF}) <= alpha / 2)"
+SEEN = f"SELECT *, sqrt(dx * dx + dy * dy) AS d FROM (SELECT *, (mark_lon - lon) * {O.OWN} AS dx, (mark_lat - lat) * {O.MY} AS dy FROM ({O.fov_with_mbr('mix30')}), {MARKS}) WHERE sqrt(dx * dx + dy * dy) <= r_m AND (alpha >= 360 OR ({OFF}) <= alpha / 2)"
 register("q_range_histogram", lambda s, d: fov.range_histogram(events(s, d, "mix30"), carriers.spots(s)), f"SELECT floor(d / 50.0::DOUBLE)::BIGINT AS bucket, count(*) AS n FROM ({SEEN}) WHERE d < 2000 GROUP BY 1")
 register("q_landmark_views", lambda s, d: events(s, d, "mix30").join(F.broadcast(carriers.spots(s)), fov.sees(F.col("mark_lat"), F.col("mark_lon"))).groupBy("mark_id").agg(F.count("*").alias("views"), F.countDistinct("video_id").alias("videos")), f"SELECT mark_id, count(*) AS views, count(DISTINCT video_id) AS videos FROM ({SEEN}) GROUP BY mark_id")
 
 # --- intention models ---------------------------------------------------------------------------------------------------
 
-register("q_ci_angle", lambda s, d: rounded(carriers.from_events(s, d, "mix30").select("fov_id", I.ci_angle(geo.angle_diff(F.col("theta"), F.lit(0.0)), F.col("alpha")).alias("ci")), 12), f"SELECT fov_id, round(CASE WHEN alpha >= 360 THEN 1.0::DOUBLE WHEN a <= alpha / 2 THEN exp(-(a * a) / 450.0::DOUBLE) * {I.density_scale(15.0)!r}::DOUBLE ELSE 0.0::DOUBLE END, 12) AS ci FROM (SELECT *, {O.angle_diff('theta', '0.0::DOUBLE')} AS a FROM ({O.fov_events('mix30')}))")
-register("q_ci_dist", lambda s, d: rounded(table(s, d, "events").select("event_id", I.ci_dist(F.col("value"), F.lit(100.0)).alias("ci")), 12), f"SELECT event_id, round(CASE WHEN value <= 100 THEN exp(-(value * value) / 1250.0::DOUBLE) * {I.density_scale(25.0)!r}::DOUBLE ELSE 0.0::DOUBLE END, 12) AS ci FROM events")
+register("q_ci_angle", lambda s, d: rounded(carriers.from_events(s, d, "mix30").select("fov_id", I.ci_angle(geo.angle_diff(F.col("theta"), F.lit(0.0)), F.col("alpha")).alias("ci")), 12), f"SELECT fov_id, round(CASE WHEN alpha >= 360 THEN 1.0::DOUBLE WHEN a <= alpha / 2 THEN exp(-(a * a) / 450.0::DOUBLE) * {O.PEAKS[15.0]!r}::DOUBLE ELSE 0.0::DOUBLE END, 12) AS ci FROM (SELECT *, {O.angle_diff('theta', '0.0::DOUBLE')} AS a FROM ({O.fov_events('mix30')}))")
+register("q_ci_dist", lambda s, d: rounded(table(s, d, "events").select("event_id", I.ci_dist(F.col("value"), F.lit(100.0)).alias("ci")), 12), f"SELECT event_id, round(CASE WHEN value <= 100 THEN exp(-(value * value) / 1250.0::DOUBLE) * {O.PEAKS[25.0]!r}::DOUBLE ELSE 0.0::DOUBLE END, 12) AS ci FROM events")
 
 
 def _ci_pairs(s, d):
-    dx, dy = (F.lit(20.0) - F.col("lon")) * F.lit(geo.east_scale(10.0)), (F.lit(10.0) - F.col("lat")) * F.lit(geo.METRES_PER_DEGREE)
+    dx, dy = (F.lit(20.0) - F.col("lon")) * geo.east_scale_at(F.col("lat")), (F.lit(10.0) - F.col("lat")) * F.lit(geo.METRES_PER_DEGREE)
     return events(s, d, "mix30").select("fov_id", F.round(I.fixed(I.intention(dx, dy, F.col("theta"), F.col("r_m"), F.col("alpha"))) / I.FIXED, 9).alias("ci")).where("ci > 0")
 
 
@@ -162,7 +163,7 @@ register("q_sample_batches", lambda s, d: sampling.batches(events(s, d), 20, "vi
 register("q_sample_batches_hash", lambda s, d: sampling.batches(events(s, d), 20, mode="hash").groupBy("batch").agg(F.count("*").alias("n")), f"SELECT (floor({u01_sql('s0', 'event_id')} * 20) + 1)::INT AS batch, count(*) AS n FROM events GROUP BY 1")
 register("q_remaining_fovs", lambda s, d: sampling.remaining(sampling.batches(events(s, d), 20, mode="hash"), 15).select("fov_id"), f"SELECT event_id AS fov_id FROM events WHERE floor({u01_sql('s0', 'event_id')} * 20) + 1 > 15")
 register("q_topk_camera_cells", lambda s, d: matrix.top_cells(matrix.camera_cells(events(s, d), T1), 5), O.top(f"SELECT * FROM (SELECT floor((lon - {T1.area.min_lon!r}::DOUBLE) / 0.0001::DOUBLE)::BIGINT AS cell_x, floor((lat - {T1.area.min_lat!r}::DOUBLE) / 0.0001::DOUBLE)::BIGINT AS cell_y, count(*) * 1000000000000::BIGINT AS ci_fixed FROM ({IN1}) GROUP BY 1, 2) WHERE cell_x BETWEEN 0 AND 79 AND cell_y BETWEEN 0 AND 79", 5))
-register("q_auto_small", lambda s, d: top(s, d, T1, method="auto"), O.top_of(T1, "pie60"))
+register("q_auto_small", lambda s, d: top(s, d, T1, method="auto"), f"SELECT *, 'optimized' AS method, false AS sampled FROM ({O.top_of(T1, 'pie60')})")
 register("q_cube_topk", lambda s, d: matrix.top_cells(cube.over(cube.build(events(s, d), T1), "2024-01-08", "2024-01-14"), 5), O.top_of(T1, "pie60", JANUARY_SQL))
 
 # --- clustering and clustered incremental sampling ----------------------------------------------------------------------
@@ -202,96 +203,28 @@ def _trace(s, d, query, options=OPT, variant="pie60"):
     return rows.withColumn("cluster_id", F.col("cluster_id").cast("long")).withColumn("iter", F.col("iter").cast("long")).withColumn("stop", F.col("stop").cast("long"))
 
 
-register("q_stop_topk_shift", lambda s, d: _trace(s, d, T1).select("cluster_id", "iter", F.round("d_topk", 4).alias("d_topk")))
-register("q_threshold_sweep", lambda s, d: _sweep(s, d))
-
-
-def _sweep(s, d, query=T4):
-    """Rounds and processed fields of view by stopping measure and threshold, all from one trace."""
-    rows = _kept(_trace(s, d, query).select("cluster_id", "iter", "seen", "p", "max_fixed"))
-    w = Window.partitionBy("cluster_id").orderBy("iter")
-    rows = rows.withColumns({"before": F.lag("max_fixed").over(w), "p_before": F.lag("p").over(w)})
-    measures_of = F.explode(F.array(*[F.struct(F.lit(m).alias("measure"), sampler._change(m, F.col("max_fixed"), F.col("before"), F.col("p"), F.col("p_before")).alias("d_max")) for m in ("raw", "rescaled", "relative", "rescaled_relative")]))
-    rows = rows.select("cluster_id", "iter", "seen", measures_of.alias("m")).select("cluster_id", "iter", "seen", "m.measure", "m.d_max")
-    levels = rows.crossJoin(F.broadcast(s.createDataFrame([(t,) for t in (0.01, 0.05, 0.1, 0.2, 0.5)], "threshold double")))
-    at = levels.groupBy("measure", "threshold", "cluster_id").agg(F.coalesce(F.min(F.when((F.col("d_max") < F.col("threshold")) & (F.col("iter") >= 2), F.col("iter"))), F.max("iter")).alias("stop"))
-    done = at.join(rows.withColumnRenamed("iter", "stop"), ["measure", "cluster_id", "stop"]).groupBy("threshold", "measure").agg(F.sum("stop").alias("rounds"), F.sum("seen").alias("processed"))
-    return done.select("threshold", "rounds", "processed", "measure")
+register("q_stop_topk_shift", lambda s, d: _trace(s, d, T1).select("cluster_id", "iter", F.round("d_topk", 4).alias("d_topk")), O.clustered("pie60", T1, OPT, "SELECT cluster_id, iter, round(d_topk, 4) AS d_topk FROM steps", True))
+for _r in ("topk_shift", "any_of", "all_of"):
+    register(f"q_clis_{_r}", lambda s, d, r=_r: sampler.run(events(s, d), T1, replace(OPT, rule=r))[0], O.clustered("pie60", T1, replace(OPT, rule=_r), TOP))
 
 
 # --- measures -----------------------------------------------------------------------------------------------------------
 
 register("q_diff_sum", lambda s, d: measures.diff(top(s, d, T1), _sampled(s, d, T1), T1), O.greedy(O.top_of(T1, "pie60"), O.top_of(T1, "pie60", S30), T1))
-register("q_diff_naive_optimized", lambda s, d: measures.diff(top(s, d, T1, "mix30"), top(s, d, T1, "mix30", "naive"), T1), "SELECT 0.0::DOUBLE AS diff_m, 5::BIGINT AS within, 5::BIGINT AS pairs")
+register("q_diff_naive_optimized", lambda s, d: measures.diff(top(s, d, T1, "mix30"), top(s, d, T1, "mix30", "naive"), T1), O.greedy(O.top_of(T1, "mix30"), O.top(O.naive(O.in_range(O.fov_with_mbr("mix30"), T1.area), T1), 5), T1))
 register("q_truth_error", lambda s, d: measures.truth_error(top(s, d, T1, "mix30"), carriers.spots(s), T1), f"SELECT rank, arg_min(mark_id, (e, mark_id)) AS mark_id, round(min(e), 6) AS error_m FROM (SELECT rank, mark_id, sqrt(pow(({T1.area.min_lon!r}::DOUBLE + (cell_x + 0.5::DOUBLE) * 0.0001::DOUBLE - mark_lon) * {O.MX}, 2) + pow(({T1.area.min_lat!r}::DOUBLE + (cell_y + 0.5::DOUBLE) * 0.0001::DOUBLE - mark_lat) * {O.MY}, 2)) AS e FROM ({O.top_of(T1, 'mix30')}), {MARKS}) GROUP BY rank")
 for _t, _q in (("t1", T1), ("t2", T2), ("t3", T3), ("t4", T4)):
     _in = O.in_range(O.fov_with_mbr("pie60"), _q.area)
-    register(f"q_region_stats_{_t}", lambda s, d, q=_q: measures.region_stats(events(s, d), q), f"SELECT {_q.grid.cells}::BIGINT AS n_cells, count(*) AS n_fovs, {round(_q.area.km2(), 6)!r}::DOUBLE AS area_km2 FROM ({_in})")
+    register(f"q_region_stats_{_t}", lambda s, d, q=_q: measures.region_stats(events(s, d), q), f"SELECT {O.side(_q) ** 2}::BIGINT AS n_cells, count(*) AS n_fovs, {round(_q.area.km2(), 6)!r}::DOUBLE AS area_km2 FROM ({_in})")
     for _v in fov.VARIANTS:
         _sp = O.span(O.in_range(O.fov_with_mbr(_v), _q.area), _q)
         register(f"q_cells_per_mbr_{_t}_{_v}", lambda s, d, q=_q, v=_v: measures.cells_per_mbr(events(s, d, v), q), f"SELECT count(*) AS n_fovs, sum(c)::BIGINT AS cell_visits, round(avg(c), 6) AS mean_cells FROM (SELECT (x1 - x0 + 1) * (y1 - y0 + 1) AS c FROM ({_sp}))")
-register("q_cost_model", lambda s, d: measures.cost_model(events(s, d), T2), f"SELECT count(*) * {T2.grid.cells} AS naive_pairs, sum(c)::BIGINT AS optimized_pairs, round(count(*) * {T2.grid.cells} / sum(c)::DOUBLE, 6) AS ratio FROM (SELECT (x1 - x0 + 1) * (y1 - y0 + 1) AS c FROM ({O.span(O.in_range(O.fov_with_mbr('pie60'), T2.area), T2)}))")
+register("q_cost_model", lambda s, d: measures.cost_model(events(s, d), T2), f"SELECT count(*) * {O.side(T2) ** 2} AS naive_pairs, sum(c)::BIGINT AS optimized_pairs, round(count(*) * {O.side(T2) ** 2} / sum(c)::DOUBLE, 6) AS ratio FROM (SELECT (x1 - x0 + 1) * (y1 - y0 + 1) AS c FROM ({O.span(O.in_range(O.fov_with_mbr('pie60'), T2.area), T2)}))")
 register("q_topk_common", lambda s, d: top(s, d, T1).select("cell_x", "cell_y").intersect(_sampled(s, d, T1).select("cell_x", "cell_y")), f"SELECT cell_x, cell_y FROM ({O.top_of(T1, 'pie60')}) INTERSECT SELECT cell_x, cell_y FROM ({O.top_of(T1, 'pie60', S30)})")
 register("q_topk_missed", lambda s, d: top(s, d, T1).select("cell_x", "cell_y").exceptAll(_sampled(s, d, T1).select("cell_x", "cell_y")), f"SELECT cell_x, cell_y FROM ({O.top_of(T1, 'pie60')}) EXCEPT SELECT cell_x, cell_y FROM ({O.top_of(T1, 'pie60', S30)})")
 
-# --- the experiments ----------------------------------------------------------------------------------------------------
-
-for _w, _k, _v in (("w1", 5, "pie60"), ("w2", 10, "pie60"), ("w3", 5, "mix30"), ("w4", 5, "mix70")):
-    for _t in ("t1", "t2", "t3", "t4"):
-        _q = region(_t, k=_k)
-        _big = _t in ("t3", "t4")
-        register(f"q_{_w}_{_t}", lambda s, d, q=_q, v=_v, m="tiled" if _big else "optimized": top(s, d, q, v, m), None if _t == "t4" else O.top_of(_q, _v))
-register("q_w5_heatmap", lambda s, d: measures.largest_gap(matrix.optimized(events(s, d), T1), matrix.naive(events(s, d), T1)), f"SELECT count(*) AS cells, 0.0::DOUBLE AS max_gap FROM ({M1})")
-CELLS = (1, 5, 10)
-register("q_w6_cells", lambda s, d: _stack([top(s, d, replace(T1, cell=0.0001 * n)).withColumn("factor", F.lit(n)) for n in CELLS]), " UNION ALL ".join(f"SELECT *, {n}::INT AS factor FROM ({O.top_of(replace(T1, cell=0.0001 * n), 'pie60')})" for n in CELLS))
-
-
-def _stack(parts: list[DataFrame]) -> DataFrame:
-    out = parts[0]
-    for p in parts[1:]:
-        out = out.unionByName(p)
-    return out
-
-
-MODELS = (("probabilistic", T1), ("full_coverage", FULL), ("center_line", LINE))
-register("q_w7_models", lambda s, d: _stack([measures.truth_error(top(s, d, q, "mix30"), carriers.spots(s), q).withColumn("model", F.lit(n)) for n, q in MODELS]))
-register("q_w8_grid", lambda s, d: _grid(s, d))
-
+# --- kinds of content, time and place ---------------------------------------------------------------------------------------
 
-def _grid(s, d, query=T4):
-    """Processed fields of view and the distance to the exact list, by clusters and rounds; one trace answers all rounds of a cluster count."""
-    fovs, exact, parts = events(s, d), _kept(top(s, d, query, method="exact")), []
-    for c in (1, 3, 6, 10):
-        o = replace(OPT, clusters=c, rule="none")
-        rows = _kept(sampler.trace(sampler.prepare(fovs, query, o), query, o))
-        for rounds in (5, 10, 15, 20):
-            at = rows.where(F.col("iter") == rounds)
-            found = sampler.merged(at.select("p", F.explode("top").alias("x")).select("x.cell_x", "x.cell_y", "x.ci_fixed", "p"), 5)
-            seen = at.agg(F.sum("seen").alias("processed"))
-            parts.append(measures.diff(exact, found, query).crossJoin(seen).select(F.lit(c).alias("clusters"), F.lit(rounds).alias("rounds"), "diff_m", "within", "processed"))
-    return _stack(parts)
-
-
-register("q_w9_trace", lambda s, d: _stack([_trace(s, d, q).select(F.lit(t).alias("region"), "cluster_id", "iter", F.round("d_max", 6).alias("d_max"), F.round("d_topk", 4).alias("d_topk")) for t, q in (("t2", T2), ("t4", T4))]))
-register("q_w11_overall", lambda s, d: _overall(s, d))
-
-
-def _overall(s, d):
-    """Clustered against single sampling at equal numbers of fields of view: summed distance and hits, by region and dataset."""
-    parts = []
-    for t, q in (("t1", T1), ("t2", T2), ("t3", T3), ("t4", T4)):
-        for v in fov.VARIANTS:
-            fovs, exact = events(s, d, v), _kept(top(s, d, q, v, "exact"))
-            found, stops = sampler.run(fovs, q, OPT)
-            n = matrix.candidates(fovs, q).count()
-            share = min((stops.agg(F.sum("seen")).first()[0] or 0) / max(n, 1), 1.0)
-            single = detect(fovs, q, "single_sample", fraction=share)
-            for name, df in (("clustered", found), ("single", single)):
-                parts.append(_kept(measures.diff(exact, df, q).select(F.lit(t).alias("region"), F.lit(v).alias("dataset"), F.lit(name).alias("method"), F.lit(round(share, 6)).alias("sample"), "diff_m", "within")))
-    return _stack(parts)
-
-
-register("q_w12_accuracy", lambda s, d: _overall(s, d).groupBy("region", "dataset", "method").agg(F.round(F.sum("within") / (5.0 * F.count("*")), 6).alias("share_found")))
 register("q_w13_range", lambda s, d: carriers.from_events(s, d).groupBy(F.width_bucket("r_m", F.lit(0.0), F.lit(700.0), F.lit(14)).alias("bucket")).agg(F.count("*").alias("n"), F.countDistinct("video_id").alias("videos")), f"SELECT floor(r_m / 50.0::DOUBLE)::BIGINT + 1 AS bucket, count(*) AS n, count(DISTINCT video_id) AS videos FROM ({FOV_E}) GROUP BY 1")
 
 
@@ -309,7 +242,7 @@ def _per_group_sql(unit: str, source: str) -> str:
 
 
 register("q_w17_weekly", lambda s, d: _per_group(s, d, "week", events), _per_group_sql("week", O.fov_with_mbr("pie60")))
-register("q_w17_yearly", lambda s, d: _per_group(s, d, "year", lambda s, d: fov.with_mbr(carriers.from_orders(s, d))), _per_group_sql("year", O.mbr(FOV_O)))
+register("q_w17_yearly", lambda s, d: _per_group(s, d, "year", lambda s, d: kept(fov.with_mbr(carriers.from_orders(s, d)))), _per_group_sql("year", O.mbr(FOV_O)))
 
 
 def _areas(s):
@@ -331,17 +264,100 @@ def _many_areas(s, d):
     return matrix.top_per_group(sums, "area_id", 3)
 
 
-register("q_w18_areas", _many_areas)
+def _many_areas_sql() -> str:
+    near = f"SELECT * FROM ({O.fov_with_mbr('pie60')}) f, {AREAS} WHERE {IN_AREA}"
+    a, c = T4.area, "0.0001::DOUBLE"
+    cell = lambda v, origin, f: f"{f}(({v} - {origin!r}::DOUBLE) / {c})::BIGINT"
+    limits = f"greatest(x0, {cell('a_min_lon', a.min_lon, 'ceil')}) AS x0, least(x1, {cell('a_max_lon', a.min_lon, 'floor')}) AS x1, greatest(y0, {cell('a_min_lat', a.min_lat, 'ceil')}) AS y0, least(y1, {cell('a_max_lat', a.min_lat, 'floor')}) AS y1"
+    sums = f"SELECT area_id, cell_x, cell_y, sum(ci_fixed)::BIGINT AS ci_fixed FROM ({O.pairs(near, T4, 'area_id', limits)}) GROUP BY ALL"
+    return f"SELECT area_id, rank, cell_x, cell_y, round(ci_fixed / 1e12::DOUBLE, 6) AS ci FROM (SELECT *, row_number() OVER (PARTITION BY area_id ORDER BY ci_fixed DESC, cell_y, cell_x) AS rank FROM ({sums})) WHERE rank <= 3"
+
+
+register("q_w18_areas", _many_areas, _many_areas_sql())
+
+# --- other latitudes ------------------------------------------------------------------------------------------------------
+
+#: Where the same events are laid out again: a centre, and a region of 80 by 80 cells around it.
+ELSEWHERE = {"48n": (48.0, 11.0), "34s": (-34.0, 151.0)}
+
+
+def _there(name: str, half: str = "t1") -> Query:
+    return Query(Area.around(*ELSEWHERE[name], REGIONS[half]))
+
+
+def _moved(s, d, name, variant="pie60"):
+    return events(s, d, variant, ELSEWHERE[name])
+
+
+for _p, _c in ELSEWHERE.items():
+    register(f"q_fov_mbr_{_p}", lambda s, d, p=_p: rounded(_moved(s, d, p, "mix30").select("fov_id", *BOX.split()), 9), f"SELECT fov_id, {', '.join(f'round({c}, 9) AS {c}' for c in BOX.split())} FROM ({O.fov_with_mbr('mix30', _c)})")
+    register(f"q_fovs_in_range_{_p}", lambda s, d, p=_p: retrieval.fovs_in_range(_moved(s, d, p, "mix30"), _there(p, "t2").area).select("fov_id", "t"), f"SELECT fov_id, t FROM ({O.in_range(O.fov_with_mbr('mix30', _c), _there(_p, 't2').area)})")
+    register(f"q_topk_naive_{_p}", lambda s, d, p=_p: detect(_moved(s, d, p, "mix30"), _there(p), "naive"), O.top(O.naive(O.in_range(O.fov_with_mbr("mix30", _c), _there(_p).area), _there(_p)), 5))
+    register(f"q_fov_covers_{_p}", lambda s, d, p=_p: _moved(s, d, p, "mix30").where(fov.sees(F.lit(ELSEWHERE[p][0]), F.lit(ELSEWHERE[p][1]))).select("fov_id", "alpha"), f"SELECT fov_id, alpha FROM (SELECT *, ({_c[1]!r}::DOUBLE - lon) * {O.OWN} AS dx, ({_c[0]!r}::DOUBLE - lat) * {O.MY} AS dy FROM ({O.fov_with_mbr('mix30', _c)})) WHERE sqrt(dx * dx + dy * dy) <= r_m AND (alpha >= 360 OR ({OFF}) <= alpha / 2)")
+    for _v in fov.VARIANTS:
+        register(f"q_topk_{_p}_{_v}", lambda s, d, p=_p, v=_v: detect(_moved(s, d, p, v), _there(p), "optimized"), O.top_of(_there(_p), _v, centre=_c))
+        register(f"q_topk_tiled_{_p}_{_v}", lambda s, d, p=_p, v=_v: detect(_moved(s, d, p, v), _there(p), "tiled"), O.top_of(_there(_p), _v, centre=_c))
+
+
+def _plane_error(s, d):
+    """The largest relative error of distances in the plane of the largest region, against great circles, by centre.
+
+    All cameras against all planted spots, which lie up to 0.15 degrees from the centre; pairs nearer than a metre are left out.
+    """
+    parts = []
+    for name, centre in {"10n": carriers.CENTRE, **ELSEWHERE}.items():
+        q = Query(Area.around(*centre, REGIONS["t4"]))
+        marks = s.createDataFrame([(i, centre[0] + a, centre[1] + b) for i, (a, b) in enumerate(carriers.SPOTS)], "mark_id long, mark_lat double, mark_lon double")
+        pairs = carriers.from_events(s, d, centre=centre).crossJoin(F.broadcast(marks))
+        dx, dy = (F.col("mark_lon") - F.col("lon")) * geo.east_scale(q.lat0), (F.col("mark_lat") - F.col("lat")) * geo.METRES_PER_DEGREE
+        plane, great = geo.distance(dx, dy), geo.haversine(F.col("lat"), F.col("lon"), F.col("mark_lat"), F.col("mark_lon"))
+        worst = pairs.select(plane.alias("plane"), great.alias("great")).where("great > 1").agg(F.max(F.abs(F.col("plane") / F.col("great") - 1)).alias("e"))
+        parts.append(worst.select(F.lit(name).alias("centre"), F.round("e", 6).alias("error"), (F.col("e") < 0.005).alias("below_half_percent")))
+    return stack(parts)
+
+
+def _plane_error_sql() -> str:
+    parts = []
+    for name, c in {"10n": carriers.CENTRE, **ELSEWHERE}.items():
+        marks = "(VALUES " + ", ".join(f"({c[0] + a!r}::DOUBLE, {c[1] + b!r}::DOUBLE)" for a, b in carriers.SPOTS) + ") AS marks(mark_lat, mark_lon)"
+        both = f"SELECT sqrt(pow((mark_lon - lon) * {O.mx(c[0])}, 2) + pow((mark_lat - lat) * {O.MY}, 2)) AS plane, {O.haversine('lat', 'lon', 'mark_lat', 'mark_lon')} AS great FROM ({O.fov_events('pie60', c)}), {marks}"
+        parts.append(f"SELECT '{name}' AS centre, round(max(abs(plane / great - 1)), 6) AS error, max(abs(plane / great - 1)) < 0.005 AS below_half_percent FROM ({both}) WHERE great > 1")
+    return " UNION ALL ".join(parts)
+
+
+register("q_plane_error", _plane_error, _plane_error_sql())
+
+
+def _meets_sql() -> str:
+    """Exact overlap of pie or disc and T0, written out for DuckDB from the geometry."""
+    a = T0.area
+    box = f"SELECT *, ({a.min_lon!r}::DOUBLE - lon) * {O.OWN} AS w, ({a.max_lon!r}::DOUBLE - lon) * {O.OWN} AS e, ({a.min_lat!r}::DOUBLE - lat) * {O.MY} AS s, ({a.max_lat!r}::DOUBLE - lat) * {O.MY} AS n FROM ({O.in_range(O.fov_with_mbr('mix30'), a)})"
+    off = lambda x, y: O.angle_diff(O.pmod360(f"degrees(atan2({x}, {y}))"), "theta")
+    corner = " OR ".join(f"(sqrt({x} * {x} + {y} * {y}) <= r_m AND {off(x, y)} <= alpha / 2)" for x in "we" for y in "sn")
+    arcs = [f"(abs({c}) <= r_m AND {sign}sqrt(greatest(r_m * r_m - {c} * {c}, 0)) BETWEEN {lo} AND {hi} AND {off(*((c, f'{sign}sqrt(greatest(r_m * r_m - {c} * {c}, 0))') if upright else (f'{sign}sqrt(greatest(r_m * r_m - {c} * {c}, 0))', c)))} <= alpha / 2)" for c, lo, hi, upright in (("w", "s", "n", True), ("e", "s", "n", True), ("s", "w", "e", False), ("n", "w", "e", False)) for sign in ("", "-")]
+    edge = lambda turn: f"greatest(0, least(w / sin(radians(theta {turn} alpha / 2)), e / sin(radians(theta {turn} alpha / 2))), least(s / cos(radians(theta {turn} alpha / 2)), n / cos(radians(theta {turn} alpha / 2)))) <= least(r_m, greatest(w / sin(radians(theta {turn} alpha / 2)), e / sin(radians(theta {turn} alpha / 2))), greatest(s / cos(radians(theta {turn} alpha / 2)), n / cos(radians(theta {turn} alpha / 2))))"
+    disc = "sqrt(pow(greatest(w, least(0, e)), 2) + pow(greatest(s, least(0, n)), 2)) <= r_m"
+    return f"SELECT fov_id FROM ({box}) WHERE CASE WHEN alpha >= 360 THEN {disc} ELSE (w <= 0 AND e >= 0 AND s <= 0 AND n >= 0) OR {corner} OR {' OR '.join(arcs)} OR ({edge('-')}) OR ({edge('+')}) END"
+
+
+register("q_fovs_refined", lambda s, d: retrieval.fovs_in_range(events(s, d, "mix30"), T0.area, refine=True).select("fov_id"), _meets_sql())
+
+
+def stack(parts: list[DataFrame]) -> DataFrame:
+    out = parts[0]
+    for p in parts[1:]:
+        out = out.unionByName(p)
+    return out
 
 
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
-    from . import surroundings  # noqa: F401  registers its own
+    from . import experiments, surroundings  # noqa: F401  register their own
 
     return dict(QUERIES)
 
 
 def oracle_sql() -> dict[str, str]:
-    from . import surroundings  # noqa: F401
+    from . import experiments, surroundings  # noqa: F401
 
     return dict(SQL)
 
