@@ -28,7 +28,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from . import wordhash as wh
-from .components import connected_components
+from .components import ONE_TASK_EDGES, connected_components
 from .storage import checkpointed, frugal
 
 
@@ -200,7 +200,7 @@ def _families(shared: DataFrame, known: DataFrame, s: Settings) -> DataFrame:
         settled = asked.where("not leads").join(judged.where("not far").select("a", "b"), ["a", "b"]).select("key", F.col("b").alias("doc_id"))
         rest = checkpointed(members.where("not leads").select("key", "doc_id").join(settled, ["key", "doc_id"], "left_anti"))
         if not rest.groupBy("key").count().where("count > 1").limit(1).count():
-            return checkpointed(connected_components(edges))
+            return checkpointed(connected_components(edges, one_task_edges=ONE_TASK_EDGES))
         leaders *= 16
 
 
@@ -373,13 +373,13 @@ def _links(families: DataFrame, known: DataFrame, s: Settings, asking: tuple[int
         if most is None and strays > widest:
             wide = placed.where(F.col("strays") > widest).select("doc_id", "family", "c", "stray")
             links = links.union(checkpointed(_verified(_rare_first_pairs(wide, known, s), known, s)))
-        components, placed = checkpointed(connected_components(links)), None
+        components, placed = checkpointed(connected_components(links, one_task_edges=ONE_TASK_EDGES)), None
         if most and strays <= most:
             break
     return components
 
 
-def near_duplicates(docs: DataFrame, settings: Settings = Settings(), asking: tuple[int, ...] = (64, 1024), chunk: int = 1000, widest: int = 4096) -> DataFrame:  # noqa: B008
+def near_duplicates(docs: DataFrame, settings: Settings = Settings(), asking: tuple[int, ...] = (64, 1024), chunk: int = 500, widest: int = 4096) -> DataFrame:  # noqa: B008
     """doc_id, n_shingles, component_id, kept, one row for each row of ``docs`` (doc_id, text).
 
     component_id is the least doc_id that links of similarity >= percent / 100 lead to; kept says that it is the row's own.
