@@ -2,6 +2,7 @@
 
 import math
 import random
+import time
 from dataclasses import replace
 
 import pytest
@@ -9,10 +10,10 @@ from pyspark.sql import functions as F
 
 from vistapoint import workloads as W
 from vistapoint.functions.intention import Model, useful_radius
-from vistapoint.operators import fov, matrix, retrieval, sampler, sampling
+from vistapoint.operators import clusters, fov, matrix, retrieval, sampler, sampling
 from vistapoint.operators.detect import ResultCache, detect
 from vistapoint.plans import stopping
-from vistapoint.plans.query import Area, GridSpec, Query
+from vistapoint.plans.query import Area, ClusterOptions, GridSpec, Query
 from vistapoint.sources import carriers
 from vistapoint.streaming import ingest, stateful
 
@@ -115,6 +116,27 @@ def test_videos_are_spread_over_batches(mix):
     assert all(max(v) - min(v) <= 1 for v in sizes.values())
 
 
+def test_advised_options():
+    assert ClusterOptions.advised(5).within_advice(5) and ClusterOptions.advised(4, threshold=0.2).threshold == 0.2
+    assert ClusterOptions().within_advice(5) and not ClusterOptions(clusters=20).within_advice(5) and not ClusterOptions(cluster_fraction=0.9).within_advice(5)
+
+
+def test_clusters_are_alike_on_the_driver_and_in_jobs(mix):
+    points = clusters.in_area(mix, W.T1)
+    a, b = clusters.kmeans_with_radii(points, 4), clusters.kmeans_with_radii(points, 4, driver_rows=3)
+    assert all(p == pytest.approx(q) for p, q in zip(a[0], b[0], strict=True)) and a[2] == b[2] == points.count()
+    for x, y in zip(a[1].orderBy("cluster_id").collect(), b[1].orderBy("cluster_id").collect(), strict=True):
+        assert (x.cluster_id, x.n) == (y.cluster_id, y.n) and x.rms_m == pytest.approx(y.rms_m)
+    assert clusters.kmeans_with_radii(points.where("false"), 4)[0] == []
+
+
+def test_library_k_means_on_a_sample_finds_the_same_places(mix):
+    points = clusters.in_area(mix, W.T4)
+    whole, part = clusters.kmeans_ml(points, 3), clusters.kmeans_ml(points, 3, sample=300)
+    assert len(whole) == len(part) == 3
+    assert all(min(math.dist(a, b) for b in whole) < 4_000 for a in part)
+
+
 def test_auto_says_how_it_answered(spark, mix, monkeypatch):
     assert {(r.method, r.sampled) for r in detect(mix, W.T1, "auto").collect()} == {("optimized", False)}
     monkeypatch.setattr("vistapoint.operators.detect.EXACT_CELLS", 10)
@@ -137,8 +159,10 @@ def test_latest_before_looks_back_any_time(spark):
 def test_late_rows_are_left_out_and_counted(spark, tmp_path):
     source = f"{tmp_path}/in"
     events = spark.read.parquet(f"{DIR}/events.parquet")
-    events.where("ts >= timestamp_ntz'2024-01-10'").coalesce(1).write.parquet(source)
-    events.where("ts < timestamp_ntz'2024-01-05'").coalesce(1).write.mode("append").parquet(source)
+    # Files are read in the order of their times; rows are late by the watermark that the batch before began with.
+    for part in ("ts >= timestamp_ntz'2024-01-20'", "ts >= timestamp_ntz'2024-01-10' and ts < timestamp_ntz'2024-01-20'", "ts < timestamp_ntz'2024-01-05'"):
+        events.where(part).coalesce(1).write.mode("append").parquet(source)
+        time.sleep(1.2)
     fovs = ingest.timed(carriers.events_to_fovs(ingest.event_stream(spark, source, 1)), "1 day")
     counts = fovs.groupBy(F.window("t", "1 day").alias("w")).agg(F.count("*").alias("n"))
     query = counts.writeStream.format("memory").queryName("late").outputMode("update").trigger(availableNow=True).option("checkpointLocation", f"{tmp_path}/ck").start()

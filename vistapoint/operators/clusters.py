@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+import numpy as np
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
@@ -11,6 +12,8 @@ from ..plans.query import Area, Query
 from .retrieval import candidates
 
 Centres = list[tuple[float, float]]
+#: Points that are clustered on the driver, 32 bytes each.
+DRIVER_ROWS = 200_000
 
 
 def positions(fovs: DataFrame, query: Query, features: str = "camera") -> DataFrame:
@@ -45,6 +48,37 @@ def kmeans(points: DataFrame, count: int, steps: int = 3, salt: str = "init") ->
     return centres
 
 
+def kmeans_with_radii(points: DataFrame, count: int, steps: int = 3, salt: str = "init", driver_rows: int | None = None) -> tuple[Centres, DataFrame | None, int]:
+    """(centres, ``radii`` of the points, number of points) of ``kmeans``; no radii without points.
+
+    Up to ``driver_rows`` points, two numbers each, are clustered on the driver in one job; more, by jobs. The steps are the same.
+    """
+    spark, most = points.sparkSession, DRIVER_ROWS if driver_rows is None else driver_rows
+    rows = points.select("px", "py", u01(salt, "fov_id").alias("u"), "fov_id").limit(most + 1).toArrow()
+    if rows.num_rows > most:
+        centres = kmeans(points, count, steps, salt)
+        return centres, radii(points, centres), points.count()
+    if not rows.num_rows:
+        return [], None, 0
+    px, py, u, ids = (rows.column(i).to_numpy() for i in range(4))
+    first = np.lexsort((ids, u))[:count]
+    cx, cy = px[first].copy(), py[first].copy()
+
+    def own() -> np.ndarray:
+        return ((px[:, None] - cx) * (px[:, None] - cx) + (py[:, None] - cy) * (py[:, None] - cy)).argmin(axis=1)
+
+    for _ in range(steps):
+        at = own()
+        n = np.bincount(at, minlength=len(cx))
+        sums = [np.bincount(at, v, minlength=len(cx)) for v in (px, py)]
+        cx, cy = (np.where(n > 0, s / np.maximum(n, 1), c) for s, c in zip(sums, (cx, cy), strict=True))
+    at = own()
+    n = np.bincount(at, minlength=len(cx))
+    square = np.bincount(at, (px - cx[at]) * (px - cx[at]) + (py - cy[at]) * (py - cy[at]), minlength=len(cx))
+    table = [(i, float(cx[i]), float(cy[i]), int(n[i]), float(np.sqrt(square[i] / n[i]))) for i in range(len(cx)) if n[i]]
+    return list(zip(cx.tolist(), cy.tolist(), strict=True)), spark.createDataFrame(table, "cluster_id int, cx double, cy double, n long, rms_m double"), rows.num_rows
+
+
 def kmeans_ml(points: DataFrame, count: int, max_iter: int = 20, seed: int = 1, sample: int = 5_000_000) -> Centres:
     """k-means|| by Spark's machine-learning library, on at most ``sample`` hashed rows, since only the centres are wanted."""
     from pyspark.ml.clustering import KMeans
@@ -93,4 +127,4 @@ def in_area(fovs: DataFrame, query: Query) -> DataFrame:
     return positions(candidates(fovs, query), query)
 
 
-__all__ = ["Area", "Centres", "first_centres", "in_area", "kmeans", "kmeans_ml", "lloyd_step", "members", "nearest", "positions", "radii", "rectangles"]
+__all__ = ["Area", "Centres", "first_centres", "in_area", "kmeans", "kmeans_ml", "kmeans_with_radii", "lloyd_step", "members", "nearest", "positions", "radii", "rectangles"]

@@ -7,8 +7,10 @@ each cluster would have stopped (for sweeps and as a reference); ``per_cluster_t
 
 from __future__ import annotations
 
-from collections.abc import Iterator
+import math
+from collections.abc import Callable, Iterator
 from dataclasses import dataclass
+from typing import Any
 
 import numpy as np
 import pyarrow as pa
@@ -60,18 +62,18 @@ def prepare(fovs: DataFrame, query: Query, options: ClusterOptions = ClusterOpti
     points = clusters.in_area(fovs, query).select("fov_id", *extra, *SHAPE[:5], *box, "px", "py", (u01("cluster" + options.salt, "fov_id") < options.cluster_fraction).alias("in_sample"))
     points = kept(points)
     sample = points.where("in_sample")
-    centres = clusters.kmeans(sample, options.clusters, options.lloyd_steps, "init" + options.salt)
+    centres, own_radii, drawn = clusters.kmeans_with_radii(sample, options.clusters, options.lloyd_steps, "init" + options.salt)
     if not centres:
         empty = clusters.rectangles(clusters.radii(points, [(0.0, 0.0)]), query).where("false")
         return Prepared(empty, clusters.members(points, empty).withColumn("batch", F.lit(1)), {}, {})
-    found = clusters.rectangles(clusters.radii(sample, centres), query)
+    found = clusters.rectangles(own_radii, query)
     rows = found.collect()  # as many as clusters at most
     rects = fovs.sparkSession.createDataFrame(rows, found.schema)
     if options.membership == "range":
         own = clusters.members(points, rects)
     else:
         own = points.withColumn("cluster_id", clusters.nearest(centres)).join(F.broadcast(rects.select("cluster_id", *BOUNDS)), "cluster_id")
-    parts = -(-points.count() // ROWS_PER_SORT)
+    parts = math.ceil(drawn / options.cluster_fraction / ROWS_PER_SORT)  # any number of parts gives the same deal
     dealt = kept(sampling.batches(own, options.batches, "cluster_id", "batch" + options.salt, options.sampler, parts))
     counts = {(r.cluster_id, r.batch): r["count"] for r in dealt.groupBy("cluster_id", "batch").count().collect()}
     return Prepared(rects, dealt, counts, {r.cluster_id: (r.cx0, r.cx1, r.cy0, r.cy1) for r in rows})
@@ -145,6 +147,9 @@ def prefix(fovs: DataFrame, query: Query, options: ClusterOptions = ClusterOptio
     return merged(lists_at_stop(rows), query.k), rows
 
 
+_Holds = tuple[Callable[..., Any], Callable[..., Any]]
+
+
 @dataclass
 class _Progress:
     """One cluster's way through its rounds, as tasks and the driver keep it."""
@@ -155,16 +160,21 @@ class _Progress:
     rounds: int = 0
     top: list[tuple[int, int, int]] | None = None
 
-    def step(self, number: int, more: int, whole: int, top: list[tuple[int, int, int]], query: Query, options: ClusterOptions) -> bool:
+    def step(self, number: int, more: int, whole: int, top: list[tuple[int, int, int]], query: Query, options: ClusterOptions, holds: _Holds) -> bool:
         """Close a round that has seen ``more`` fields of view; whether the rule says stop."""
         before, p_before, top_before = self.now, self.p, self.top
         self.seen, self.rounds, self.top = self.seen + more, number, top
         self.p, self.now = self.seen / whole, top[0][2] if top else 0
         if top_before is None or before <= 0 or self.now <= 0 or number < options.min_iterations:
             return False
-        d_max = stopping.MEASURES[options.measure](self.now, before, self.p, p_before, abs, max)
+        measure, rule = holds
         d_topk = greedy_total([t[:2] for t in top], [t[:2] for t in top_before], *cell_metres(query))
-        return bool(stopping.RULES[options.rule](options, d_max, d_topk))
+        return bool(rule(options, measure(self.now, before, self.p, p_before, abs, max), d_topk))
+
+
+def _holds(options: ClusterOptions) -> _Holds:
+    """The measure and the rule themselves, looked up on the driver: a task's worker knows none that the caller has added."""
+    return stopping.MEASURES[options.measure], stopping.RULES[options.rule]
 
 
 def per_cluster_task(fovs: DataFrame, query: Query, options: ClusterOptions = ClusterOptions(), ready: Prepared | None = None) -> tuple[DataFrame, DataFrame]:  # noqa: B008
@@ -175,7 +185,7 @@ def per_cluster_task(fovs: DataFrame, query: Query, options: ClusterOptions = Cl
     ready = ready or prepare(fovs, query, options)
     if not _fits_tasks(ready):
         raise ValueError("a cluster is too large for one task; use driver_loop")
-    sizes, batch_sizes, boxes, rounds = ready.sizes, ready.batch_sizes, ready.boxes, options.rounds
+    sizes, batch_sizes, boxes, rounds, holds = ready.sizes, ready.batch_sizes, ready.boxes, options.rounds, _holds(options)
     rows = with_span(ready.members.where(F.col("batch") <= rounds), query, clip=True).select(F.col("cluster_id").cast("long"), F.col("batch").cast("long"), *SHAPE)
     laid = rows.repartition(max(len(sizes), 1), "cluster_id").sortWithinPartitions("cluster_id", "batch")
 
@@ -190,7 +200,7 @@ def per_cluster_task(fovs: DataFrame, query: Query, options: ClusterOptions = Cl
                 if (cluster, number) not in batch_sizes:
                     stopped = True
                     return
-                stopped = state.step(number, batch_sizes[cluster, number], sizes[cluster], largest_cells(block, boxes[cluster][0], boxes[cluster][2], query.k), query, options)
+                stopped = state.step(number, batch_sizes[cluster, number], sizes[cluster], largest_cells(block, boxes[cluster][0], boxes[cluster][2], query.k), query, options, holds)
 
         def listed() -> pa.RecordBatch:
             cells = state.top or [(None, None, 0)]
@@ -248,7 +258,7 @@ def driver_loop(fovs: DataFrame, query: Query, options: ClusterOptions = Cluster
         tops: dict[int, list] = {c: [] for c in active}
         for r in total.withColumn("rank", F.row_number().over(order)).where(F.col("rank") <= query.k).orderBy("cluster_id", "rank").collect():
             tops[r.cluster_id].append((r.cell_x, r.cell_y, r.ci_fixed))
-        active = [c for c in active if not states[c].step(i, counts[c, i], sizes[c], tops[c], query, options)]
+        active = [c for c in active if not states[c].step(i, counts[c, i], sizes[c], tops[c], query, options, _holds(options))]
     cells = [(x, y, v, s.p) for s in states.values() for x, y, v in s.top or ()]
     stops = spark.createDataFrame([(c, s.rounds, float(s.p), s.seen) for c, s in sorted(states.items())], "cluster_id long, iter long, p double, seen long")
     return merged(spark.createDataFrame(cells, "cell_x long, cell_y long, ci_fixed long, p double"), query.k), stops

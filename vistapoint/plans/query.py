@@ -115,6 +115,15 @@ class ClusterOptions:
         if not (0 < self.cluster_fraction <= 1 and 0 < self.batch_fraction <= 1 and self.clusters >= 1) or self.membership not in ("range", "kmeans"):
             raise ValueError("fractions lie in (0, 1] and there is at least one cluster")
 
+    @classmethod
+    def advised(cls, k: int, **options) -> ClusterOptions:
+        """Options for a list of k places: clusters between k and 2k, half of the fields of view for clustering."""
+        return cls(**{"clusters": max(k + k // 2, 1), **options})
+
+    def within_advice(self, k: int) -> bool:
+        """Whether clusters and the cluster sample lie in the recommended ranges for a list of k places."""
+        return k <= self.clusters <= 2 * k and 0.2 <= self.cluster_fraction <= 0.5
+
     @property
     def batches(self) -> int:
         return math.ceil(1 / self.batch_fraction - 1e-9)
