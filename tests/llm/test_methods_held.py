@@ -158,8 +158,8 @@ def brute_leaks(docs, items, similarity=0.8):
             whole = sum(weight[g] for g in wanted)
             if not own or sum(weight[g] for g in wanted & present) < similarity * whole - 1e-9:
                 continue
-            for s in range(max(len(words), 1)):
-                there = runs(words[s : s + len(own)])
+            for s in range(1 - len(own), len(words)):
+                there = runs(words[max(s, 0) : s + len(own)])
                 score = sum(weight[g] for g in wanted & set(there)) / (whole + foreign * sum(g not in wanted for g in there))
                 if round(score, 9) >= similarity:
                     out.add((d, i))
@@ -199,7 +199,7 @@ def edited(seed):
             own = own + [word() for _ in range(3)] + own
         elif kind == 7:
             own = [word() for _ in range(len(own))]
-        docs.append((n, " ".join([word() for _ in range(rng.randint(0, 60))] + own + [word() for _ in range(rng.randint(0, 60))])))
+        docs.append((n, " ".join([word() for _ in range(rng.choice((0, rng.randint(0, 60))))] + own + [word() for _ in range(rng.randint(0, 60))])))
     return docs, items
 
 

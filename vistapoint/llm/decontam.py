@@ -4,7 +4,8 @@
    ones that together weigh more than what may be missing. One pass over all texts finds the documents that hold any.
 2. In these, windows of the item's size are cut at every place where a shared shingle begins and enough shared weight
    follows. That is enough: a window that begins elsewhere can be moved on to its first shared shingle, by which it loses
-   only places without shared shingles and gains as many at most, so it is not less similar.
+   only places without shared shingles and gains as many at most, so it is not less similar. Windows that stick out over
+   the text's beginning are cut where a shared shingle ends, which in the same way loses nothing.
 3. Every window and every item gets a 64-bit SimHash of its words and word pairs. The fingerprint is cut into blocks; two
    fingerprints within the radius agree, up to radius // blocks bits, in one block. Each item is entered under every value
    so near to its own in a block, so equal block values find all items within the radius of a window, whichever item it was cut for.
@@ -125,18 +126,23 @@ def windows_of(keyed: DataFrame, items: DataFrame, size: int, similarity: float)
         ahead = F.slice("at", i + 1, reach + 1)
         return F.aggregate(ahead, F.lit(0.0), lambda s, y: s + F.when(y["place"] <= x["place"] + reach, y["w"]).otherwise(0.0))
 
-    begins = F.filter(F.transform("at", lambda x, i: F.when(follows(x, i) >= F.col("whole") * similarity - SLACK, x["place"])), lambda x: x.isNotNull())
-    starts = lists.select("doc_id", "key", "n", F.explode(begins).alias("start")).distinct()
+    least = F.col("whole") * similarity - SLACK
+    piece = lambda start, length: F.struct(start.cast("int").alias("start"), length.cast("int").alias("length"))
+    inside = F.transform("at", lambda x, i: F.when(follows(x, i) >= least, piece(x["place"], F.col("n"))))
+    before = lambda i: F.aggregate(F.slice("at", 1, i + 1), F.lit(0.0), lambda s, y: s + y["w"])
+    heads = F.transform(F.slice("at", 1, F.col("n")), lambda x, i: F.when((x["place"] + size < F.col("n")) & (before(i) >= least), piece(F.lit(0), x["place"] + size)))
+    pieces = F.filter(F.concat(inside, heads), lambda x: x.isNotNull())
+    starts = lists.select("doc_id", "key", "n", F.explode(pieces).alias("piece")).select("doc_id", "key", "n", "piece.start", "piece.length").distinct()
     starts = starts.withColumnsRenamed({"doc_id": "own", "key": "own_key"})
     cut = found.join(starts, (F.col("key") == F.col("own_key")) & F.col("doc_id").eqNullSafe(F.col("own")))
-    return cut.select("doc_id", "key", "start", "n", F.slice("words", F.col("start") + 1, F.col("n")).alias("words"))
+    return cut.select("doc_id", "key", "start", "n", F.slice("words", F.col("start") + 1, F.col("length")).alias("words"))
 
 
 def leaks(docs: DataFrame, benchmark: DataFrame, size: int = SHINGLE, similarity: float = SIMILARITY, radius: int = RADIUS, blocks: int = BLOCKS) -> DataFrame:
     """doc_id, item_id, start (word), n_words, distance (bits), similarity: the best window of each document for each leaked item.
 
     docs: doc_id, text; benchmark: item_id, text. Null, empty and wordless texts leak nothing. Windows are clipped at a
-    document's end. Repeated rows give one row. A null doc_id is reported as such. Items of fewer than ``size`` words
+    document's ends. Repeated rows give one row. A null doc_id is reported as such. Items of fewer than ``size`` words
     match only documents that consist of those words. Further columns are ignored; an empty table on either side gives no rows.
     """
     if 64 % blocks or radius < 0 or not 0 < similarity <= 1:
