@@ -178,5 +178,6 @@ def leaks(docs: DataFrame, benchmark: DataFrame, size: int = SHINGLE, similarity
 
 def decontaminate(docs: DataFrame, benchmark: DataFrame, **settings) -> DataFrame:
     """``docs`` without those that leak an item; rows and columns are otherwise as they were. A null doc_id goes if any null-id text leaks."""
-    found = leaks(docs, benchmark, **settings).select(F.col("doc_id").alias("__leaks")).distinct()
-    return docs.join(found, docs["doc_id"].eqNullSafe(found["__leaks"]), "left_anti")
+    found = checkpointed(leaks(docs, benchmark, **settings).select(F.col("doc_id").alias("__leaks")).distinct())
+    few = found.limit(BROADCAST_DOCS + 1).count() <= BROADCAST_DOCS
+    return docs.join(F.broadcast(found) if few else found, docs["doc_id"].eqNullSafe(found["__leaks"]), "left_anti")
