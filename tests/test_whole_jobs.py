@@ -43,6 +43,15 @@ def test_clusters_beyond_one_task_are_answered(spark, monkeypatch):
     assert listed and [tuple(r) for r in W.queries()["q_clis_topk"](spark, DIR).collect()] == listed
 
 
+def test_areas_are_counted_without_broadcasting_fields_of_view(spark):
+    df = W.queries()["q_areas_outer"](spark, DIR)
+    assert "BroadcastNestedLoopJoin BuildRight, LeftOuter" not in df._jdf.queryExecution().executedPlan().toString()
+    db = duckdb.connect()
+    db.execute(f"create view events as select * from '{DIR}/events.parquet'")
+    got = {r.area_id: r.n for r in df.collect()}
+    assert got == dict(db.execute(f"select area_id, n from ({W.oracle_sql()['q_areas_outer']})").fetchall()) and got[99] == 0
+
+
 class Stopped(Exception):
     pass
 
