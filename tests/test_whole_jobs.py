@@ -7,7 +7,7 @@ import pytest
 
 from vistapoint import experiments as X
 from vistapoint import workloads as W
-from vistapoint.operators import sampler
+from vistapoint.operators import matrix, sampler
 from vistapoint.operators.detect import detect
 
 DIR = "/root/testdata/sf0.001"
@@ -52,6 +52,17 @@ def test_areas_are_counted_without_broadcasting_fields_of_view(spark):
     assert got == dict(db.execute(f"select area_id, n from ({W.oracle_sql()['q_areas_outer']})").fetchall()) and got[99] == 0
 
 
+def test_naive_takes_any_number_of_fields_of_view(spark, monkeypatch):
+    as_dict = lambda m: {(r.cell_x, r.cell_y): r.ci_fixed for r in m.collect()}
+    fovs = W.events(spark, DIR, "mix30")
+    many = W.kept(fovs.crossJoin(spark.range(2_100).select()))
+    assert matrix.candidates(many, W.T0).count() > 200_000
+    once = as_dict(matrix.naive(fovs, W.T0))
+    assert once and as_dict(matrix.naive(many, W.T0)) == {k: 2_100 * v for k, v in once.items()}
+    monkeypatch.setattr(matrix, "NAIVE_CELLS", 10)
+    assert as_dict(matrix.naive(fovs, W.T0)) == once == as_dict(matrix.optimized(fovs, W.T0))
+
+
 class Stopped(Exception):
     pass
 
