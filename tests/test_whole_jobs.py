@@ -55,14 +55,20 @@ def test_areas_are_counted_without_broadcasting_fields_of_view(spark):
 def test_naive_takes_any_number_of_fields_of_view(spark, monkeypatch):
     as_dict = lambda m: {(r.cell_x, r.cell_y): r.ci_fixed for r in m.collect()}
     fovs = W.events(spark, DIR, "mix30")
-    many = W.kept(fovs.crossJoin(spark.range(2_100).select()))
+    many = W.kept(fovs.crossJoin(spark.range(700).select()))
     assert matrix.candidates(many, W.T0).count() > 200_000
     once = as_dict(matrix.naive(fovs, W.T0))
-    assert once and as_dict(matrix.naive(many, W.T0)) == {k: 2_100 * v for k, v in once.items()}
+    assert once and as_dict(matrix.naive(many, W.T0)) == {k: 700 * v for k, v in once.items()}
     monkeypatch.setattr(matrix, "NAIVE_CELLS", 10)
     assert as_dict(matrix.naive(fovs, W.T0)) == once == as_dict(matrix.optimized(fovs, W.T0))
 
 
+def test_boxes_of_some_cells_are_those_of_all(spark):
+    fovs, some = W.events(spark, DIR, "mix30"), W.kept(matrix.cells(spark, W.T1.grid).where("(cell_x + cell_y) % 7 = 0"))
+    few = {(r.cell_x, r.cell_y): r.ci_fixed for r in matrix.optimized(fovs, W.T1, cells_of=some).collect()}
+    assert few and few == {(r.cell_x, r.cell_y): r.ci_fixed for r in matrix.optimized(fovs, W.T1).collect() if (r.cell_x + r.cell_y) % 7 == 0}
+
+
 class Stopped(Exception):
     pass
 
