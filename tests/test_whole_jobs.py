@@ -69,6 +69,12 @@ def test_boxes_of_some_cells_are_those_of_all(spark):
     assert few and few == {(r.cell_x, r.cell_y): r.ci_fixed for r in matrix.optimized(fovs, W.T1).collect() if (r.cell_x + r.cell_y) % 7 == 0}
 
 
+def test_auto_names_the_method_and_not_its_physical_form(spark, monkeypatch):
+    small = [tuple(r) for r in W.queries()["q_auto_small"](spark, DIR).collect()]
+    monkeypatch.setattr(matrix, "plan", lambda *a: "tiled")
+    assert small and [tuple(r) for r in W.queries()["q_auto_small"](spark, DIR).collect()] == small
+
+
 class Stopped(Exception):
     pass
 
