@@ -9,6 +9,7 @@ from vistapoint import experiments as X
 from vistapoint import workloads as W
 from vistapoint.operators import matrix, sampler
 from vistapoint.operators.detect import detect
+from vistapoint.sources import synthetic
 
 DIR = "/root/testdata/sf0.001"
 
@@ -75,6 +76,15 @@ def test_auto_names_the_method_and_not_its_physical_form(spark, monkeypatch):
     assert small and [tuple(r) for r in W.queries()["q_auto_small"](spark, DIR).collect()] == small
 
 
+def test_made_up_fields_of_view_are_those_of_the_events(spark):
+    events = spark.read.parquet(f"{DIR}/events.parquet")
+    got = {r.fov_id: tuple(r) for r in W.queries()["q_source_synthetic"](spark, DIR).collect()}
+    assert {k: v[1] for k, v in got.items()} == {r.event_id: r.user_id for r in events.collect()} and len(got) == events.count()
+    spark.dataSource.register(synthetic.SyntheticFovs)
+    made = spark.read.format("synthetic_fov").option("rows", 50).load().collect()
+    assert len(made) == 50 and all(got[r.fov_id][2:] == tuple(r)[2:] for r in made if r.fov_id in got) and made[0].fov_id in got
+
+
 class Stopped(Exception):
     pass
 
