@@ -1,5 +1,7 @@
 """Forms of input that operators once passed over."""
 
+import tracemalloc
+
 import pytest
 
 from vistapoint.llm import html_blocks, urls
@@ -48,3 +50,26 @@ def test_furniture_stays_out(opening):
     tag = opening[1:].split(">")[0].split()[0]
     page = f"<article><p>{TEXT}</p><p>{TEXT}</p></article>{opening}<p>{TEXT}</p></{tag}>"
     assert html_blocks.main_text(page, html_blocks.trained_tree()) == f"{TEXT}\n{TEXT}"
+
+
+def test_packing_is_the_same_however_few_rows_are_strings_at_once(spark, monkeypatch):
+    from vistapoint.llm import packing
+
+    docs = spark.createDataFrame([(i, "word " * (37 * i % 900) if i % 9 else None) for i in range(250)], "doc_id long, text string").coalesce(1)
+    small = sorted(map(tuple, packing.pack(docs).collect()))
+    monkeypatch.setattr(packing, "ROWS_AT_ONCE", 10_000)
+    assert packing.ROWS_AT_ONCE != 100 and len({r[0] for r in small}) == 250 and sorted(map(tuple, packing.pack(docs).collect())) == small
+
+
+def test_a_word_memory_stays_below_its_bound_in_bytes():
+    from vistapoint.llm import tokens
+
+    tracemalloc.start()
+    try:
+        encoder = tokens.WordEncoder(tokens.default_tokenizer())
+        before = tracemalloc.get_traced_memory()[0]
+        for i in range(0, 800_000, 100):
+            encoder.encode(" ".join(f"w{j}" for j in range(i, i + 100)))
+        assert tracemalloc.get_traced_memory()[0] - before < 90e6 and len(encoder.young) + len(encoder.old) > 100_000
+    finally:
+        tracemalloc.stop()

@@ -24,6 +24,8 @@ from .tokens import default_tokenizer, encoder
 TIERS = (256, 512, 1024, 2048)
 BLOCK_TOKENS = 2_000_000
 STEP_TOKENS = 16_384
+#: Rows of an Arrow batch whose texts are Python strings at once.
+ROWS_AT_ONCE = 100
 #: Sequence ids of one partition begin at its number times this.
 SEQUENCES_PER_PARTITION = 1 << 36
 
@@ -173,8 +175,14 @@ def pack(
                 del ids[doc], names[doc]
             held = sum(len(x) // 4 for x in ids.values())
 
+        def rows(batch: pa.RecordBatch) -> Iterator[tuple]:
+            """The rows of a batch, of which few at a time are Python strings."""
+            for at in range(0, batch.num_rows, ROWS_AT_ONCE):
+                some = batch.slice(at, ROWS_AT_ONCE)
+                yield from zip(some.column(0).to_pylist(), some.column(1).to_pylist(), strict=True)
+
         for batch in batches:
-            for name, text in zip(batch.column(0).to_pylist(), batch.column(1).to_pylist(), strict=True):
+            for name, text in rows(batch):
                 encoded = (encode(text) if text else b"") + end
                 n = len(encoded) // 4
                 ids[count], names[count] = encoded, name

@@ -14,7 +14,7 @@ from pyspark.sql import functions as F
 from .storage import frugal
 
 #: Words that an encoder remembers; twice as many at most are held at once.
-REMEMBERED_WORDS = 400_000
+REMEMBERED_WORDS = 150_000
 _ODD_SPACE = re.compile("[\x1c-\x1f\x85\xa0 ᠎ -​    　﻿]")
 #: Words with other characters than Latin letters, digits and signs below U+0180, or with what may begin a special token.
 _NOT_PLAIN = re.compile("[^!-~¡-įı-ſ]|<\\|")
