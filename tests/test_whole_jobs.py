@@ -1,5 +1,6 @@
 """Queries that once did a part of their job only, held against the whole."""
 
+import threading
 from dataclasses import replace
 
 import duckdb
@@ -9,6 +10,7 @@ from vistapoint import experiments as X
 from vistapoint import workloads as W
 from vistapoint.operators import matrix, sampler
 from vistapoint.operators.detect import detect
+from vistapoint.session import side_by_side
 from vistapoint.sources import synthetic
 
 DIR = "/root/testdata/sf0.001"
@@ -114,3 +116,38 @@ def test_overall_covers_regions_and_datasets(spark, monkeypatch):
     monkeypatch.setattr(X.measures, "diff", lambda *a: spark.range(1).selectExpr("0.0D as diff_m", "5L as within"))
     got = {(r.region, r.dataset, r.method) for r in W.queries()["q_w12_accuracy"](spark, DIR).collect()}
     assert got == {(t, v, m) for t in ("t1", "t2", "t3", "t4") for v in W.fov.VARIANTS for m in ("clustered", "single")}
+
+
+def test_overall_runs_its_regions_side_by_side(spark, monkeypatch):
+    met, asked = threading.Barrier(2), []
+
+    def meeting(fovs, query, options):
+        asked.append(query)
+        met.wait(60)
+        raise Stopped
+
+    monkeypatch.setattr(sampler, "prepare", meeting)
+    monkeypatch.setattr(X, "detect", lambda *a, **b: spark.range(0))
+    with pytest.raises(Stopped):
+        W.queries()["q_w11_overall"](spark, DIR)
+    assert len(asked) >= 2 and asked[0] == W.T4
+
+
+def test_side_by_side_keeps_order_and_the_job_group(spark):
+    spark.sparkContext.setJobGroup("all", "of them")
+    got = side_by_side(spark, lambda i: (i, spark.range(i).count(), spark.sparkContext.getLocalProperty("spark.jobGroup.id")), range(5), 3)
+    assert got == [(i, i, "all") for i in range(5)]
+
+
+def test_single_samples_of_many_pairs_are_summed_in_blocks(spark, monkeypatch):
+    fovs, taken = W.events(spark, DIR, "mix30"), []
+    small = [tuple(r) for r in detect(fovs, W.T1, "single_sample", fraction=0.5).collect()]
+    tiled = matrix.tiled
+    monkeypatch.setattr(matrix, "tiled", lambda *a, **b: taken.append(a) or tiled(*a, **b))
+    monkeypatch.setattr(matrix, "plan", lambda *a: "tiled")
+    assert small and [tuple(r) for r in detect(fovs, W.T1, "single_sample", fraction=0.5).collect()] == small and taken
+
+
+def test_little_work_takes_few_tasks(spark):
+    few = matrix.dense(matrix.candidates(W.events(spark, DIR), W.T1), W.T1, tasks=64)
+    assert "REPARTITION_BY_NUM, [plan_id" in (text := few._jdf.queryExecution().executedPlan().toString()) and ", 64), REPARTITION" not in text
