@@ -73,3 +73,18 @@ def test_a_word_memory_stays_below_its_bound_in_bytes():
         assert tracemalloc.get_traced_memory()[0] - before < 90e6 and len(encoder.young) + len(encoder.old) > 100_000
     finally:
         tracemalloc.stop()
+
+
+def test_letters_are_remembered_once_and_encoded_as_the_tokenizer_does():
+    from array import array
+
+    from vistapoint.llm import tokens
+
+    encoder = tokens.WordEncoder(tokens.default_tokenizer(), 50)
+    words = ["house", "House", "house,", "HOUSE!", "été", "Été.", "ªº", "straße", "don't", "x''s", "a1b2", "naïve7", "<|x", "a<|b", "İx", "ŉa", "\x7fa", "é\x00", "中文", "é", "'", "7", "é'", "Été's"]
+    assert all(encoder.encode(w) == array("I", encoder.tokenizer.encode(w, add_special_tokens=False).ids).tobytes() for w in words * 3)
+    fresh = tokens.WordEncoder(tokens.default_tokenizer())
+    fresh.encode("House, été")
+    assert "house" in fresh.young and "house" not in fresh.parts and "été" not in fresh.parts
+    text = " ".join(f"{w}{i % 60}" if i % 3 else w for i, w in enumerate(words * 40))
+    assert encoder.encode(text) == array("I", encoder.tokenizer.encode(text, add_special_tokens=False).ids).tobytes()

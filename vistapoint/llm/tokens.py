@@ -14,7 +14,7 @@ from pyspark.sql import functions as F
 from .storage import frugal
 
 #: Words that an encoder remembers; twice as many at most are held at once.
-REMEMBERED_WORDS = 150_000
+REMEMBERED_WORDS = 250_000
 _ODD_SPACE = re.compile("[\x1c-\x1f\x85\xa0 ᠎ -​    　﻿]")
 #: Words with other characters than Latin letters, digits and signs below U+0180, or with what may begin a special token.
 _NOT_PLAIN = re.compile("[^!-~¡-įı-ſ]|<\\|")
@@ -31,10 +31,10 @@ def default_tokenizer() -> str:
 class WordEncoder:
     """Ids of texts under a lower-casing byte-level BPE whose pre-tokens never span white space.
 
-    Each word is encoded once and remembered, and so is each pre-token inside words. Words of plain Latin letters are
-    split here and go straight to the BPE model; all others go through the whole tokenizer, and so do whole texts with
-    white space that Python and the tokenizer may see differently. Memory is bounded: words live in two generations,
-    the older of which is dropped when the younger is full.
+    Each word is encoded once and remembered, and so is each pre-token inside words; letters that are both are remembered
+    once. Words of plain Latin letters are split here and go straight to the BPE model; all others go through the whole
+    tokenizer, and so do whole texts with white space that Python and the tokenizer may see differently. Memory is bounded:
+    words live in two generations, the older of which is dropped when the younger is full.
     """
 
     def __init__(self, path: str, remembered: int = REMEMBERED_WORDS) -> None:
@@ -61,28 +61,32 @@ class WordEncoder:
     def _whole(self, text: str) -> bytes:
         return array("I", self.tokenizer.encode(text, add_special_tokens=False).ids).tobytes()
 
-    def _part(self, part: str) -> bytes:
+    def _made(self, part: str) -> bytes:
+        """The ids of a lower-case pre-token, by the model."""
         bytes_shown = part if part.isascii() and part.isprintable() else part.encode().decode("latin-1").translate(self.shown)
-        ids = array("I", [t.id for t in self.model.tokenize(bytes_shown)]).tobytes()
+        return array("I", [t.id for t in self.model.tokenize(bytes_shown)]).tobytes()
+
+    def _part(self, part: str) -> bytes:
+        ids = self._made(part)
         if len(self.parts) >= self.remembered:
             self.parts.clear()
         self.parts[part] = ids
         return ids
 
     def _word(self, word: str) -> bytes:
-        if word.isascii():
-            # Most words are letters, or letters and one sign.
-            low = word.lower()
-            get, make = self.parts.get, self._part
-            if low.isalpha():
-                return get(low) or make(low)
-            core, sign = low[:-1], low[-1]
-            if core.isalpha() and "!" <= sign <= "~":
-                return (get(core) or make(core)) + (get(sign) or make(sign))
-        if _NOT_PLAIN.search(word):
+        ascii_only = word.isascii()
+        if not ascii_only and _NOT_PLAIN.search(word):
             return self._whole(word)
+        # Most words are letters, or letters and one sign. Lower-case letters are a pre-token and a word, remembered as a word only.
         low = word.lower()
+        if low.isalpha():
+            return self._made(low) if low == word else self.young[low]
         get, make = self.parts.get, self._part
+        core, sign = low[:-1], low[-1]
+        if core.isalpha() and "!" <= sign <= "~":
+            return self.young[core] + (get(sign) or make(sign))
+        if ascii_only and _NOT_PLAIN.search(word):
+            return self._whole(word)
         return b"".join([get(p) or make(p) for p in (self.split_ascii if low.isascii() else self.split)(low)])
 
     def encode(self, text: str) -> bytes:
