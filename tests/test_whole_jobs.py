@@ -66,6 +66,46 @@ def test_naive_takes_any_number_of_fields_of_view(spark, monkeypatch):
     assert as_dict(matrix.naive(fovs, W.T0)) == once == as_dict(matrix.optimized(fovs, W.T0))
 
 
+def test_naive_meets_large_grids_block_by_block(spark, monkeypatch):
+    as_dict = lambda m: {(r.cell_x, r.cell_y): r.ci_fixed for r in m.collect()}
+    fovs = W.events(spark, DIR, "mix30")
+    some = W.kept(matrix.cells(spark, W.T1.grid).where("(cell_x + cell_y) % 7 = 0"))
+    pairwise = {q: as_dict(matrix.naive(fovs, q)) for q in (W.T1, W.FULL, W.LINE)}
+    monkeypatch.setattr(matrix, "NAIVE_CELLS", 10)
+    for sides in ((64, 8), (16, 4, 2), (3,), (200,)):
+        monkeypatch.setattr(matrix, "BLOCKS", sides)
+        assert as_dict(matrix.naive(fovs, W.T1)) == pairwise[W.T1], sides
+    assert as_dict(matrix.naive(fovs, W.T1, cells_of=some)) == {k: v for k, v in pairwise[W.T1].items() if sum(k) % 7 == 0}
+    assert all(v and as_dict(matrix.naive(fovs, q)) == v for q, v in pairwise.items())
+    assert "CartesianProduct" not in matrix.naive(fovs, W.T3)._jdf.queryExecution().executedPlan().toString()
+
+
+def _answered(sql):
+    db = duckdb.connect()
+    db.execute(f"create view events as select * from '{DIR}/events.parquet'")
+    return db.execute(sql).fetchall()
+
+
+def test_blocks_of_the_sql_leave_no_pair_out():
+    for q, wide in ((W.T1, 7), (W.T1, 200), (W.T2, 50)):
+        inside = W.O.in_range(W.O.fov_with_mbr("mix30"), q.area)
+        by_blocks, pairwise = W.O.naive_by_blocks("SELECT * FROM f", q, wide), W.O.naive("SELECT * FROM f", q)
+        assert _answered(f"WITH f AS MATERIALIZED ({inside}), a AS MATERIALIZED ({by_blocks}), b AS MATERIALIZED ({pairwise}) SELECT (SELECT count(*) FROM a), (SELECT count(*) FROM b), count(*) FROM a JOIN b USING (cell_x, cell_y, ci_fixed)") in [[(n, n, n)] for n in range(1, q.grid.cells)]
+
+
+def test_methods_are_compared_on_all_cells(spark, monkeypatch):
+    columns = ("region", "naive_pairs", "optimized_pairs", "fewer", "compared", "max_gap", "diff_m", "within")
+    got = sorted(tuple(r[c] for c in columns) for r in W.queries()["q_w2_table"](spark, DIR).collect())
+    assert [r[4] for r in got] == [80**2, 500**2, 1200**2, 3500**2]
+    assert got == sorted(_answered(f"SELECT {', '.join(columns)} FROM ({W.oracle_sql()['q_w2_table']})"))
+    at = next(i for i in range(250_000) if not _answered(f"SELECT {W.O.u01_sql('cells', str(i))} < 0.008")[0][0])
+    optimized = matrix.optimized
+    extra = lambda m: m.union(spark.sql(f"SELECT {at % 500}L AS cell_x, {at // 500}L AS cell_y, 1000000000000L AS ci_fixed"))
+    monkeypatch.setattr(matrix, "optimized", lambda *a, **b: matrix.summed(extra(optimized(*a, **b))))
+    monkeypatch.setattr(X, "TARGETS", {"t2": W.T2})
+    assert [(r.max_gap, r.diff_m > 0) for r in W.queries()["q_w2_table"](spark, DIR).collect()] == [(1.0, True)]
+
+
 def test_boxes_of_some_cells_are_those_of_all(spark):
     fovs, some = W.events(spark, DIR, "mix30"), W.kept(matrix.cells(spark, W.T1.grid).where("(cell_x + cell_y) % 7 = 0"))
     few = {(r.cell_x, r.cell_y): r.ci_fixed for r in matrix.optimized(fovs, W.T1, cells_of=some).collect()}
